@@ -88,10 +88,32 @@ class Words:
             with np.errstate(over="ignore"):
                 part = (_LOWER[raw[inside]].astype(U64) + U64(1)) * stream(int(length.max()), 7)[np.arange(int(length.sum())) - np.repeat(head, length)]
                 self.hash = mix(np.add.reduceat(part, head) + length.astype(U64) * U64(0xD6E8FEB86659FD93))
+            self._part, self._head, self._length = part, head, length
+
+    def stems(self, size: int) -> np.ndarray:
+        """Hash of the first ``size`` bytes of each word; of the whole word where it is no longer."""
+        out = np.zeros(len(self.hash), U64)
+        with np.errstate(over="ignore"):
+            for j in range(size):
+                long = self._length > j
+                out[long] += self._part[self._head[long] + j]
+            return mix(out)
 
     def counts(self) -> np.ndarray:
         return np.diff(self.first)
 
+    def runs(self, size: int) -> tuple[np.ndarray, np.ndarray]:
+        """(hash of every run of exactly ``size`` words, its row), hashed as ``shingles`` does."""
+        m = len(self.hash) - size + 1
+        if m <= 0:
+            return np.zeros(0, U64), np.zeros(0, np.int64)
+        acc = np.zeros(m, U64)
+        with np.errstate(over="ignore"):
+            for j in range(size):
+                acc = mix(acc * U64(0x9FB21C651E98DF25) + self.hash[j : j + m])
+        same = self.row[:m] == self.row[size - 1 :]
+        return acc[same], self.row[:m][same]
+
     def shingles(self, size: int) -> tuple[np.ndarray, np.ndarray]:
         """(hash of every run of ``size`` words, its row). A text of fewer words gives its whole sequence, an empty one nothing."""
         n = len(self.hash)
