@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import bytebpe
+from . import bytebpe, decontaminate, linear, permindex, tokenfiles
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (bytebpe.op8_byte_bpe,)}
+    found = (tokenfiles.op2_token_files, linear.op4_quality, linear.op5_toxicity, bytebpe.op8_byte_bpe, decontaminate.op9_decontaminate, permindex.op10_nearest)
+    return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op9_decontaminate": decontaminate.ORACLE}
