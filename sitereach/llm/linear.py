@@ -153,6 +153,21 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(work, "doc_id long, score double")
 
 
+def kept(docs: DataFrame, model: Model, least: float) -> DataFrame:
+    """The rows that score ``least`` or more, whole and with all their columns, in one pass."""
+    shared = docs.sparkSession.sparkContext.broadcast((model.index, model.weight, model.bias))
+    features, bound = model.features, float(np.log(least / (1 - least)))
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        index, weight, bias = shared.value
+        dense = Model(index, weight, bias, features).dense()
+        for part in textkit.slices(batches, "text"):
+            bucket, row, value = features(*textkit.text_bytes(part.column(part.schema.get_field_index("text"))))
+            yield part.filter(pa.array(bias + np.bincount(row, dense[bucket] * value, part.num_rows) >= bound))
+
+    return docs.mapInArrow(work, docs.schema)
+
+
 QUALITY = {"alpha": 0.3, "beta": 1.0, "l1": 0.02, "l2": 0.1, "passes": 4}
 TOXIC = {"alpha": 0.5, "beta": 1.0, "l1": 10.0, "l2": 0.1, "passes": 6}
 

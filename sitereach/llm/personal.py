@@ -60,10 +60,11 @@ def _matches(kind: str, text: Column) -> Column:
 
 
 def base_mentions(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(row, doc_id) of every row, and row, kind, start, end, before, value, ok of every match, in any text."""
+    """(row, doc_id, hash of the text) of every row, and row, kind, start, end, before, value, ok of every match, in any text."""
     rows = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    rows = rows.withColumn("tag", F.xxhash64("text"))
     none = F.array().cast("array<struct<kind:string,gap:int,size:int,before:string,value:string>>")
-    found = rows.select("row", "doc_id", *(F.coalesce(_matches(k, F.col("text")), none).alias(k) for k in PATTERNS))
+    found = rows.select("row", "doc_id", "tag", *(F.coalesce(_matches(k, F.col("text")), none).alias(k) for k in PATTERNS))
     found = store.cut_and_free(found, "matches")
     one = found.select("row", F.explode(F.array(*PATTERNS)).alias("list")).select("row", F.posexplode("list").alias("i", "m")).select("row", "i", "m.*")
     run = Window.partitionBy("row", "kind").orderBy("i").rowsBetween(Window.unboundedPreceding, 0)
@@ -71,11 +72,11 @@ def base_mentions(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     ok = F.lit(False)
     for k in PATTERNS:
         ok = F.when(F.col("kind") == k, _valid(k, F.col("value"))).otherwise(ok)
-    return found.select("row", "doc_id"), placed.where(ok).select("row", "kind", "start", "end", "before", "value")
+    return found.select("row", "doc_id", "tag"), placed.where(ok).select("row", "kind", "start", "end", "before", "value")
 
 
 def find(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(row, doc_id) of every row, and its spans: row, kind, start, end, value (added kinds start with ``near_``)."""
+    """(row, doc_id, hash of the text) of every row, and its spans: row, kind, start, end, value (added kinds start with ``near_``)."""
     rows, mentions = base_mentions(docs)
     at = Window.partitionBy("row").orderBy("start", "end", "kind")
     base_end = F.max(F.when(F.col("kind") != "token", F.col("end"))).over(at.rowsBetween(Window.unboundedPreceding, -1))
@@ -113,5 +114,32 @@ def digest(docs: DataFrame) -> DataFrame:
     return out.select("doc_id", *(F.coalesce(f"n_{k}", F.lit(0)).cast("long").alias(f"n_{k}") for k in KINDS), F.sha2(joined(base), 256).alias("base_sha256"), joined(F.col("all")).alias("spans"))
 
 
+def redacted(docs: DataFrame) -> DataFrame:
+    """The rows with every span replaced by its kind in angle brackets, and ``n_chars``, if there is one, counted again.
+
+    Overlapping spans are replaced once, under the kind of the first. The text is cut in a fixed-width
+    encoding, so a long text with many spans costs no more than its length.
+    """
+    rows, spans = find(docs)
+    listed = rows.join(spans, "row").select("doc_id", "tag", F.struct("start", "end", "kind").alias("s")).distinct().groupBy(F.col("doc_id").alias("__id"), F.col("tag").alias("__tag")).agg(F.sort_array(F.collect_list("s")).alias("__spans"))
+    out = docs.join(listed, docs["doc_id"].eqNullSafe(F.col("__id")) & (F.xxhash64(F.coalesce(docs["text"], F.lit(""))) == F.col("__tag")), "left")
+    wide = F.encode(docs["text"], "UTF-32")
+    lead = F.encode(F.lit("x"), "UTF-32")  # keeps a byte order mark at the head of a piece from being dropped
+    piece = lambda at, to: F.substring(F.decode(F.concat(lead, F.substring(wide, at * 4 + 1, (to - at) * 4)), "UTF-32"), 2, 2147483647)
+    start = F.struct(F.array().cast("array<struct<at:bigint,to:bigint,kind:string>>").alias("cuts"), F.lit(0).cast("bigint").alias("at"))
+    merged = F.aggregate(
+        "__spans",
+        start,
+        lambda acc, s: F.struct(
+            F.when(s["start"] >= acc["at"], F.concat(acc["cuts"], F.array(F.struct(acc["at"].alias("at"), s["start"].cast("bigint").alias("to"), s["kind"].alias("kind"))))).otherwise(acc["cuts"]).alias("cuts"),
+            F.greatest(acc["at"], s["end"].cast("bigint")).alias("at"),
+        ),
+    )
+    out = out.withColumn("__cut", F.when(F.size("__spans") > 0, merged))
+    text = F.concat(F.array_join(F.transform(F.col("__cut.cuts"), lambda c: F.concat(piece(c["at"], c["to"]), F.lit("<"), c["kind"], F.lit(">"))), ""), piece(F.col("__cut.at"), F.length(docs["text"]).cast("bigint")))
+    new = F.when(F.col("__cut").isNull(), docs["text"]).otherwise(text)
+    return out.select(*(new.alias("text") if c == "text" else F.when(F.col("__cut").isNull(), docs["n_chars"]).otherwise(F.length(new)).cast(docs.schema["n_chars"].dataType).alias("n_chars") if c == "n_chars" else docs[c] for c in docs.columns))
+
+
 def op7_personal_data(spark, sf_dir: str) -> DataFrame:
     return digest(spark.read.parquet(f"{sf_dir}/documents.parquet"))
