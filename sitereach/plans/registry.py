@@ -5,15 +5,512 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from .. import model
+from ..operators import audience, certificates, influence, kvtree, policies, relevance, roads, selection, workloads
+from ..sources import keep
+from . import oracles as sql
+from . import relational
+
+#: Parameters of the registered queries.
+K, ALPHA, BETA, N_CAND, N_FEW, DEPTH, RUNS, WALKS = 10, 0.6, 0.7, 20, 6, 2, 8, 60
+LEAF = 100
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+
+
+def query(oracle: str | None = None, name: str | None = None):
+    def add(f):
+        QUERIES[name or f.__name__] = f
+        if oracle:
+            ORACLES[name or f.__name__] = oracle
+        return f
+
+    return add
+
+
+def city_of(spark: SparkSession, sf_dir: str) -> model.City:
+    return model.parts_city(spark, sf_dir)
+
+
+def _kept_city(spark: SparkSession, sf_dir: str) -> model.City:
+    return city_of(spark, sf_dir).kept(keep)
+
+
+GAIN = sql.GAIN.format(a=ALPHA, b=1 - ALPHA)
+FROM_SITES = sql.DIST.format(sources="sites")
+TOPK = sql.CITY + GAIN + FROM_SITES + sql.TOPK.format(k=K)
+CAND, FEW = sql.CAND.format(n=N_CAND), sql.CAND.format(n=N_FEW)
+AUDIENCE = TOPK + CAND + "select poi, usr from topk where poi in (select poi from cand)"
+FEW_AUDIENCE = TOPK + FEW + ", aud as (select poi, usr from topk where poi in (select poi from cand))\n"
+
+
+# ---------------------------------------------------------------- the derived city
+@query(sql.CITY + "select src, dst, len from road")
+def city_road_edges(spark, sf_dir):
+    return city_of(spark, sf_dir).road
+
+
+@query(sql.CITY + "select usr, v, dis from users")
+def city_users(spark, sf_dir):
+    return city_of(spark, sf_dir).users
+
+
+@query(sql.CITY + "select poi, v, dis from sites")
+def city_sites(spark, sf_dir):
+    return city_of(spark, sf_dir).sites
+
+
+@query(sql.CITY + "select poi, usr from checkins")
+def city_checkins(spark, sf_dir):
+    return city_of(spark, sf_dir).checkins
+
+
+@query(sql.CITY + "select usr, friend from friends")
+def city_friends(spark, sf_dir):
+    return city_of(spark, sf_dir).friends
+
+
+@query(sql.CITY + "select src, dst, 1 / indeg::DOUBLE as w from social")
+def city_social_weights(spark, sf_dir):
+    return influence.weights(city_of(spark, sf_dir).social)
+
+
+@query(
+    sql.CITY
+    + """select 'road_edges' as item, count(*)::BIGINT as n from road union all select 'sites', count(*) from sites union all select 'users', count(*) from users
+    union all select 'site_terms', count(*) from site_terms union all select 'user_terms', count(*) from user_terms union all select 'checkins', count(*) from checkins
+    union all select 'friends', count(*) from friends union all select 'social_edges', count(*) from social"""
+)
+def city_stats(spark, sf_dir):
+    c = city_of(spark, sf_dir)
+    parts = {"road_edges": c.road, "sites": c.sites, "users": c.users, "site_terms": c.site_terms, "user_terms": c.user_terms, "checkins": c.checkins, "friends": c.friends, "social_edges": c.social}
+    out = None
+    for name, df in parts.items():
+        one = df.agg(F.count("*").alias("n")).select(F.lit(name).alias("item"), "n")
+        out = one if out is None else out.union(one)
+    return out
+
+
+# ---------------------------------------------------------------- scoring
+@query(sql.CITY + "select poi, term, tf, idf_m, w_m from site_terms")
+def term_weights(spark, sf_dir):
+    return city_of(spark, sf_dir).site_terms
+
+
+@query(sql.CITY + "select usr, term from user_terms")
+def user_terms(spark, sf_dir):
+    return city_of(spark, sf_dir).user_terms
+
+
+@query(sql.CITY + "select usr, poi, sum(w_m)::BIGINT as text_m from user_terms join site_terms using (term) group by usr, poi")
+def text_similarity(spark, sf_dir):
+    c = city_of(spark, sf_dir)
+    return relevance.text_similarity(c.user_terms, c.site_terms)
+
+
+_VISITS = sql.CITY + ", v as (select f.usr, c.poi, count(*) as visits from friends f join checkins c on f.friend = c.usr group by f.usr, c.poi), nf as (select usr, count(*) as nf from friends group by usr), nv as (select poi, count(*) as nv from checkins group by poi)\n"
+_SOCIAL = {"friend_share": "visits / nf", "visitor_share": "visits / nv", "jaccard": "visits / (nf + nv - visits)", "any_friend": "1::DOUBLE"}
+for _mode, _formula in _SOCIAL.items():
+    query(_VISITS + f"select usr, poi, {_formula} as social from v join nf using (usr) join nv using (poi)", f"social_relevance_{_mode}")(
+        lambda spark, sf_dir, mode=_mode: (lambda c: relevance.social_relevance(c.friends, c.checkins, mode))(city_of(spark, sf_dir))
+    )
+
+
+# ---------------------------------------------------------------- distances, lists, audiences
+_SITE_DIST = sql.CITY + CAND + ", near as (select sites.poi, v, dis from sites join cand using (poi))" + sql.DIST.format(sources="near") + "select n.poi, u.usr, n.dis + d.d + u.dis as dist from near n join dist d on d.src = n.v join users u on u.v = d.v"
+
+
+@query(_SITE_DIST)
+def site_distances(spark, sf_dir):
+    c = city_of(spark, sf_dir)
+    return roads.site_distances(c, workloads.drawn_sites(c, N_CAND))
+
+
+@query(sql.CITY + FEW + ", near as (select distinct v from sites join cand using (poi))" + sql.DIST.format(sources="near") + "select src, v, d as dist from dist")
+def distances_relaxed(spark, sf_dir):
+    """Rounds of joins, for roads that no worker can hold (few sources: the rounds follow the hops of the road)."""
+    c = _kept_city(spark, sf_dir)
+    return roads.relaxed(c.road, c.sites.join(workloads.drawn_sites(c, N_FEW), "poi"))
+
+
+@query(sql.CITY + CAND + ", near as (select distinct v from sites join cand using (poi))" + sql.DIST.format(sources="near") + "select x.v as a, y.v as b, d.d as dist from near x join dist d on d.src = x.v join near y on y.v = d.v")
+def distances_labelled(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    at = c.sites.join(workloads.drawn_sites(c, N_CAND), "poi").select("v").distinct()
+    # pairs of a bounded query set
+    pairs = at.select(F.col("v").alias("a")).crossJoin(F.broadcast(at.select(F.col("v").alias("b"))))
+    return roads.label_distances(keep(roads.labels(c.road), "labels"), pairs)
+
+
+@query(TOPK + "select usr, poi, score, rnk from topk")
+def topk_lists(spark, sf_dir):
+    return relevance.top_k(_kept_city(spark, sf_dir), K, ALPHA)
+
+
+@query(
+    sql.CITY + GAIN + FROM_SITES + f""", dd as (select g.usr, g.poi, gain, u.dis + d.d + s.dis as distance from gains g join users u on u.usr = g.usr join sites s on s.poi = g.poi
+    join dist d on d.src = s.v and d.v = u.v where gain > 0), far as (select max(distance) as farthest from dd),
+    ranked as (select usr, poi, {BETA}::DOUBLE * gain + {1 - BETA}::DOUBLE * (1::DOUBLE - distance / farthest) as score from dd, far)
+    select usr, poi, score, rnk from (select *, row_number() over (partition by usr order by score desc, poi)::INT as rnk from ranked) where rnk <= {K}"""
+)
+def topk_linear(spark, sf_dir):
+    return relevance.top_k_linear(_kept_city(spark, sf_dir), K, ALPHA, BETA)
+
+
+@query(AUDIENCE)
+def audience_brute(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return audience.brute(c, workloads.drawn_sites(c, N_CAND), K, ALPHA)
+
+
+@query(TOPK + CAND + "select distinct usr from topk where poi in (select poi from cand)")
+def audience_union(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    cand = workloads.drawn_sites(c, N_CAND)
+    return relevance.audience_union(audience.brute(c, cand, K, ALPHA), cand)
+
+
+def _batch(mode="class_dominance", **options):
+    def run(spark, sf_dir):
+        c = _kept_city(spark, sf_dir)
+        return audience.batch(c, workloads.drawn_sites(c, N_CAND), K, ALPHA, mode=mode, leaf_cap=LEAF, **options)[0]
+
+    return run
+
+
+query(AUDIENCE, "audience_batch")(_batch())
+query(AUDIENCE, "audience_batch_interval")(_batch("interval"))
+query(AUDIENCE, "audience_batch_no_pseudo")(_batch("none"))
+query(AUDIENCE, "audience_aggressive")(_batch(drop_rare_user_terms=20))
+query(None, "audience_border_paper")(_batch("border_paper"))
+query(None, "audience_strict_paper")(_batch(tie_mode="strict_paper"))
+
+
+@query(TOPK + FEW + "select poi, usr from topk where poi in (select poi from cand)")
+def audience_combined(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return audience.combined(c, workloads.drawn_sites(c, N_FEW), K, ALPHA, LEAF)
+
+
+@query()
+def pruning_counters(spark, sf_dir):
+    """Relevant pairs, bound computations and unpruned users of each pruning mode."""
+    c = _kept_city(spark, sf_dir)
+    cand = workloads.drawn_sites(c, N_CAND)
+    c, tree = kvtree.build(c, K, LEAF)
+    rows = []
+    for mode in audience.PRUNE_MODES:
+        counters = audience.candidates_of(c, cand, K, ALPHA, tree, mode)[1]
+        rows += [(mode, name, int(n)) for name, n in counters.items()]
+    return spark.createDataFrame(rows, "mode string, counter string, n long")
+
+
+# ---------------------------------------------------------------- the index
+def _tree(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    at, depth = kvtree.partition(c.road, LEAF)
+    return c, keep(at, "member"), depth
+
+
+@query(sql.CITY + sql.member(DEPTH) + "select v, leaf from member")
+def tree_members(spark, sf_dir):
+    return _tree(spark, sf_dir)[1]
+
+
+@query(
+    sql.CITY + sql.member(DEPTH) + """, ends as (select src, a.leaf as f, b.leaf as t from road join member a on a.v = src join member b on b.v = dst where a.leaf <> b.leaf)
+    select distinct substr(f, 1, level) as node, src as v from ends, levels where level > 0 and substr(f, 1, level) <> substr(t, 1, level)"""
+)
+def tree_borders(spark, sf_dir):
+    c, at, depth = _tree(spark, sf_dir)
+    return kvtree.borders(c.road, at, depth)
+
+
+@query(
+    sql.CITY + sql.member(DEPTH) + """, held as (select leaf, term, 1 as u, 0 as p from users join member using (v) join user_terms using (usr) union all select leaf, term, 0, 1 from sites join member using (v) join site_terms using (poi))
+    select substr(leaf, 1, level) as node, term, sum(u)::BIGINT as n_users, sum(p)::BIGINT as n_pois from held, levels group by 1, 2"""
+)
+def node_terms(spark, sf_dir):
+    c, at, depth = _tree(spark, sf_dir)
+    return kvtree.node_terms(c, at, depth)
+
+
+_OWNER = sql.CITY + FROM_SITES + """, owner as (select term, v, poi, dist from (select t.term, d.v, s.poi, d.d + s.dis as dist, row_number() over (partition by t.term, d.v order by d.d + s.dis, s.poi) as nth
+    from site_terms t join sites s on s.poi = t.poi join dist d on d.src = s.v) where nth = 1)
+"""
+
+
+@query(_OWNER + "select term, v, poi, dist from owner")
+def voronoi_owner(spark, sf_dir):
+    return kvtree.owners(_kept_city(spark, sf_dir))
+
+
+@query(
+    _OWNER + """, touch as (select a.term, least(a.poi, b.poi) as poi_a, greatest(a.poi, b.poi) as poi_b from road join owner a on a.v = src join owner b on b.v = dst and b.term = a.term where a.poi <> b.poi),
+    placed as (select term, poi, v from site_terms join sites using (poi))
+    select * from touch union select x.term, x.poi, y.poi from placed x join placed y on x.term = y.term and x.v = y.v where x.poi < y.poi"""
+)
+def voronoi_adjacency(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return kvtree.adjacency(c.road, keep(kvtree.owners(c), "owner"), c.sites, c.site_terms)
+
+
+@query()
+def voronoi_runs(spark, sf_dir):
+    """Nearest records of the diagrams after whole nodes of one owner have been merged."""
+    c, at, depth = _tree(spark, sf_dir)
+    runs, rest = kvtree.compressed(keep(kvtree.owners(c), "owner"), at, depth)
+    return runs.select("term", "node", F.lit(None).cast("long").alias("v"), "poi").union(rest.select("term", F.lit(None).cast("string").alias("node"), "v", "poi"))
+
+
+@query(
+    sql.CITY + FROM_SITES + """select term, v, poi, dist from (select t.term, d.v, s.poi, d.d + s.dis as dist, row_number() over (partition by t.term, d.v order by d.d + s.dis, s.poi) as nth
+    from site_terms t join sites s on s.poi = t.poi join dist d on d.src = s.v) where nth <= 3"""
+)
+def k_nearest_terms(spark, sf_dir):
+    return kvtree.k_nearest(_kept_city(spark, sf_dir), 3)
+
+
+@query()
+def user_lower_bound(spark, sf_dir):
+    c, tree = kvtree.build(_kept_city(spark, sf_dir), K, LEAF)
+    return audience.user_lower_bounds(c, tree.nearest, c.users, K, ALPHA)
+
+
+# ---------------------------------------------------------------- influence and selection
+def _few_audience(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    cand = keep(workloads.drawn_sites(c, N_FEW), "cand")
+    return c, cand, keep(audience.brute(c, cand, K, ALPHA), "audience")
+
+
+@query(FEW_AUDIENCE + sql.two_hop("(select poi as set_id, usr from aud)") + "select set_id as poi, influence from reached")
+def local_two_hop(spark, sf_dir):
+    c, _, aud = _few_audience(spark, sf_dir)
+    return influence.two_hop(c.social, aud.select(F.col("poi").alias("set_id"), "usr")).select(F.col("set_id").alias("poi"), F.round("influence", 6).alias("influence"))
+
+
+_PAIRS = FEW_AUDIENCE + ", pair as (select a.poi as p, b.poi as q, 1000000 * a.poi + b.poi as set_id from cand a join cand b on a.poi < b.poi), both_ as (select set_id, usr from pair join aud on aud.poi in (p, q))\n" + sql.two_hop("both_")
+
+
+@query(_PAIRS + "select p, q, influence from (select p, q, influence, row_number() over (order by influence desc, p, q) as nth from pair join reached using (set_id)) where nth = 1")
+def exhaustive_local_b2(spark, sf_dir):
+    c, cand, aud = _few_audience(spark, sf_dir)
+    pois = [r["poi"] for r in cand.collect()]
+    chosen, value = selection.exhaustive(pois, 2, lambda sets: selection.local_influence(c.social, aud, sets))
+    return spark.createDataFrame([(*chosen, round(value, 6))], "p long, q long, influence double")
+
+
+@query(
+    _PAIRS.replace("reached as", "pairs_reached as")
+    + ", "
+    + sql.two_hop("(select poi as set_id, usr from aud)").replace(", seeds", "seeds1", 1).replace("seeds ", "seeds1 ").replace("hop as", "hop1 as").replace("from hop ", "from hop1 ").replace("near as", "near1 as").replace("from near ", "from near1 ").replace("reach as", "reach1 as").replace("from reach ", "from reach1 ").replace("beyond as", "beyond1 as").replace("join beyond ", "join beyond1 ").replace("from seeds1 group", "from seeds1 group")
+    + ", first_ as (select set_id as poi from reached order by influence desc, set_id limit 1) select first_.poi as first, case when p = first_.poi then q else p end as second, influence from pair join pairs_reached using (set_id), first_ where first_.poi in (p, q) order by influence desc, second limit 1"
+)
+def local_greedy_b2(spark, sf_dir):
+    c, cand, aud = _few_audience(spark, sf_dir)
+    chosen, value = selection.greedy_local(c.social, aud, [r["poi"] for r in cand.collect()], 2)
+    return spark.createDataFrame([(*chosen, round(value, 6))], "first long, second long, influence double")
+
+
+_SEED_USERS = sql.CITY + ", seed_users as (select usr from users order by md5('s|' || usr), usr limit 5)\n"
+
+
+def _seed_users(c):
+    return c.users.select("usr").orderBy(F.md5(F.concat(F.lit("s|"), F.col("usr").cast("string"))), "usr").limit(5)
+
+
+@query(
+    _SEED_USERS + f""", runs as (select unnest(range(0, {RUNS})) as run),
+    live as (select run, src, dst from runs, social where {sql.coin("concat_ws('|', run, src, dst, 1)")} * indeg < 4294967296),
+    act as (select run, usr from runs, seed_users union select a.run, l.dst from act a join live l on l.run = a.run and l.src = a.usr)
+    select run::BIGINT as run, count(*)::BIGINT as activated from act group by run"""
+)
+def cascade_runs(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return influence.cascades(c.social, _seed_users(c), RUNS).groupBy("run").agg(F.count("*").alias("activated"))
+
+
+@query(_SEED_USERS + ", act as (select usr from seed_users union select s.dst from act a join social s on s.src = a.usr) select usr from act")
+def reachable_users(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return influence.reachable(c.social, _seed_users(c))
+
+
+_WALK = FEW_AUDIENCE + f""", walks as (select unnest(range(0, {WALKS})) as rid), numbered as (select usr, row_number() over (order by usr) - 1 as at, count(*) over () as n from users),
+    start as (select rid, usr as target from walks join numbered on at = {sql.coin("concat_ws('|', rid, 't', 1)")} % n),
+    back as (select rid, src, dst from walks, social where {sql.coin("concat_ws('|', rid, src, dst, 1)")} * indeg < 4294967296),
+    walk as (select rid, target as usr, 0 as depth from start union select w.rid, b.src, w.depth + 1 from walk w join back b on b.rid = w.rid and b.dst = w.usr where w.depth < 60),
+    step_of as (select rid, usr, min(depth) as depth from walk group by rid, usr),
+    hit as (select rid, poi, min(depth) as depth from step_of join aud using (usr) group by rid, poi)
+"""
+
+
+def _walks(spark, sf_dir, shuffled=False):
+    c, cand, aud = _few_audience(spark, sf_dir)
+    if shuffled:
+        return cand, influence.reverse_samples_shuffled(c.social, aud, c.users.select("usr"), 0, WALKS)
+    return cand, influence.reverse_samples(c.social, aud, c.users.select("usr"), 0, WALKS, coins="md5")
+
+
+_RR = _WALK + "select rid::BIGINT as rid, target, coalesce((select string_agg(poi::VARCHAR, ',' order by poi) from hit h where h.rid = s.rid and depth <= 2), '') as near, coalesce((select string_agg(poi::VARCHAR, ',' order by poi) from hit h where h.rid = s.rid and depth > 2), '') as far from start s"
+
+
+@query(_RR)
+def rr_sets(spark, sf_dir):
+    return _walks(spark, sf_dir)[1].select("rid", "target", F.concat_ws(",", F.col("near").cast("array<string>")).alias("near"), F.concat_ws(",", F.col("far").cast("array<string>")).alias("far"))
+
+
+@query(_RR)
+def rr_sets_shuffled(spark, sf_dir):
+    return _walks(spark, sf_dir, True)[1].select("rid", "target", F.concat_ws(",", F.col("near").cast("array<string>")).alias("near"), F.concat_ws(",", F.col("far").cast("array<string>")).alias("far"))
+
+
+@query(_WALK + "select poi, count(*)::BIGINT as covered, (count(*) filter (depth > 2))::BIGINT as far from hit group by poi")
+def rr_coverage(spark, sf_dir):
+    hits = influence.hit_rows(_walks(spark, sf_dir)[1])
+    return hits.groupBy("poi").agg(F.count("*").alias("covered"), F.count(F.when(F.col("far"), 1)).alias("far"))
+
+
+@query(
+    _WALK + """, first_ as (select poi from (select poi, count(*) as n from hit group by poi order by n desc, poi limit 1)), left_ as (select * from hit where rid not in (select rid from hit where poi in (select poi from first_))),
+    second_ as (select poi from (select poi, count(*) as n from left_ group by poi order by n desc, poi limit 1)), rest_ as (select * from left_ where rid not in (select rid from left_ where poi in (select poi from second_))),
+    third_ as (select poi from (select poi, count(*) as n from rest_ group by poi order by n desc, poi limit 1))
+    select 1 as nth, poi from first_ union all select 2, poi from second_ union all select 3, poi from third_"""
+)
+def greedy_cover_b3(spark, sf_dir):
+    chosen = selection.greedy_cover(keep(influence.hit_rows(_walks(spark, sf_dir)[1]), "hits"), 3)
+    return spark.createDataFrame([(i + 1, p) for i, p in enumerate(chosen)], "nth int, poi long")
+
+
+@query(
+    """with x as (select b::DOUBLE as b, 1500::DOUBLE as n, 60::DOUBLE as c, 0.1::DOUBLE as eps, (1 / 1500::DOUBLE) as delta, psi::DOUBLE as psi, 1 - exp(-1) as g from (values (1, 229), (5, 472), (9, 578)) t(b, psi)),
+    y as (select *, lgamma(c + 1) - lgamma(b + 1) - lgamma(c - b + 1) as choose from x),
+    z as (select *, 2 * n * pow(g * sqrt(ln(6 / delta)) + sqrt(g * (choose + ln(6 / delta))), 2) / (eps * eps * psi) as most from y)
+    select b::INT as b, round(most, 3) as theta_max, round(most * eps * eps * psi / n, 6) as theta_0, greatest(1, ceil(log2(n / (eps * eps * psi)) - 1e-9))::INT as rounds from z"""
+)
+def bounds_plan(spark, sf_dir):
+    rows = []
+    for b, psi in ((1, 229), (5, 472), (9, 578)):
+        p = certificates.plan(1500, 60, b, 0.1, 1 / 1500, psi)
+        rows.append((b, round(p.theta_max, 3), round(p.theta_0, 6), p.rounds))
+    return spark.createDataFrame(rows, "b int, theta_max double, theta_0 double, rounds int")
+
+
+@query(
+    """with x as (select c::DOUBLE as c, ln(20::DOUBLE) as a from (values (0), (10), (250), (900)) t(c))
+    select c::INT as covered, round(greatest(0, 1.5 * (pow(sqrt(c + 2 * a / 9) - sqrt(a / 2), 2) - a / 18)), 6) as lower, round(1.5 * pow(sqrt(c + a / 2) + sqrt(a / 2), 2), 6) as upper from x"""
+)
+def bounds_values(spark, sf_dir):
+    rows = [(c, round(certificates.lower(c, 1500, 1000, 0.05), 6), round(certificates.upper(c, 1500, 1000, 0.05), 6)) for c in (0, 10, 250, 900)]
+    return spark.createDataFrame(rows, "covered int, lower double, upper double")
+
+
+@query(
+    _SEED_USERS + """, some as (select src, dst, 1 / indeg::DOUBLE as w, row_number() over (order by md5(src || '|' || dst), src, dst) - 1 as bit from social where src in (select usr from seed_users)),
+    e as (select * from some where bit < 10), m as (select count(*) as m from e), worlds as (select unnest(range(0, (1 << m)::BIGINT)) as world from m),
+    st as (select world, src, dst, w, (world >> bit) & 1 as live from worlds, e), prob as (select world, product(case when live = 1 then w else 1 - w end) as prob from st group by world),
+    act as (select world, usr from worlds, seed_users union select a.world, st.dst from act a join st on st.world = a.world and st.src = a.usr and st.live = 1),
+    size_of as (select world, count(*) as n from act group by world) select round(sum(prob * n), 6) as influence from prob join size_of using (world)"""
+)
+def worlds_exact(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    seeds = keep(_seed_users(c), "seeds")
+    edges = influence.weights(c.social).join(seeds.select(F.col("usr").alias("src")), "src", "left_semi")
+    few = edges.orderBy(F.md5(F.concat_ws("|", "src", "dst")), "src", "dst").limit(10)
+    numbered = keep(few, "few")
+    return influence.worlds_exact(numbered, seeds).select(F.round("influence", 6).alias("influence"))
+
+
+def _result(spark, *results: selection.Result) -> DataFrame:
+    rows = [(r.method, sorted(r.sites), float(r.influence), r.certified, r.certified_by, r.samples) for r in results]
+    return spark.createDataFrame(rows, "method string, sites array<long>, influence double, certified double, certified_by string, samples long")
+
+
+@query()
+def select_baseline(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return _result(spark, selection.sampling_baseline(c, workloads.drawn_sites(c, N_FEW), 3, K, ALPHA, retrieval="batch", eps=0.3))
+
+
+@query()
+def select_hybrid(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return _result(spark, selection.hybrid_approx(c, workloads.drawn_sites(c, N_FEW), 3, K, ALPHA, eps=0.3))
+
+
+@query()
+def select_heuristic(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return _result(spark, selection.local_heuristic(c, workloads.drawn_sites(c, N_FEW), 3, K, ALPHA))
+
+
+@query(sql.CITY + CAND + "select poi from cand order by md5('1:' || poi), poi limit 5")
+def policy_random(spark, sf_dir):
+    c = city_of(spark, sf_dir)
+    return spark.createDataFrame([(p,) for p in policies.random_sites(workloads.drawn_sites(c, N_CAND), 5)], "poi long")
+
+
+def _sites(spark, chosen):
+    return spark.createDataFrame([(i + 1, p) for i, p in enumerate(chosen)], "nth int, poi long")
+
+
+_GREEDY3 = """, first_ as (select poi from (select poi, count(*) as n from aud group by poi order by n desc, poi limit 1)), left_ as (select * from aud where usr not in (select usr from aud where poi in (select poi from first_))),
+    second_ as (select poi from (select poi, count(*) as n from left_ group by poi order by n desc, poi limit 1)), rest_ as (select * from left_ where usr not in (select usr from left_ where poi in (select poi from second_))),
+    third_ as (select poi from (select poi, count(*) as n from rest_ group by poi order by n desc, poi limit 1))
+    select 1 as nth, poi from first_ union all select 2, poi from second_ union all select 3, poi from third_"""
+
+
+@query(FEW_AUDIENCE + _GREEDY3)
+def policy_cardinality(spark, sf_dir):
+    return _sites(spark, policies.cardinality(_few_audience(spark, sf_dir)[2], 3))
+
+
+_RELEVANT = (
+    sql.CITY + CAND + ", near as (select sites.poi, v, dis from sites join cand using (poi))" + sql.DIST.format(sources="near")
+    + ", close as (select n.poi, u.usr from near n join dist d on d.src = n.v join users u on u.v = d.v where n.dis + d.d + u.dis <= 40),"
+    + " rel as (select poi, usr from user_terms join site_terms using (term) where poi in (select poi from cand) union select c.poi, f.usr from friends f join checkins c on c.usr = f.friend where c.poi in (select poi from cand)),"
+    + " aud as (select poi, usr from close join rel using (poi, usr))\n"
+)
+
+
+@query(_RELEVANT + _GREEDY3)
+def policy_relevance(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return _sites(spark, policies.most_relevant(c, workloads.drawn_sites(c, N_CAND), 3))
+
+
+@query()
+def policy_influencer(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return _sites(spark, policies.influencers(c, workloads.drawn_sites(c, N_CAND), 3, K, ALPHA, x=50, samples=512))
+
+
+@query(
+    sql.CITY + """, frequent as (select term, row_number() over (order by md5('q|' || term), term) as nth from (select term from site_terms group by term having count(*) >= 40)),
+    vis as (select poi, count(*) as n from checkins group by poi), mean as (select avg(n) as mean from vis),
+    sets as (select poi, (2 * nth - case when n > mean then 1 else 0 end)::INT as set_id from site_terms join frequent using (term) join vis using (poi), mean where nth <= 2)
+    select set_id, poi from (select *, row_number() over (partition by set_id order by md5('q|' || poi), poi) as r from sets) where r <= 60"""
+)
+def query_sets(spark, sf_dir):
+    return workloads.query_sets(city_of(spark, sf_dir), 60, 40)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """The sites that the local-influence greedy picks, on batch-retrieved audiences."""
+    c = _kept_city(spark, sf_dir)
+    cand = keep(workloads.drawn_sites(c, N_CAND), "cand")
+    aud = keep(audience.batch(c, cand, K, ALPHA, leaf_cap=LEAF)[0], "audience")
+    chosen, value = selection.greedy_local(c.social, aud, [r["poi"] for r in cand.collect()], 3)
+    return spark.createDataFrame([(i + 1, p, value) for i, p in enumerate(chosen)], "nth int, poi long, influence double")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return QUERIES | relational.queries()
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return ORACLES | relational.oracle_sql()
