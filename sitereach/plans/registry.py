@@ -340,8 +340,8 @@ def reachable_users(spark, sf_dir):
     return influence.reachable(c.social, _seed_users(c))
 
 
-_WALK = FEW_AUDIENCE + f""", walks as (select unnest(range(0, {WALKS})) as rid), numbered as (select usr, row_number() over (order by usr) - 1 as at, count(*) over () as n from users),
-    start as (select rid, usr as target from walks join numbered on at = {sql.coin("concat_ws('|', rid, 't', 1)")} % n),
+_WALK = FEW_AUDIENCE + f""", walks as (select unnest(range(0, {WALKS})) as rid), numbered as (select usr, row_number() over (order by usr) - 1 as place, count(*) over () as n from users),
+    start as (select rid, usr as target from walks join numbered on place = {sql.coin("concat_ws('|', rid, 't', 1)")} % n),
     back as (select rid, src, dst from walks, social where {sql.coin("concat_ws('|', rid, src, dst, 1)")} * indeg < 4294967296),
     walk as (select rid, target as usr, 0 as depth from start union select w.rid, b.src, w.depth + 1 from walk w join back b on b.rid = w.rid and b.dst = w.usr where w.depth < 60),
     step_of as (select rid, usr, min(depth) as depth from walk group by rid, usr),
