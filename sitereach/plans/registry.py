@@ -410,8 +410,8 @@ def bounds_values(spark, sf_dir):
 
 
 @query(
-    _SEED_USERS + """, some as (select src, dst, 1 / indeg::DOUBLE as w, row_number() over (order by md5(src || '|' || dst), src, dst) - 1 as bit from social where src in (select usr from seed_users)),
-    e as (select * from some where bit < 10), m as (select count(*) as m from e), worlds as (select unnest(range(0, (1 << m)::BIGINT)) as world from m),
+    _SEED_USERS + """, picked as (select src, dst, 1 / indeg::DOUBLE as w, row_number() over (order by md5(src || '|' || dst), src, dst) - 1 as bit from social where src in (select usr from seed_users)),
+    e as (select * from picked where bit < 10), m as (select count(*) as m from e), worlds as (select unnest(range(0, (1 << m)::BIGINT)) as world from m),
     st as (select world, src, dst, w, (world >> bit) & 1 as live from worlds, e), prob as (select world, product(case when live = 1 then w else 1 - w end) as prob from st group by world),
     act as (select world, usr from worlds, seed_users union select a.world, st.dst from act a join st on st.world = a.world and st.src = a.usr and st.live = 1),
     size_of as (select world, count(*) as n from act group by world) select round(sum(prob * n), 6) as influence from prob join size_of using (world)"""

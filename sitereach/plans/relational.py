@@ -58,25 +58,25 @@ def ops_pivot(spark, sf_dir):
 
 @query(
     _VISITS + """, a as (select poi, day, count(*)::BIGINT as n from visit group by poi, day)
-    select poi, day, n, (sum(n) over (partition by poi order by day rows between unbounded preceding and current row))::BIGINT as so_far,
+    select poi, day::VARCHAR as day, n, (sum(n) over (partition by poi order by day rows between unbounded preceding and current row))::BIGINT as so_far,
     (sum(n) over (partition by poi order by day range between interval 30 days preceding and current row))::BIGINT as last_month,
-    (rank() over (partition by day order by n desc, poi))::INT as place, date_diff('day', lag(day) over (partition by poi order by day), day)::INT as gap from a"""
+    (rank() over (partition by day order by n desc, poi))::INT as place, coalesce(date_diff('day', lag(day) over (partition by poi order by day), day), -1)::INT as gap from a"""
 )
 def ops_windows(spark, sf_dir):
     daily = _visits(spark, sf_dir).groupBy("poi", "day").agg(F.count("*").alias("n")).withColumn("nr", F.datediff("day", F.lit("1970-01-01")))
     run = Window.partitionBy("poi").orderBy("day")
     return daily.select(
-        "poi", "day", "n",
+        "poi", F.col("day").cast("string").alias("day"), "n",
         F.sum("n").over(run.rowsBetween(Window.unboundedPreceding, 0)).alias("so_far"),
         F.sum("n").over(Window.partitionBy("poi").orderBy("nr").rangeBetween(-30, 0)).alias("last_month"),
         F.rank().over(Window.partitionBy("day").orderBy(F.desc("n"), "poi")).alias("place"),
-        F.datediff("day", F.lag("day").over(run)).alias("gap"),
+        F.coalesce(F.datediff("day", F.lag("day").over(run)), F.lit(-1)).alias("gap"),
     )
 
 
 @query(
     """with e as (select event_id, ts, user_id, event_type, json_extract(props, '$.k')::BIGINT as k from events)
-    select v.event_id, v.user_id, v.k, (select max(struct_pack(ts := p.ts, event_id := p.event_id)).event_id from e p where p.event_type = 'purchase' and p.user_id = v.user_id and p.ts < v.ts) as last_purchase
+    select v.event_id, v.user_id, v.k, coalesce((select max(struct_pack(ts := p.ts, event_id := p.event_id)).event_id from e p where p.event_type = 'purchase' and p.user_id = v.user_id and p.ts < v.ts), -1) as last_purchase
     from e v where v.event_type = 'view'"""
 )
 def ops_asof(spark, sf_dir):
@@ -85,7 +85,7 @@ def ops_asof(spark, sf_dir):
     before = Window.partitionBy("user_id").orderBy("ts").rangeBetween(Window.unboundedPreceding, -1)
     both = e.where("event_type in ('view', 'purchase')").withColumn("ts", F.unix_micros("ts"))
     last = F.max(F.when(F.col("event_type") == "purchase", F.struct("ts", "event_id"))).over(before)
-    return both.withColumn("last_purchase", last["event_id"]).where("event_type = 'view'").select("event_id", "user_id", "k", "last_purchase")
+    return both.withColumn("last_purchase", F.coalesce(last["event_id"], F.lit(-1))).where("event_type = 'view'").select("event_id", "user_id", "k", "last_purchase")
 
 
 @query(
@@ -122,7 +122,7 @@ def stream_checkins_tumbling(spark, sf_dir):
     return checkins.drained(spark, sf_dir, checkins.tumbling)
 
 
-@query(_EVENTS + ", w as (select k, unnest([0, 1, 2, 3]) as i, epoch(ts)::BIGINT as t from e) select k, ((t // 900 - i) * 900)::BIGINT as start, count(*)::BIGINT as visits from w group by 1, 2")
+@query(_EVENTS + ", w as (select k, unnest([0, 1, 2, 3]) as i, floor(epoch(ts))::BIGINT as t from e) select k, ((t // 900 - i) * 900)::BIGINT as start, count(*)::BIGINT as visits from w group by 1, 2")
 def stream_checkins_sliding(spark, sf_dir):
     return checkins.drained(spark, sf_dir, checkins.sliding)
 
@@ -130,7 +130,7 @@ def stream_checkins_sliding(spark, sf_dir):
 @query(
     _EVENTS + """, g as (select user_id, ts, case when ts >= lag(ts) over w + interval 1 hour or lag(ts) over w is null then 1 else 0 end as opens from e window w as (partition by user_id order by ts, event_id)),
     s as (select user_id, ts, sum(opens) over (partition by user_id order by ts rows unbounded preceding) as nr from g)
-    select user_id, epoch(min(ts))::BIGINT as start, count(*)::BIGINT as visits from s group by user_id, nr"""
+    select user_id, floor(epoch(min(ts)))::BIGINT as start, count(*)::BIGINT as visits from s group by user_id, nr"""
 )
 def stream_checkins_session(spark, sf_dir):
     return checkins.drained(spark, sf_dir, checkins.sessions)
