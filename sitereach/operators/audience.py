@@ -8,6 +8,8 @@ only these users get an exact top-k list.
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -25,7 +27,9 @@ def brute(city: City, candidates: DataFrame, k: int, alpha: float) -> DataFrame:
 
 def verify(city: City, maybe: DataFrame, k: int, alpha: float) -> DataFrame:
     """The (poi, usr) of ``maybe`` that hold: exact lists for its users only."""
-    pairs = relevance.relevant_pairs(city, alpha).join(maybe.select("usr").distinct(), "usr", "left_semi")
+    few = maybe.select("usr").distinct()
+    own = replace(city, user_terms=city.user_terms.join(few, "usr", "left_semi"), friends=city.friends.join(few, "usr", "left_semi"))
+    pairs = relevance.relevant_pairs(own, alpha)
     return relevance.ranked(city, pairs, k).join(maybe.select("poi", "usr").distinct(), ["poi", "usr"], "left_semi").select("poi", "usr")
 
 
@@ -61,8 +65,10 @@ def pruned_classes(city: City, tree: kvtree.Tree, candidates: DataFrame, k: int,
     """
     users = _key_sets(city, tree)
     border = tree.border.where(F.length("node") == tree.depth).select(F.col("node").alias("leaf"), F.col("v").alias("b"))
-    reach = keep(roads.from_sources(city.road, border.select(F.col("b").alias("v"))), "border_dist")
-    ends = users.join(border, "leaf").join(reach, (F.col("b") == F.col("src")) & (users["v"] == reach["v"])).groupBy("leaf", "b", "key").agg(F.min(F.col("dist") + F.col("dis")).alias("lo"), F.max(F.col("dist") + F.col("dis")).alias("hi"))
+    # only distances inside a leaf, and from the few candidates, are needed
+    inside = roads.between(city.road, border.join(users.select("leaf", F.col("v").alias("to")).distinct(), "leaf").select(F.col("b").alias("a"), F.col("to").alias("b")))
+    inside = inside.select(F.col("a").alias("b"), F.col("b").alias("v"), "dist")
+    ends = users.join(border, "leaf").join(inside, ["b", "v"]).groupBy("leaf", "b", "key").agg(F.min(F.col("dist") + F.col("dis")).alias("lo"), F.max(F.col("dist") + F.col("dis")).alias("hi"))
     own = candidates.join(city.sites, "poi").select("poi", F.col("v").alias("pv"), F.col("dis").alias("pd"))
     sets = city.site_terms.join(candidates, "poi", "left_semi").groupBy("poi").agg(F.collect_set("term").alias("terms"))
     home = own.join(tree.member, own["pv"] == tree.member["v"]).select("poi", F.col("leaf").alias("own_leaf"), "pv", "pd").join(sets, "poi")
@@ -72,7 +78,7 @@ def pruned_classes(city: City, tree: kvtree.Tree, candidates: DataFrame, k: int,
     w = city.site_terms.select("poi", "term", "w_m")
     rows = classes.select("*", F.explode("shared").alias("term"))
     mine = rows.join(w, ["poi", "term"]).groupBy("poi", "leaf", "shared", "b").agg(F.sum("w_m").alias("a"))
-    to_site = reach.select(F.col("src").alias("b"), F.col("v").alias("pv"), "dist")
+    to_site = roads.from_sources(city.road, own.select(F.col("pv").alias("v"))).select(F.col("v").alias("b"), F.col("src").alias("pv"), "dist")
     base = classes.join(mine, ["poi", "leaf", "shared", "b"]).join(to_site, ["b", "pv"]).withColumn("d_p", F.col("dist") + F.col("pd")).drop("dist", "pd", "pv")
     base = keep(base, "classes")
     near = tree.nearest.select("term", F.col("v").alias("b"), F.col("poi").alias("other"), F.col("dist").alias("d_o"))

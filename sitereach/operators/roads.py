@@ -91,6 +91,27 @@ def from_sources(road: DataFrame, sources: DataFrame) -> DataFrame:
     return sources.select("v").distinct().repartition("v").mapInPandas(work, "src long, v long, dist double").withColumn("dist", F.col("dist").cast(kind))
 
 
+def between(road: DataFrame, pairs: DataFrame) -> DataFrame:
+    """a, b, dist of (a, b) pairs: the search from a ends when all its b are settled, so near pairs are cheap."""
+    shared = broadcast_rows(road)
+
+    def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        rows = shared.value
+        for frame in frames:
+            for a, group in frame.groupby("a", sort=False):
+                ends = {rows.index(int(b)): int(b) for b in group["b"]}
+                ends.pop(None, None)
+                search, radius, more = Search(rows, int(a)), 8.0, True
+                while more and not all(i in search.settled for i in ends):
+                    more = search.until(radius)
+                    radius *= 2
+                found = [(int(a), b, float(search.settled[i])) for i, b in ends.items() if i in search.settled]
+                yield pd.DataFrame(found, columns=["a", "b", "dist"])
+
+    rows = pairs.select("a", "b").distinct().repartition("a").sortWithinPartitions("a")
+    return rows.mapInPandas(work, "a long, b long, dist double").withColumn("dist", F.col("dist").cast(dict(road.dtypes)["len"]))
+
+
 def relaxed(road: DataFrame, sources: DataFrame) -> DataFrame:
     """The same by rounds of joins: only vertices that got nearer in a round are carried to the next."""
     found = keep(sources.select(F.col("v").alias("src"), "v").distinct().withColumn("dist", F.lit(0).cast(dict(road.dtypes)["len"])), "dist")
