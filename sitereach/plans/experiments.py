@@ -110,7 +110,7 @@ def run(spark: SparkSession, sf_dir: str, names: list[str]) -> Iterator[dict]:
 
 
 if __name__ == "__main__":
-    session = SparkSession.builder.master("local[*]").config("spark.sql.shuffle.partitions", "8").config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").getOrCreate()
+    session = SparkSession.builder.master("local[*]").config("spark.sql.shuffle.partitions", "8").config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").getOrCreate()
     session.sparkContext.setLogLevel("ERROR")
     for out in run(session, sys.argv[1], sys.argv[2:]):
         print(json.dumps(out), flush=True)
