@@ -77,6 +77,12 @@ def base_mentions(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 def find(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(row, doc_id, hash of the text) of every row, and its spans: row, kind, start, end, value (added kinds start with ``near_``)."""
+    rows, base, added = _found(docs)
+    return rows, base.union(added)
+
+
+def _found(docs: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """The rows, their base spans and the added ones."""
     rows, mentions = base_mentions(docs)
     at = Window.partitionBy("row").orderBy("start", "end", "kind")
     base_end = F.max(F.when(F.col("kind") != "token", F.col("end"))).over(at.rowsBetween(Window.unboundedPreceding, -1))
@@ -99,7 +105,31 @@ def find(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
         added = store.cut_and_free(tokens.drop("kind").join(accepted, "value"), "added")
         known = seeds.union(added.select("before", "kind", "value", "score"))
     spans = mentions.where("kind <> 'token'").select("row", "kind", "start", "end", "value")
-    return rows, spans.union(added.select("row", F.concat(F.lit("near_"), "kind").alias("kind"), "start", "end", "value"))
+    return rows, spans, added.select("row", F.concat(F.lit("near_"), "kind").alias("kind"), "start", "end", "value")
+
+
+_SPANS = "array<struct<start:bigint,end:bigint,kind:string>>"
+
+
+def _good(kind: str, placed: Column) -> Column:
+    good = F.filter(placed, lambda x: _valid(kind, x["value"]))
+    return F.transform(good, lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end"), F.lit(kind).alias("kind")))
+
+
+def base_spans(text: Column) -> Column:
+    """The base spans of a text, within its row: array<struct<start, end, kind>>."""
+    lists = []
+    for kind in KINDS:
+        none = F.struct(F.array().cast("array<struct<start:bigint,end:bigint,value:string>>").alias("all"), F.lit(0).cast("bigint").alias("at"))
+
+        def step(acc: Column, m: Column) -> Column:
+            start = acc["at"] + m["gap"]
+            end = start + m["size"]
+            return F.struct(F.concat(acc["all"], F.array(F.struct(start.alias("start"), end.alias("end"), m["value"].alias("value")))).alias("all"), end.alias("at"))
+
+        placed = F.aggregate(_matches(kind, text), none, step, lambda acc: acc["all"])
+        lists.append(F.coalesce(_good(kind, placed), F.array().cast(_SPANS)))
+    return F.concat(*lists)
 
 
 def digest(docs: DataFrame) -> DataFrame:
@@ -120,9 +150,15 @@ def redacted(docs: DataFrame) -> DataFrame:
     Overlapping spans are replaced once, under the kind of the first. The text is cut in a fixed-width
     encoding, so a long text with many spans costs no more than its length.
     """
-    rows, spans = find(docs)
-    listed = rows.join(spans, "row").select("doc_id", "tag", F.struct("start", "end", "kind").alias("s")).distinct().groupBy(F.col("doc_id").alias("__id"), F.col("tag").alias("__tag")).agg(F.sort_array(F.collect_list("s")).alias("__spans"))
-    out = docs.join(listed, docs["doc_id"].eqNullSafe(F.col("__id")) & (F.xxhash64(F.coalesce(docs["text"], F.lit(""))) == F.col("__tag")), "left")
+    rows, _, added = _found(docs)
+    local = base_spans(F.coalesce(docs["text"], F.lit("")))
+    if added.isEmpty():
+        out = docs.withColumn("__spans", F.array_sort(local))
+    else:
+        # only rows with added spans have something to be joined
+        listed = rows.join(added, "row").select("doc_id", "tag", F.struct(F.col("start").cast("bigint").alias("start"), F.col("end").cast("bigint").alias("end"), "kind").alias("s")).distinct().groupBy(F.col("doc_id").alias("__id"), F.col("tag").alias("__tag")).agg(F.collect_list("s").alias("__added"))
+        out = docs.join(listed, docs["doc_id"].eqNullSafe(F.col("__id")) & (F.xxhash64(F.coalesce(docs["text"], F.lit(""))) == F.col("__tag")), "left")
+        out = out.withColumn("__spans", F.array_sort(F.concat(local, F.coalesce(F.col("__added"), F.array().cast(_SPANS)))))
     wide = F.encode(docs["text"], "UTF-32")
     lead = F.encode(F.lit("x"), "UTF-32")  # keeps a byte order mark at the head of a piece from being dropped
     piece = lambda at, to: F.substring(F.decode(F.concat(lead, F.substring(wide, at * 4 + 1, (to - at) * 4)), "UTF-32"), 2, 2147483647)

@@ -325,3 +325,10 @@ def test_pipeline_stages(spark):
             assert 0.8 * len(before) < docs.count() <= len(before) and bad <= 2
     assert docs.where(F.size("ids") != F.col("n_tokens")).count() == 0
     assert set(r["doc_id"] for r in docs.collect()) <= set(before)
+
+
+def test_redaction_of_added_spans(spark):
+    texts = [f"Please Telefon: +1 (415) 555-2{i:03d} thanks {words(10, i)}" for i in range(6)] + ["Telefon: 030/1234567 and room 12345678 b@c.de here"]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+    out = {r["doc_id"]: r["text"] for r in personal.redacted(docs).collect()}
+    assert out[6] == "Telefon: <near_phone> and room 12345678 <email> here" and out[0].startswith("Please Telefon: <phone> thanks")
