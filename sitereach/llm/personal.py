@@ -94,7 +94,8 @@ def _found(docs: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
     tokens = mentions.where("kind = 'token'")
     pattern = seeds.where("before <> ''").groupBy("before").agg(F.countDistinct("value").alias("n")).where(F.col("n") >= SUPPORT).select("before")
     words = docs.select(F.explode(F.split(F.lower("text"), r"\s+")).alias("before")).where("before <> ''")
-    total = store.cut_and_free(words.groupBy("before").agg(F.count("*").alias("total")).join(pattern, "before", "left_semi"), "patterns")
+    # patterns are unique, so an inner join keeps the same words; a semi join would be pushed below the count, and every word would then be shuffled uncounted
+    total = store.cut_and_free(words.groupBy("before").agg(F.count("*").alias("total")).join(pattern, "before"), "patterns")
     known = seeds
     for _ in range(ROUNDS):
         strength = known.groupBy("before", "kind").agg(F.sum("score").alias("hits"), F.countDistinct("value").alias("n")).where(F.col("n") >= SUPPORT)
