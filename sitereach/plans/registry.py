@@ -16,6 +16,9 @@ from . import relational
 #: Parameters of the registered queries.
 K, ALPHA, BETA, N_CAND, N_FEW, DEPTH, RUNS, WALKS = 10, 0.6, 0.7, 20, 6, 2, 8, 60
 LEAF = 100
+#: The whole job of the solvers and of the queries named ``..._whole``, which no SQL can follow in time.
+WHOLE = workloads.DEFAULTS
+WHOLE_WALKS = 4096
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -386,6 +389,80 @@ def greedy_cover_b3(spark, sf_dir):
     return spark.createDataFrame([(i + 1, p) for i, p in enumerate(chosen)], "nth int, poi long")
 
 
+# ---------------------------------------------------------------- the same over the whole job, without SQL
+def _whole_audience(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    cand = keep(workloads.drawn_sites(c, WHOLE["n"]), "cand")
+    return c, cand, keep(audience.batch(c, cand, WHOLE["k"], WHOLE["alpha"], leaf_cap=LEAF)[0].select("poi", "usr"), "audience")
+
+
+def _whole_walks(spark, sf_dir, shuffled=False):
+    c, _, aud = _whole_audience(spark, sf_dir)
+    users = c.users.select("usr")
+    return influence.reverse_samples_shuffled(c.social, aud, users, 0, WHOLE_WALKS) if shuffled else influence.reverse_samples(c.social, aud, users, 0, WHOLE_WALKS, coins="md5")
+
+
+def _listed(samples):
+    return samples.select("rid", "target", F.concat_ws(",", F.col("near").cast("array<string>")).alias("near"), F.concat_ws(",", F.col("far").cast("array<string>")).alias("far"))
+
+
+@query()
+def distances_relaxed_whole(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return roads.relaxed(c.road, c.sites.join(workloads.drawn_sites(c, WHOLE["n"]), "poi"))
+
+
+@query()
+def audience_combined_whole(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return audience.combined(c, workloads.drawn_sites(c, WHOLE["n"]), WHOLE["k"], WHOLE["alpha"], LEAF)
+
+
+@query()
+def local_two_hop_whole(spark, sf_dir):
+    c, _, aud = _whole_audience(spark, sf_dir)
+    return influence.two_hop(c.social, aud.select(F.col("poi").alias("set_id"), "usr")).select(F.col("set_id").alias("poi"), F.round("influence", 6).alias("influence"))
+
+
+@query()
+def exhaustive_local_b2_whole(spark, sf_dir):
+    c, cand, aud = _whole_audience(spark, sf_dir)
+    chosen, value = selection.exhaustive([r["poi"] for r in cand.collect()], 2, lambda sets: selection.local_influence(c.social, aud, sets))
+    return spark.createDataFrame([(*chosen, round(value, 6))], "p long, q long, influence double")
+
+
+@query()
+def local_greedy_whole(spark, sf_dir):
+    c, cand, aud = _whole_audience(spark, sf_dir)
+    chosen, value = selection.greedy_local(c.social, aud, [r["poi"] for r in cand.collect()], WHOLE["b"])
+    return spark.createDataFrame([(i + 1, p, value) for i, p in enumerate(chosen)], "nth int, poi long, influence double")
+
+
+@query()
+def rr_sets_whole(spark, sf_dir):
+    return _listed(_whole_walks(spark, sf_dir))
+
+
+@query()
+def rr_sets_shuffled_whole(spark, sf_dir):
+    return _listed(_whole_walks(spark, sf_dir, True))
+
+
+@query()
+def rr_coverage_whole(spark, sf_dir):
+    return influence.hit_rows(_whole_walks(spark, sf_dir)).groupBy("poi").agg(F.count("*").alias("covered"), F.count(F.when(F.col("far"), 1)).alias("far"))
+
+
+@query()
+def greedy_cover_whole(spark, sf_dir):
+    return _sites(spark, selection.greedy_cover(keep(influence.hit_rows(_whole_walks(spark, sf_dir)), "hits"), WHOLE["b"]))
+
+
+@query()
+def policy_cardinality_whole(spark, sf_dir):
+    return _sites(spark, policies.cardinality(_whole_audience(spark, sf_dir)[2], WHOLE["b"]))
+
+
 @query(
     """with x as (select b::DOUBLE as b, 1500::DOUBLE as n, 60::DOUBLE as c, 0.1::DOUBLE as eps, (1 / 1500::DOUBLE) as delta, psi::DOUBLE as psi, 1 - exp(-1) as g from (values (1, 229), (5, 472), (9, 578)) t(b, psi)),
     y as (select *, lgamma(c + 1) - lgamma(b + 1) - lgamma(c - b + 1) as choose from x),
@@ -433,19 +510,19 @@ def _result(spark, *results: selection.Result) -> DataFrame:
 @query()
 def select_baseline(spark, sf_dir):
     c = _kept_city(spark, sf_dir)
-    return _result(spark, selection.sampling_baseline(c, workloads.drawn_sites(c, N_FEW), 3, K, ALPHA, retrieval="batch", eps=0.3))
+    return _result(spark, selection.sampling_baseline(c, workloads.drawn_sites(c, WHOLE["n"]), WHOLE["b"], WHOLE["k"], WHOLE["alpha"], retrieval="batch", eps=WHOLE["eps"]))
 
 
 @query()
 def select_hybrid(spark, sf_dir):
     c = _kept_city(spark, sf_dir)
-    return _result(spark, selection.hybrid_approx(c, workloads.drawn_sites(c, N_FEW), 3, K, ALPHA, eps=0.3))
+    return _result(spark, selection.hybrid_approx(c, workloads.drawn_sites(c, WHOLE["n"]), WHOLE["b"], WHOLE["k"], WHOLE["alpha"], eps=WHOLE["eps"]))
 
 
 @query()
 def select_heuristic(spark, sf_dir):
     c = _kept_city(spark, sf_dir)
-    return _result(spark, selection.local_heuristic(c, workloads.drawn_sites(c, N_FEW), 3, K, ALPHA))
+    return _result(spark, selection.local_heuristic(c, workloads.drawn_sites(c, WHOLE["n"]), WHOLE["b"], WHOLE["k"], WHOLE["alpha"]))
 
 
 @query(sql.CITY + CAND + "select poi from cand order by md5('1:' || poi), poi limit 5")
@@ -486,7 +563,7 @@ def policy_relevance(spark, sf_dir):
 @query()
 def policy_influencer(spark, sf_dir):
     c = _kept_city(spark, sf_dir)
-    return _sites(spark, policies.influencers(c, workloads.drawn_sites(c, N_CAND), 3, K, ALPHA, x=50, samples=512))
+    return _sites(spark, policies.influencers(c, workloads.drawn_sites(c, WHOLE["n"]), WHOLE["b"], WHOLE["k"], WHOLE["alpha"]))
 
 
 @query(

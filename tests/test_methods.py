@@ -146,3 +146,40 @@ def test_solvers_certify(spark, city):
     assert len(h.sites) == 2 and h.certified is not None and h.certified_by in ("ratio", "theta_max")
     e = selection.local_heuristic(city, cand, 2, 5, 0.6, batches=2)
     assert len(e.sites) == 2 and e.certified >= certificates.GREEDY
+
+
+def test_solvers_are_registered_over_the_whole_job(spark, city, monkeypatch):
+    from sitereach.plans import registry
+
+    seen = []
+
+    def record(_, candidates, b, k, alpha, eps=0.1, x=200, samples=4096, **options):
+        seen.append((candidates.count(), b, k, alpha, eps, x, samples))
+        return []
+
+    for module, solver in ((selection, "sampling_baseline"), (selection, "hybrid_approx"), (selection, "local_heuristic"), (policies, "influencers")):
+        monkeypatch.setattr(module, solver, record)
+    monkeypatch.setattr(registry, "_kept_city", lambda *_: city)
+    monkeypatch.setattr(registry, "_result", lambda *_: None)
+    monkeypatch.setattr(registry, "_sites", lambda *_: None)
+    for name in ("select_baseline", "select_hybrid", "select_heuristic", "policy_influencer"):
+        registry.QUERIES[name](spark, SF)
+    assert seen == [(60, 5, 20, 0.6, 0.1, 200, 4096)] * 4
+
+
+def test_whole_audience_equals_brute(spark, city, monkeypatch):
+    from sitereach.plans import registry
+
+    monkeypatch.setattr(registry, "_kept_city", lambda *_: city)
+    _, cand, aud = registry._whole_audience(spark, SF)
+    assert cand.count() == 60
+    want = set(map(tuple, audience.brute(city, cand, 20, 0.6).select("poi", "usr").collect()))
+    assert set(map(tuple, aud.collect())) == want
+    # greedy over the sets of walkers, counted in Python
+    rows = registry.influence.reverse_samples(city.social, aud, city.users.select("usr"), 0, 200, coins="md5").collect()
+    left, chosen = [{*r["near"], *r["far"]} for r in rows], []
+    for _ in range(5):
+        chosen.append(max(sorted({p for s in left for p in s}), key=lambda p: sum(p in s for s in left)))
+        left = [s for s in left if chosen[-1] not in s]
+    hits = influence.hit_rows(spark.createDataFrame(rows, "rid long, target long, near array<long>, far array<long>"))
+    assert selection.greedy_cover(hits, 5) == chosen
