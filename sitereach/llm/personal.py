@@ -2,10 +2,12 @@
 
 Base spans come from fixed patterns (e-mail, IPv4, card, phone). They seed the search: the word before a
 span is a lexical pattern, and the graph of patterns and values is scored in rounds. A pattern's confidence
-for a kind is the score of the mentions that follow it over all its occurrences in the corpus; a token with
-digits that follows a confident pattern, or repeats a value accepted elsewhere, is accepted as a new mention
-with the confidence as its score, and feeds the next round. What is accepted in the end is added to the
-spans under the kind ``near_`` + kind; base spans are never changed.
+for a kind is the score of the mentions that follow it over all its occurrences in the corpus. A candidate is
+a word with digits and the digit groups joined to it by single separators, or a word like an e-mail address
+(``joe(at)site.org``), which needs no digit. One that follows a confident pattern, or repeats a value accepted
+elsewhere, is accepted as a new mention with the confidence as its score, and feeds the next round; what is
+accepted stays, and the rounds end when one accepts no new value. What is accepted in the end is added to the
+spans under the kind ``near_`` + kind; base spans are never changed, and a candidate ends before one.
 
 Positions are code points, end exclusive. A null or empty text has no span; a row keeps its own spans
 whether or not its doc_id is null or repeated; an empty table gives an empty one; further columns are
@@ -27,12 +29,22 @@ PATTERNS = {
     "ip": r"(?:\G|(?<![0-9]))[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++",
     "card": r"[0-9](?:[\x20-]?[0-9])++",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
-    "token": r"(?<!\S)[^\s0-9]*+[0-9]\S*+",
 }
+#: Digit groups that carry on a word with digits, which must not end in a mark of punctuation.
+GROUP = r"[(+]?[0-9][0-9()/.,;:+-]*+(?!\S)"
+NAME, DOT, AT = r"[\p{L}\p{N}_%+-]++", r"(?:\.|\x20?[\[({<]dot[\])}>]\x20?|\x20dot\x20)", r"(?:@|\x20?[\[({<]at[\])}>]\x20?|\x20at\x20)"
+#: Candidates, looked for behind every word (group 1) or at the head of the text: group 2 is the candidate, group 3 its first word.
+CANDIDATES = {
+    "token": rf"(?=(([^\s0-9]*+[0-9]\S*+)(?:(?<![,;:.!?])\x20(?:[/-]\x20)?{GROUP})*+))",
+    "mail": rf"(?i)(?=(([^\s\p{{L}}\p{{N}}]*+{NAME}(?:{DOT}{NAME})*+(?:@{NAME}|{AT}{NAME}{DOT}{NAME})(?:{DOT}{NAME})*+)))",
+}
+BEHIND = r"(?:(?<!\S)(\S++)|\A)\s++"
+#: Characters of a pattern that count.
+CONTEXT = 80
 #: A character that every match holds; texts without it are not searched.
 NEEDS = {"email": "@", "phone": "+"}
-#: Rounds of scoring, least confidence, least number of different values that a pattern has introduced.
-ROUNDS, CONFIDENCE, SUPPORT = 2, 0.5, 3
+#: Least confidence, least number of different values that a pattern has introduced.
+CONFIDENCE, SUPPORT = 0.5, 3
 
 
 def _valid(kind: str, value: Column) -> Column:
@@ -49,30 +61,58 @@ def _valid(kind: str, value: Column) -> Column:
     return F.lit(True)
 
 
-def _matches(kind: str, text: Column) -> Column:
-    """array<struct<kind, i, gap, size, before, value>>: what stands between the matches, and the matches."""
+def _matches(kind: str, text: Column, context: bool = False) -> Column:
+    """array<struct<kind, gap, size, before, value>>: what stands between the matches, and the matches; ``before`` only with ``context``."""
     pattern = F.lit(PATTERNS[kind])
     parts, found = F.split(text, PATTERNS[kind], -1), F.regexp_extract_all(text, pattern, F.lit(0))
-    rows = F.transform(F.arrays_zip(F.slice(parts, 1, F.size(found)).alias("gap"), found.alias("value")), lambda x: F.struct(F.lit(kind).alias("kind"), F.length(x["gap"]).alias("gap"), F.length(x["value"]).alias("size"), F.lower(F.regexp_extract(F.substring(x["gap"], -80, 80), r"(\S+)\s*$", 1)).alias("before"), x["value"].alias("value")))
+    zipped = F.arrays_zip(F.slice(parts, 1, F.size(found)).alias("gap"), found.alias("value"))
+    last = lambda x: F.lower(F.regexp_extract(F.substring(x, -CONTEXT, CONTEXT), r"(\S+)\s*$", 1))
+
+    def before(all_: Column, x: Column, i: Column) -> Column:
+        # a gap without a whole word is read on into the matches before it, of two characters at least each
+        earlier = F.slice(all_, F.greatest(F.lit(1), i - CONTEXT // 2 + 1), F.least(i, F.lit(CONTEXT // 2)))
+        longer = F.concat(F.array_join(F.transform(earlier, lambda y: F.concat(y["gap"], y["value"])), ""), x["gap"])
+        return F.when((i == 0) | F.substring(x["gap"], -CONTEXT, CONTEXT).rlike(r"\s\S+\s*$"), last(x["gap"])).otherwise(last(longer))
+
+    made = lambda all_: F.transform(all_, lambda x, i: F.struct(F.lit(kind).alias("kind"), F.length(x["gap"]).alias("gap"), F.length(x["value"]).alias("size"), (before(all_, x, i) if context else F.lit("")).alias("before"), x["value"].alias("value")))
+    rows = F.element_at(F.transform(F.array(zipped), made), 1)  # bound once: the text is not searched again for each match
     if kind in NEEDS:
         return F.when(F.instr(text, NEEDS[kind]) > 0, rows)
     return F.when(text.rlike("[0-9]"), rows)
 
 
+def _candidates(kind: str, text: Column) -> Column:
+    """array<struct<kind, gap, size, before, value, word, head>>: what stands between the words before candidates, and these words and candidates.
+
+    ``head`` is false where the candidate carries on a run of digit groups.
+    """
+    held, regex = F.concat(F.lit("\n"), text), BEHIND + CANDIDATES[kind]
+    group = lambda i: F.regexp_extract_all(held, F.lit(regex), F.lit(i))
+    zipped = F.arrays_zip(F.slice(F.split(held, regex, -1), 1, F.size(group(0))).alias("gap"), group(0).alias("all"), group(1).alias("before"), group(2).alias("value"), group(3).alias("word"))
+    runs_on = lambda x: F.endswith(x["all"], F.concat(x["before"], F.lit(" "))) & x["before"].rlike(f"^{GROUP}$") & ~x["before"].rlike("[,;:.!?]$") & x["word"].rlike(f"^{GROUP}$")
+    rows = F.transform(zipped, lambda x: F.struct(F.lit(kind).alias("kind"), F.length(x["gap"]).alias("gap"), F.length(x["all"]).alias("size"), F.right(F.lower(x["before"]), F.lit(CONTEXT)).alias("before"), x["value"].alias("value"), x["word"].alias("word"), (~runs_on(x) if kind == "token" else F.lit(True)).alias("head")))
+    return F.when(text.rlike("[0-9]" if kind == "token" else r"(?i)@|[\[({<]at[\])}>]|\x20at\x20"), rows)
+
+
 def base_mentions(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(row, doc_id, hash of the text) of every row, and row, kind, start, end, before, value, ok of every match, in any text."""
+    """(row, doc_id, hash of the text) of every row, and row, kind, start, end, before, value, word, head of every match and candidate, in any text."""
     rows = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", F.coalesce("text", F.lit("")).alias("text"))
     rows = rows.withColumn("tag", F.xxhash64("text"))
     none = F.array().cast("array<struct<kind:string,gap:int,size:int,before:string,value:string>>")
-    found = rows.select("row", "doc_id", "tag", *(F.coalesce(_matches(k, F.col("text")), none).alias(k) for k in PATTERNS))
-    found = store.cut_and_free(found, "matches")
-    one = found.select("row", F.explode(F.array(*PATTERNS)).alias("list")).select("row", F.posexplode("list").alias("i", "m")).select("row", "i", "m.*")
+    no_candidate = F.array().cast("array<struct<kind:string,gap:int,size:int,before:string,value:string,word:string,head:boolean>>")
+    lists = [F.coalesce(_matches(k, F.col("text"), True), none).alias(k) for k in PATTERNS] + [F.coalesce(_candidates(k, F.col("text")), no_candidate).alias(k) for k in CANDIDATES]
+    found = store.cut_and_free(rows.select("row", "doc_id", "tag", *lists), "matches")
+    one = lambda kinds: found.select("row", F.explode(F.array(*kinds)).alias("list")).select("row", F.posexplode("list").alias("i", "m")).select("row", "i", "m.*")
     run = Window.partitionBy("row", "kind").orderBy("i").rowsBetween(Window.unboundedPreceding, 0)
-    placed = one.withColumn("end", F.sum(F.col("gap") + F.col("size")).over(run)).withColumn("start", F.col("end") - F.col("size"))
+    to = F.sum(F.col("gap") + F.col("size")).over(run)
+    placed = one(PATTERNS).withColumn("end", to).withColumn("start", F.col("end") - F.col("size"))
     ok = F.lit(False)
     for k in PATTERNS:
         ok = F.when(F.col("kind") == k, _valid(k, F.col("value"))).otherwise(ok)
-    return found.select("row", "doc_id", "tag"), placed.where(ok).select("row", "kind", "start", "end", "before", "value")
+    placed = placed.where(ok).select("row", "kind", "start", "end", "before", "value", F.col("value").alias("word"), F.lit(True).alias("head"))
+    # the text was read behind one added character, and a candidate begins where the match ends
+    behind = one(CANDIDATES).withColumn("start", to - 1).withColumn("end", F.col("start") + F.length("value"))
+    return found.select("row", "doc_id", "tag"), placed.union(behind.select(*placed.columns))
 
 
 def find(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -81,31 +121,59 @@ def find(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     return rows, base.union(added)
 
 
+def _apart(mentions: DataFrame) -> DataFrame:
+    """The base mentions, and the candidates cut before the next base mention; candidates that begin in one go.
+
+    A candidate of several words gives a row for its first word, too: that may repeat a known value.
+    ``whole`` marks what counts if a pattern stands before it, ``follows`` what does stand behind one.
+    """
+    at = Window.partitionBy("row").orderBy("start", "end", "kind")
+    base = ~F.col("kind").isin(*CANDIDATES)
+    base_end = F.max(F.when(base, F.col("end"))).over(at.rowsBetween(Window.unboundedPreceding, -1))
+    base_start = F.min(F.when(base, F.col("start"))).over(at.rowsBetween(1, Window.unboundedFollowing))
+    seen = mentions.withColumn("base_end", F.coalesce(base_end, F.lit(0))).withColumn("base_start", F.coalesce(base_start, F.col("end")))
+    before_base = F.substring(F.col("value"), F.lit(1), (F.col("base_start") - F.col("start")).cast("int"))
+    cut = F.when(F.col("base_start") >= F.col("end"), F.col("value")).when(before_base.rlike(r"\s"), F.regexp_replace(before_base, r"\s+\S*$", "")).otherwise("")
+    rest = seen.where(~base & (F.col("base_end") <= F.col("start"))).withColumn("value", cut).where("value <> ''")
+    forms = F.array(F.struct("value", F.col("head").alias("whole")), F.struct(F.col("word").alias("value"), F.lit(False).alias("whole")))
+    one = rest.withColumn("form", F.explode(F.when(F.col("value") == F.col("word"), F.slice(forms, 1, 1)).otherwise(forms)))
+    one = one.select("row", "kind", "start", (F.col("start") + F.length("form.value")).alias("end"), "before", "form.value", "form.whole", F.col("head").alias("follows"))
+    one = one.where((F.col("kind") != "token") | _valid("token", F.col("value")))
+    return seen.where(base).select("row", "kind", "start", "end", "before", "value", F.lit(True).alias("whole"), F.lit(True).alias("follows")).union(one)
+
+
 def _found(docs: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
     """The rows, their base spans and the added ones."""
     rows, mentions = base_mentions(docs)
-    at = Window.partitionBy("row").orderBy("start", "end", "kind")
-    base_end = F.max(F.when(F.col("kind") != "token", F.col("end"))).over(at.rowsBetween(Window.unboundedPreceding, -1))
-    base_start = F.min(F.when(F.col("kind") != "token", F.col("start"))).over(at.rowsBetween(1, Window.unboundedFollowing))
-    apart = (F.coalesce(base_end, F.lit(0)) <= F.col("start")) & (F.coalesce(base_start, F.col("end")) >= F.col("end"))
-    mentions = mentions.withColumn("apart", apart).where((F.col("kind") != "token") | F.col("apart")).drop("apart")
-    mentions = store.cut_and_free(mentions, "mentions")
-    seeds = mentions.where("kind <> 'token'").select("before", "kind", "value", F.lit(1.0).alias("score"))
-    tokens = mentions.where("kind = 'token'")
-    pattern = seeds.where("before <> ''").groupBy("before").agg(F.countDistinct("value").alias("n")).where(F.col("n") >= SUPPORT).select("before")
-    words = docs.select(F.explode(F.split(F.lower("text"), r"\s+")).alias("before")).where("before <> ''")
+    mentions = store.cut_and_free(_apart(mentions), "mentions")
+    base = ~F.col("kind").isin(*CANDIDATES)
+    seeds = mentions.where(base).select("before", "kind", "value", F.lit(1.0).alias("score"))
+    tokens = mentions.where(~base).withColumnRenamed("kind", "form")
+    # a pattern of any round introduces values of the seeds or of candidates
+    pattern = mentions.where("follows and before <> ''").groupBy("before").agg(F.countDistinct("value").alias("n")).where(F.col("n") >= SUPPORT).select("before")
+    words = docs.select(F.explode(F.split(F.lower("text"), r"\s+")).alias("before")).where("before <> ''").select(F.right("before", F.lit(CONTEXT)).alias("before"))
     # patterns are unique, so an inner join keeps the same words; a semi join would be pushed below the count, and every word would then be shuffled uncounted
     total = store.cut_and_free(words.groupBy("before").agg(F.count("*").alias("total")).join(pattern, "before"), "patterns")
-    known = seeds
-    for _ in range(ROUNDS):
+    known, accepted = seeds, docs.sparkSession.createDataFrame([], "value string, kind string, score double")
+    added = tokens.join(accepted, "value")
+    while True:
         strength = known.groupBy("before", "kind").agg(F.sum("score").alias("hits"), F.countDistinct("value").alias("n")).where(F.col("n") >= SUPPORT)
         strong = strength.join(total, "before").select("before", "kind", (F.col("hits") / F.greatest("total", "hits")).alias("score")).where(F.col("score") >= CONFIDENCE)
-        told = tokens.drop("kind").join(strong, "before").select("value", "kind", "score")
-        # one kind for each value, the likeliest; the value then counts wherever it stands
-        accepted = told.groupBy("value").agg(F.max(F.struct("score", "kind")).alias("best")).select("value", "best.kind", "best.score")
-        added = store.cut_and_free(tokens.drop("kind").join(accepted, "value"), "added")
-        known = seeds.union(added.select("before", "kind", "value", "score"))
-    spans = mentions.where("kind <> 'token'").select("row", "kind", "start", "end", "value")
+        told = tokens.where("whole").join(strong, "before").where("form <> 'mail' or kind = 'email'").select("value", "kind", "score")
+        # one kind for each value, the likeliest; the value then counts wherever it stands, and is not judged again, so the rounds come to an end
+        best = told.groupBy("value").agg(F.max(F.struct("score", "kind")).alias("best")).select("value", "best.kind", "best.score")
+        new = store.cut_and_free(best.join(accepted.select("value"), "value", "left_anti"), "accepted")
+        if new.isEmpty():
+            break
+        accepted = accepted.union(new)
+        added = store.cut_and_free(tokens.join(accepted, "value"), "added")
+        # a place counts once for its pattern, whether the run or its first word is known
+        once = added.where("follows").groupBy("row", "start", "before", "kind").agg(F.max(F.struct("score", "value")).alias("best"))
+        known = seeds.union(once.select("before", "kind", "best.value", "best.score"))
+    # a span within another one is left out
+    earlier = F.max("end").over(Window.partitionBy("row").orderBy("start", F.desc("end"), F.desc("score"), "kind", "form").rowsBetween(Window.unboundedPreceding, -1))
+    added = added.withColumn("earlier", earlier).where("earlier is null or earlier < end")
+    spans = mentions.where(base).select("row", "kind", "start", "end", "value")
     return rows, spans, added.select("row", F.concat(F.lit("near_"), "kind").alias("kind"), "start", "end", "value")
 
 

@@ -250,6 +250,30 @@ def test_context_finds_new_spans(spark):
     assert got[6] == f"near_phone:9:{len('Telefon: 030/1234567')}"
 
 
+def test_context_finds_runs_of_words_and_mail_without_digits(spark):
+    seeds = [f"Please Telefon: +1 (415) 555-2{i:03d} thanks {words(10, i)}" for i in range(6)] + [f"Tel1 +1 (415) 555-3{i:03d} Mail: ann{chr(97 + i)}@site.org {words(9, i)}" for i in range(6)]
+    texts = ["Telefon: 0301 234567 and", "Telefon: 030 1234567", "Tel1 0301299999 x", "Mail: joe(at)site.org now", "so Mail: joe at site dot org", "see Telefon: 0301888888 +1 (415) 555-2671 end", "room 12345678 and eve(at)site.org"]
+    got = [r["spans"] for r in personal.digest(table(spark, seeds + texts)).orderBy("doc_id").collect()][len(seeds) :]
+    want = [("near_phone", "0301 234567"), ("near_phone", "030 1234567"), ("near_phone", "0301299999"), ("near_email", "joe(at)site.org"), ("near_email", "joe at site dot org"), ("near_phone", "0301888888")]
+    for text, spans, (kind, value) in zip(texts, got, want, strict=False):
+        assert f"{kind}:{text.index(value)}:{text.index(value) + len(value)}" in spans.split(",")
+    assert [len(x.split(",")) for x in got[:5]] == [1] * 5 and got[6] == ""
+    docs = spark.createDataFrame(list(enumerate(seeds + texts)), "doc_id long, text string")
+    out = [r["text"] for r in personal.redacted(docs).orderBy("doc_id").collect()][len(seeds) :]
+    assert out[:2] == ["Telefon: <near_phone> and", "Telefon: <near_phone>"] and out[5] == "see Telefon: <near_phone> <phone> end"
+
+
+def test_context_goes_on_until_nothing_is_new(spark):
+    # three values of each generation come first behind one word, and again and again behind the next
+    texts, new = [f"w-0 +1 (415) 555-2{i:03d} end" for i in range(30)], []
+    for g in range(4):
+        values = [f"77{g}{i}000" for i in range(3)]
+        new += range(len(texts), len(texts) + 3)
+        texts += [f"w-{g} {v} end" for v in values] + [f"w-{g + 1} {v} end" for v in values * 10]
+    got = {r["doc_id"]: r["spans"] for r in personal.digest(table(spark, texts)).collect()}
+    assert [got[i] for i in new] == ["near_phone:4:11"] * 12
+
+
 def test_redaction(spark):
     docs = spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in enumerate([*PII, "﻿x b@c.de y"])], "doc_id long, text string, lang string, source string, n_chars long")
     out = {r["doc_id"]: r for r in personal.redacted(docs).collect()}
