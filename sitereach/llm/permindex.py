@@ -3,8 +3,9 @@
 A vector is represented by its nearest pivots in order. Every index shard posts its vectors in one
 inverted file per pivot (vector, position of the pivot); a query reads the files of its own pivots and
 adds up, for each vector met there, how far the footrule distance of the two prefixes falls below that
-of disjoint ones. The vectors of least footrule distance are then ranked again by the exact inner
-product in double precision.
+of disjoint ones. Prefixes tell angles only, so that sum times the vector's length stands for the inner
+product; the vectors where it is largest are ranked again by the exact inner product in double precision.
+Where lengths are equal, these are the vectors of least footrule distance.
 
 Pivots are the ``pivots`` vectors of smallest hash (a bounded sample); every vector is indexed. Vectors
 that are equal are indexed once with their ``k + 1`` smallest ids, which is all that a result of k rows
@@ -106,12 +107,13 @@ def nearest(vectors: DataFrame, every: int, k: int, pivots: int = PIVOTS, prefix
                 if not batch.num_rows:
                     continue
                 seen, x = True, _matrix(batch.column(0))
+                length = np.linalg.norm(x, axis=1)
                 files = InvertedFiles(x, pivot_side.value, prefix)
                 owners = batch.column(1)
                 cut, owner = owners.offsets.to_numpy() - owners.offsets[0].as_py(), owners.flatten().to_numpy()
                 take = min(len(x), max(least, int(share * len(x))))
                 for i in range(len(ids)):
-                    gain = files.footrule_gain(views[i])
+                    gain = (files.footrule_gain(views[i]) + 1) * length
                     near = np.argpartition(-gain, take - 1)[:take] if take < len(x) else np.arange(len(x))
                     s = x[near] @ q[i]
                     if len(near) > 2 * k + 2:

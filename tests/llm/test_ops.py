@@ -330,6 +330,19 @@ def test_nearest(spark):
     assert len(copies) > 5 and copies == list(range(3000, 3000 + len(copies)))
 
 
+@pytest.mark.parametrize("spread", [0.5, 1.0])
+def test_nearest_of_unequal_lengths(spark, spread):
+    rng = np.random.default_rng(6)
+    x = rng.normal(size=(6000, 64))
+    x *= np.exp(spread * rng.normal(size=(6000, 1))) / np.linalg.norm(x, axis=1, keepdims=True)
+    got = permindex.nearest(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>"), 100, 20).toPandas()
+    s = x @ x[::100].T
+    want = {(100 * j, int(i)) for j in range(60) for i in [i for i in np.argsort(-s[:, j]) if i != 100 * j][:20]}
+    recall = len(want & set(zip(got["query_id"], got["vec_id"], strict=True))) / len(want)
+    print("recall", spread, recall)
+    assert recall >= 0.98
+
+
 # ---------------------------------------------------------------- pipeline
 def test_pipeline_stages(spark):
     import corpus_pipeline
