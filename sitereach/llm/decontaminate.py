@@ -6,7 +6,7 @@ largest size of its part: a document that contains enough of the item holds at l
 candidate search loses nothing. Candidates are then counted on the whole shingle sets of both sides.
 
 The items are read in blocks of bounded size, each sent to all tasks; documents never move. A null or
-empty text, of either side, matches nothing. An item of fewer words than a shingle counts as one shingle,
+empty text, of either side, matches nothing; a null item_id is carried through. An item of fewer words than a shingle counts as one shingle,
 its whole sequence, and is searched for as such. Rows with equal ids and texts give equal rows; an empty
 table on either side gives an empty result.
 """
@@ -31,7 +31,7 @@ BLOCK_ITEMS, BLOCK_BYTES = 20_000, 16 << 20
 class Block:
     """Sketches and shingle sets of the items of a block."""
 
-    def __init__(self, ids: list[int], texts: list[str], size: int, least: float):
+    def __init__(self, ids: list[int | None], texts: list[str], size: int, least: float):
         raw, off = textkit.text_bytes(pa.array(texts, pa.string()))
         words = textkit.Words(raw, off)
         self.size, self.least = size, least
@@ -79,10 +79,10 @@ class Block:
                     yield int(r), int(i), len(self.sets[i]), both
 
 
-def blocks(items: DataFrame) -> Iterator[tuple[list[int], list[str]]]:
+def blocks(items: DataFrame) -> Iterator[tuple[list[int | None], list[str]]]:
     """The items, block by block; the driver holds one block at a time."""
     ids, texts, held = [], [], 0
-    rows = items.select("item_id", "text").where("item_id is not null and text is not null").distinct()
+    rows = items.select("item_id", "text").where("text is not null").distinct()
     for r in rows.toLocalIterator():
         if ids and (len(ids) >= BLOCK_ITEMS or held + len(r["text"]) > BLOCK_BYTES):
             yield ids, texts

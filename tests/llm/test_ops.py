@@ -308,6 +308,13 @@ def test_decontamination(spark):
     assert decontaminate.matches(table(spark, texts), it.limit(0)).count() == 0
 
 
+def test_items_without_an_id_are_searched_for(spark):
+    items = spark.createDataFrame([(None, words(30, 70)), (1, words(12, 71))], "item_id long, text string")
+    docs = table(spark, [words(9, 1) + " " + words(30, 70), words(12, 71), words(40, 2)])
+    assert sorted(((r["doc_id"], r["item_id"]) for r in decontaminate.matches(docs, items).collect())) == [(0, None), (1, 1)]
+    assert [r["doc_id"] for r in decontaminate.clean(docs, items).collect()] == [2]
+
+
 # ---------------------------------------------------------------- 10
 def test_nearest(spark):
     rng = np.random.default_rng(4)
