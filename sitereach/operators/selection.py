@@ -104,7 +104,31 @@ class Matrix:
         return [float(self.covered([*sites, p], mode) - base) for p in self.candidates if p not in sites]
 
 
-def greedy_matrix(m: Matrix, b: int, mode: str = "any") -> tuple[list[int], list[float], list[list[float]]]:
+class Counted:
+    """The same answers for mode ``any`` by counts over rows, where bitmaps would exceed ``MATRIX_BYTES``."""
+
+    def __init__(self, samples: DataFrame, candidates: list[int], first: int, count: int):
+        self.candidates, self.count = sorted(candidates), count
+        self.hits = keep(influence.hit_rows(samples).select("rid", "poi").distinct(), "hits")
+
+    def _met(self, sites: list[int]) -> DataFrame:
+        return self.hits.where(F.col("poi").isin(sites)).select("rid").distinct()
+
+    def covered(self, sites: list[int], mode: str = "any") -> int:
+        return self._met(sites).count()
+
+    def gains(self, sites: list[int], mode: str = "any") -> list[float]:
+        rows = self.hits.join(self._met(sites), "rid", "left_anti").groupBy("poi").agg(F.count("*").alias("n")).collect()
+        n = {r["poi"]: r["n"] for r in rows}
+        return [float(n.get(p, 0)) for p in self.candidates if p not in sites]
+
+
+def coverage_of(samples: DataFrame, candidates: list[int], first: int, count: int) -> Matrix | Counted:
+    kind = Counted if 2 * len(candidates) * count // 8 > MATRIX_BYTES else Matrix
+    return kind(samples, candidates, first, count)
+
+
+def greedy_matrix(m: Matrix | Counted, b: int, mode: str = "any") -> tuple[list[int], list[float], list[list[float]]]:
     """Choices, coverages of the prefixes and the gains seen after each: lazily, as gains only fall for ``any``."""
     chosen, prefixes, gains = [], [0.0], []
     for _ in range(min(b, len(m.candidates))):
@@ -172,8 +196,8 @@ def _setup(city: City, candidates: DataFrame, retrieve: Callable[[], DataFrame],
     return aud, keep(social, "social"), users, users.count()
 
 
-def sampling_baseline(city: City, candidates: DataFrame, b: int = 5, k: int = 20, alpha: float = 0.6, eps: float = 0.1, delta: float | None = None, retrieval: str = "combined", split: str = "union", cap: str = "marginal", seed: int = 1, most: int = 1 << 20) -> Result:
-    """Site by site retrieval, then reverse samples doubled until the greedy choice is certified."""
+def sampling_baseline(city: City, candidates: DataFrame, b: int = 5, k: int = 20, alpha: float = 0.6, eps: float = 0.1, delta: float | None = None, retrieval: str = "combined", split: str = "union", cap: str = "marginal", seed: int = 1, most: int | None = None) -> Result:
+    """Site by site retrieval, then reverse samples doubled until the greedy choice is certified, or ``most`` of them, if given, are drawn."""
     out, pois = Result("sampling_baseline", []), _pois(candidates)
     get = (lambda: audience_ops.combined(city, candidates, k, alpha)) if retrieval == "combined" else (lambda: audience_ops.batch(city, candidates, k, alpha)[0])
     aud, social, users, n = _setup(city, candidates, get, out)
@@ -185,12 +209,12 @@ def sampling_baseline(city: City, candidates: DataFrame, b: int = 5, k: int = 20
     while True:
         rounds += 1
         each = delta / 2 if split == "half" else delta / 2 / (rounds * (rounds + 1))
-        m1, m2 = (Matrix(influence.reverse_samples(social, aud, users, start, size, seed), pois, start, size) for start in (1 << 40, 1 << 41))
+        m1, m2 = (coverage_of(influence.reverse_samples(social, aud, users, start, size, seed), pois, start, size) for start in (1 << 40, 1 << 41))
         chosen, prefixes, gains = greedy_matrix(m1, b)
         lo = cert.lower(m2.covered(chosen), n, size, each)
         hi = cert.upper(min(cert.coverage_cap(prefixes, gains, b, cap), size), n, size, each)
         out.sites, out.influence, out.samples, out.certified = chosen, n * m2.covered(chosen) / size, 2 * size, lo / hi
-        if lo / hi >= cert.GREEDY - eps or 2 * size >= most:
+        if lo / hi >= cert.GREEDY - eps or (most and 2 * size >= most):
             out.certified_by = "ratio" if lo / hi >= cert.GREEDY - eps else "limit"
             break
         size *= 2

@@ -183,3 +183,29 @@ def test_whole_audience_equals_brute(spark, city, monkeypatch):
         left = [s for s in left if chosen[-1] not in s]
     hits = influence.hit_rows(spark.createDataFrame(rows, "rid long, target long, near array<long>, far array<long>"))
     assert selection.greedy_cover(hits, 5) == chosen
+
+
+def test_baseline_goes_on_until_certified(monkeypatch):
+    class All:
+        def __init__(self, samples, candidates, first, count):
+            self.candidates, self.count = candidates, count
+
+        def covered(self, sites, mode="any"):
+            return self.count if sites else 0
+
+        def gains(self, sites, mode):
+            return [0.0 if sites else float(self.count) for p in self.candidates if p not in sites]
+
+    monkeypatch.setattr(selection, "_pois", lambda c: [1, 2])
+    monkeypatch.setattr(selection, "_setup", lambda *_: (None, None, None, 10))
+    monkeypatch.setattr(selection.influence, "reverse_samples", lambda *_: None)
+    monkeypatch.setattr(selection, "Matrix", All)
+    monkeypatch.setattr(selection.cert, "lower", lambda c, n, size, d: 10.0 if size >= 1 << 22 else 0.0)
+    got = selection.sampling_baseline(None, None, 1)
+    assert got.certified_by == "ratio" and got.samples == 1 << 23
+
+
+def test_counts_answer_as_bitmaps_do(spark):
+    samples = pairs(spark, [(0, 9, [1], [2]), (1, 9, [], [2]), (2, 9, [], []), (3, 9, [2], [1]), (4, 9, [3], [])], "rid long, target long, near array<long>, far array<long>")
+    a, b = selection.Matrix(samples, [1, 2, 3], 0, 5), selection.Counted(samples, [1, 2, 3], 0, 5)
+    assert selection.greedy_matrix(a, 2) == selection.greedy_matrix(b, 2)
