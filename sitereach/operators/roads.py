@@ -1,8 +1,8 @@
 """Distances on the road network.
 
 Worker engines hold the road in compressed rows: its size is checked against ``ROAD_LIMIT`` before it is
-broadcast. ``relaxed`` is the way beyond that limit and the test of equality; ``labels`` answers pairs by a
-join on shared hubs.
+broadcast. ``relaxed`` is the way beyond that limit, which ``from_sources`` and ``between`` take by themselves,
+and the test of equality; ``labels`` answers pairs by a join on shared hubs, and is built within that limit.
 """
 
 from __future__ import annotations
@@ -69,13 +69,15 @@ def broadcast_rows(road: DataFrame):
     """The road as a broadcast ``Rows``, or an error if it is larger than may be broadcast."""
     n = road.count()
     if n > ROAD_LIMIT:
-        raise ValueError(f"a road of {n} edges is too large to broadcast; use relaxed() or labels()")
+        raise ValueError(f"a road of {n} edges is too large to broadcast; use relaxed()")
     e = road.select("src", "dst", "len").toPandas()
     return road.sparkSession.sparkContext.broadcast(Rows(e["src"].to_numpy(np.int64), e["dst"].to_numpy(np.int64), e["len"].to_numpy()))
 
 
 def from_sources(road: DataFrame, sources: DataFrame) -> DataFrame:
     """src, v, dist: shortest distance from every ``v`` of sources to every vertex that it reaches."""
+    if road.count() > ROAD_LIMIT:
+        return relaxed(road, _on_road(road, sources.select("v")))
     shared = broadcast_rows(road)
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -93,6 +95,10 @@ def from_sources(road: DataFrame, sources: DataFrame) -> DataFrame:
 
 def between(road: DataFrame, pairs: DataFrame) -> DataFrame:
     """a, b, dist of (a, b) pairs: the search from a ends when all its b are settled, so near pairs are cheap."""
+    if road.count() > ROAD_LIMIT:
+        rows = pairs.select("a", "b").distinct()
+        reach = relaxed(road, _on_road(road, rows.select(F.col("a").alias("v"))))
+        return rows.join(reach.select(F.col("src").alias("a"), F.col("v").alias("b"), "dist"), ["a", "b"]).select("a", "b", "dist")
     shared = broadcast_rows(road)
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -112,6 +118,10 @@ def between(road: DataFrame, pairs: DataFrame) -> DataFrame:
     return rows.mapInPandas(work, "a long, b long, dist double").withColumn("dist", F.col("dist").cast(dict(road.dtypes)["len"]))
 
 
+def _on_road(road: DataFrame, vertices: DataFrame) -> DataFrame:
+    return vertices.distinct().join(road.select(F.col("src").alias("v")).union(road.select("dst")).distinct(), "v", "left_semi")
+
+
 def relaxed(road: DataFrame, sources: DataFrame) -> DataFrame:
     """The same by rounds of joins: only vertices that got nearer in a round are carried to the next."""
     found = keep(sources.select(F.col("v").alias("src"), "v").distinct().withColumn("dist", F.lit(0).cast(dict(road.dtypes)["len"])), "dist")

@@ -209,3 +209,12 @@ def test_counts_answer_as_bitmaps_do(spark):
     samples = pairs(spark, [(0, 9, [1], [2]), (1, 9, [], [2]), (2, 9, [], []), (3, 9, [2], [1]), (4, 9, [3], [])], "rid long, target long, near array<long>, far array<long>")
     a, b = selection.Matrix(samples, [1, 2, 3], 0, 5), selection.Counted(samples, [1, 2, 3], 0, 5)
     assert selection.greedy_matrix(a, 2) == selection.greedy_matrix(b, 2)
+
+
+def test_large_roads_go_by_joins(spark, monkeypatch):
+    road = pairs(spark, [(1, 2, 3), (2, 1, 3), (2, 3, 4), (3, 2, 4)], "src long, dst long, len long")
+    sources, ends = pairs(spark, [(1,), (3,), (99,)], "v long"), pairs(spark, [(1, 3), (2, 2), (1, 99), (99, 99)], "a long, b long")
+    both = lambda: (sorted(map(tuple, roads.from_sources(road, sources).collect())), sorted(map(tuple, roads.between(road, ends).collect())))
+    want = both()
+    monkeypatch.setattr(roads, "ROAD_LIMIT", 1)
+    assert both() == want and want[1] == [(1, 3, 7), (2, 2, 0)]
