@@ -274,6 +274,48 @@ def test_context_goes_on_until_nothing_is_new(spark):
     assert [got[i] for i in new] == ["near_phone:4:11"] * 12
 
 
+def test_context_finds_the_labelled_keys(spark):
+    # the list is made from the documents by their fixed wording; the operator knows the shape of lower-case keys only
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    want = {(r["doc_id"], m.start(1), m.end(1)) for r in docs.collect() for m in re.finditer(r'(?i)token = "([0-9a-f]{40})"', r["text"] or "")}
+    got = {(r["doc_id"], int(a), int(b)) for r in personal.digest(docs).collect() for k, a, b in (x.split(":") for x in r["spans"].split(",") if x) if k == "near_key"}
+    assert len(want) >= 10 and got == want
+
+
+def test_contexts_of_two_words_and_of_both_sides(spark):
+    keys = [hashlib.sha1(str(i).encode()).hexdigest() for i in range(8)]
+    assert all(re.search("[a-f]", k) for k in keys)
+    texts = [f"{words(5, i)} is my key `{k}` friend {words(5, 50 + i)}" for i, k in enumerate(keys[:4])] + [f"the way is the key of it and the friend is my house {i}" for i in range(40)]
+    texts += ["so is my key `ZZ-99-0001` friend", "code 0000777 is here", "the key 12345678 was lost"]
+    texts += [f"{words(4, 80 + i)} open {k} sesame {words(4, 90 + i)}" for i, k in enumerate(keys[4:])] + ["I open the door"] * 3 + ["sesame seeds"] * 20 + ["now open 555-000-1 sesame"]
+    got = [r["spans"] for r in personal.digest(table(spark, texts)).orderBy("doc_id").collect()]
+    at = lambda i, v: f"near_key:{texts[i].index(v)}:{texts[i].index(v) + len(v)}"
+    assert got[44] == at(44, "ZZ-99-0001") and got[45] == got[46] == "" and got[-1] == at(-1, "555-000-1")
+
+
+def test_running_sums_of_every_length(spark):
+    n = [0, 1, 2, personal.BLOCK - 1, personal.BLOCK, personal.BLOCK + 1, 3 * personal.BLOCK + 7]
+    rows = [(x, list(range(1, x + 1))) for x in n]
+    got = spark.createDataFrame(rows, "n int, v array<bigint>").select("n", personal.running(F.col("v"), lambda a, b: a + b).alias("r")).collect()
+    assert {r["n"]: r["r"] for r in got} == {x: [i * (i + 1) // 2 for i in range(x)] for x in n}
+
+
+def test_long_rows_take_time_in_proportion(spark):
+    import time
+
+    took = {}
+    for size in (1, 150_000, 600_000):
+        text = " ".join(f"w{i} a{i}@b.org 1.2.3.{i % 256} the {i}" for i in range(size // 30))[:size]
+        docs = spark.createDataFrame([(1, text, "en", "s", len(text))], "doc_id long, text string, lang string, source string, n_chars long")
+        began = time.perf_counter()
+        row = personal.digest(docs).first()
+        assert size < 9 or row["n_email"] > size // 60
+        out = personal.redacted(docs).first()
+        took[size] = time.perf_counter() - began
+        assert out["text"].count("<email>") == row["n_email"]
+    assert took[600_000] - took[1] < 8 * (took[150_000] - took[1]) + 10, took
+
+
 def test_redaction(spark):
     docs = spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in enumerate([*PII, "﻿x b@c.de y"])], "doc_id long, text string, lang string, source string, n_chars long")
     out = {r["doc_id"]: r for r in personal.redacted(docs).collect()}
