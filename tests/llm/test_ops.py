@@ -101,24 +101,39 @@ def test_token_files(spark):
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    t.encode_special_tokens = True
-    texts = [*TEXTS, "it's 3 o'clock ñandú ²½ _x_ <|endoftext|>", "tab\t\tnew\n\nline  end  "]
+    texts = [*TEXTS, "it's 3 o'clock ñandú ²½ _x_ <|endoftext|>", "<|endoftext|> a <|endoftext|><|endoftext|>b <|endoftext", "tab\t\tnew\n\nline  end  ", "\x1c\x1f x\x85  　y 日本語 42٣ \U0001e6c0a ʼn we'll"]
     folder = store.new_path(spark, "files")
-    index = tokenfiles.write(table(spark, texts), folder, length=64)
+    index = tokenfiles.write(table(spark, texts), folder, length=64, file_ids=500)
     got = {r["doc_id"]: tuple(r)[1:] for r in tokenfiles.read_documents(index, folder).collect()}
     start = 0
     for d, text in enumerate(texts):
         ids = [*t.encode(text or "", add_special_tokens=False).ids, 2]
         assert got[d] == (start, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
         start += len(ids)
-    row = index.where("shard = 0").orderBy("place").first()
-    shard = tokenfiles.Shard(f"{folder}/shard-{row['shard']:06d}.arrows")
-    assert len(shard.sequence(0)) == 64 and shard.mask(0).dtype == bool
-    assert not shard.values[0].flags.owndata  # memory-mapped, not copied
+    assert index.select("shard", "file").distinct().count() > index.select("shard").distinct().count()  # files are bounded
+    row = index.where("shard = 0").orderBy("file", "place").first()
+    shard = tokenfiles.Shard(tokenfiles.file_name(folder, row["shard"], row["file"]))
+    assert len(shard.sequence(0)) == 64 and shard.mask(0).dtype == bool and shard.mask(0).all()
+    assert not any(x.flags.owndata for x in (shard.values[0], shard.masks[0], shard.mask(0)))  # memory-mapped, not copied
+    ids = index.where(f"shard = {row['shard']} and file = {row['file']}").agg(F.sum("n_tokens")).first()[0]
+    assert sum(int(m.sum()) for m in shard.masks) == ids
     empty = store.new_path(spark, "files")
     assert tokenfiles.read_documents(tokenfiles.write(table(spark, []), empty), empty).count() == 0
 
 
+def test_pieces_are_cut_as_by_the_library():
+    from tokenizers import pre_tokenizers
+
+    known = tokenfiles.pieces(public_tokenizers.path("byte_bpe_50k.json"))
+    edges = [c for a, b in tokenfiles._NEWER for c in (a - 1, a, b, b + 1)]
+    for c in [*range(0x3100), *range(0x3100, 0x110000, 61), *edges]:
+        text = f"a{chr(c)} 1{chr(c)} !{chr(c)}{chr(c)} {chr(c)}"
+        if not 0xD800 <= c < 0xE000 and not tokenfiles._UNKNOWN.search(text):
+            cut = pre_tokenizers.ByteLevel(add_prefix_space=False).pre_tokenize_str(text)
+            assert [text[a:b] for _, (a, b) in cut] == tokenfiles._PIECE.findall(text), hex(c)
+    assert known.byte_level
+
+
 # ---------------------------------------------------------------- 3
 def brute_groups(rows, size, percent):
     sets = {}
