@@ -407,6 +407,27 @@ def test_nearest_of_unequal_lengths(spark, spread):
     assert recall >= 0.98
 
 
+def test_nearest_of_odd_tables(spark):
+    schema = "vec_id long, embedding array<float>, score string"
+    assert permindex.nearest(spark.createDataFrame([], schema), 20, 20).count() == 0
+    # one id with two vectors, repeated rows, fewer candidates than k
+    rows = [(0, [1.0, 0.0], "x"), (0, [0.0, 2.0], "x"), (0, [1.0, 0.0], "y"), (1, [3.0, 0.0], "x"), (2, [0.0, 1.0], None)]
+    got = [tuple(r) for r in permindex.nearest(spark.createDataFrame(rows, schema), 20, 20).orderBy("rank").collect()]
+    assert got == [(0, 1, 1, 3.0), (0, 2, 2, 2.0)]
+
+
+@pytest.mark.parametrize("sf", ["0.01", "0.1"])
+def test_recall_as_shipped(spark, sf):
+    table_ = spark.read.parquet(f"/root/testdata/sf{sf}/embeddings.parquet")
+    rows = table_.select("vec_id", "embedding").collect()
+    ids, x = np.array([r[0] for r in rows]), np.array([r[1] for r in rows], float)
+    got = set(map(tuple, permindex.nearest(table_, 20, 20).select("query_id", "vec_id").collect()))
+    want = set()
+    for i in np.flatnonzero(ids % 20 == 0):
+        want |= {(int(ids[i]), int(ids[j])) for j in [j for j in np.lexsort((ids, -(x @ x[i]))) if ids[j] != ids[i]][:20]}
+    assert len(got & want) >= 0.95 * len(want) and len(got) == len(want)
+
+
 # ---------------------------------------------------------------- pipeline
 def test_pipeline_stages(spark):
     import corpus_pipeline
