@@ -5,13 +5,14 @@ doc_id. Sorting every suffix would move dozens of times the text, so only the su
 sorted: the ``KMER``-byte string of smallest hash in each window of LENGTH bytes. Equal windows choose the
 same anchor, so every repeated window is seen from an anchor of both documents, and nothing is lost.
 
-1. Each anchor sends its leading two 8-byte symbols, a hash of the bytes within reach of the windows that
-   hold it (its surroundings) and its document to a bucket. Sampled splitters range-partition the suffixes
-   by their leading symbol; equal symbols never straddle a boundary, so buckets need no neighbour. A bucket
-   sorts its suffixes symbol by symbol. Anchors whose surroundings also occur in a smaller document are
-   settled. Anchors of equal leading bytes but differing surroundings stay open. Copies within a task are
-   settled before anything is sent, so a text that fills the corpus loads no bucket.
-2. Open anchors send the surroundings themselves, again by leading symbol. A bucket sorts them to the right
+1. Each anchor sends its leading two 8-byte symbols, a 128-bit digest of the bytes within reach of the windows
+   that hold it (its surroundings) and its document to a bucket. Sampled splitters of two symbols
+   range-partition the suffixes, so a frequent first symbol is split by the second one; equal pairs never
+   straddle a boundary, so buckets need no neighbour. A bucket sorts its suffixes by multikey quicksort.
+   Anchors whose surroundings also occur in a smaller document are settled. Anchors of equal leading bytes
+   but differing surroundings stay open. Copies within a task are settled before anything is sent, so a text
+   that fills the corpus loads no bucket.
+2. Open anchors send the surroundings themselves, again by leading symbols. A bucket sorts them to the right
    of the anchor and, reversed, to the left, with the lengths of common prefixes; two windows are equal
    where both ranks agree, and the smallest document of each group of equal windows is found by sorting,
    never pair by pair.
@@ -45,8 +46,10 @@ LEFT, RIGHT, WIDTH = LENGTH - KMER, LENGTH, LENGTH - KMER + 1
 SLICE, FLUSH = 1 << 20, 8 << 20
 _LAST = (1 << 63) - 1
 _OPEN = 255
-#: One in so many documents is read for the splitters, and so many suffixes are kept for each of them.
-SAMPLE, PER_SPLITTER = 64, 200
+#: One in so many documents is read for the splitters, and about so many of their suffixes reach the driver at most.
+SAMPLE, DRAWN = 64, 100_000
+#: Rows that the quicksort leaves to a sort by one symbol after the other.
+SMALL = 2048
 
 
 def pack(*arrays: np.ndarray) -> bytes:
@@ -132,27 +135,65 @@ def _words(bytes_: np.ndarray) -> np.ndarray:
     return full.view(">u8").astype(U64)
 
 
-def multikey_order(keys: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    """Order by the symbols of ``keys`` one after the other, sorting again only what the symbols so far leave tied; and the group of each sorted row."""
-    n = len(keys[0])
-    order = np.argsort(keys[0], kind="stable")
-    new = np.ones(n, bool)
-    new[1:] = keys[0][order][1:] != keys[0][order][:-1]
+def _by_symbols(keys: list[np.ndarray], rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """``rows`` sorted by the symbols of ``keys`` one after the other, only what they leave tied being sorted again; and where a new group begins."""
+    first = keys[0][rows]
+    rows = rows[np.argsort(first, kind="stable")]
+    new = np.ones(len(rows), bool)
+    new[1:] = keys[0][rows][1:] != keys[0][rows][:-1]
     for key in keys[1:]:
-        group = np.cumsum(new)
-        tied = np.flatnonzero(~new | np.append(~new[1:], False)) if n else np.zeros(0, np.int64)
+        tied = np.flatnonzero(~new | np.append(~new[1:], False))
         if not len(tied):
             break
-        rows = order[tied]
-        again = np.lexsort((key[rows], group[tied]))
-        order[tied] = rows[again]
-        value, g = key[order[tied]], group[tied]
+        group, some = np.cumsum(new)[tied], rows[tied]
+        rows[tied] = some[np.lexsort((key[some], group))]
+        value = key[rows[tied]]
         differs = np.ones(len(tied), bool)
-        differs[1:] = (value[1:] != value[:-1]) | (g[1:] != g[:-1])
+        differs[1:] = (value[1:] != value[:-1]) | (group[1:] != group[:-1])
         new[tied] |= differs
+    return rows, new
+
+
+def multikey_order(keys: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Multikey quicksort by the symbols of ``keys``: the order of the rows, and the group of each sorted row.
+
+    A part is split into the rows whose symbol is smaller than, equal to and larger than a pivot; the equal ones
+    go on with the next symbol, the others with the same one.
+    """
+    n = len(keys[0])
+    order, new = np.arange(n), np.zeros(n, bool)
+    new[:1] = True
+    parts = [(0, n, 0)]
+    while parts:
+        lo, hi, depth = parts.pop()
+        if hi - lo < 2 or depth == len(keys):
+            continue
+        rows = order[lo:hi]
+        if hi - lo <= SMALL:
+            order[lo:hi], heads = _by_symbols(keys[depth:], rows.copy())
+            new[lo + 1 : hi] |= heads[1:]
+            continue
+        symbol = keys[depth][rows]
+        pivot = np.sort(symbol[:: max(1, len(symbol) // 63)])[31]
+        less, more = symbol < pivot, symbol > pivot
+        order[lo:hi] = np.concatenate([rows[less], rows[~(less | more)], rows[more]])
+        a, b = lo + int(less.sum()), hi - int(more.sum())
+        new[[x for x in (a, b) if x < hi]] = True
+        parts += [(lo, a, depth), (a, b, depth + 1), (b, hi, depth)]
     return order, np.cumsum(new) - 1
 
 
+def bucket_of(edges: np.ndarray, w0: np.ndarray, w1: np.ndarray) -> np.ndarray:
+    """How many of the splitters (rows of two symbols, ascending) are no larger than each suffix."""
+    lo, hi = (np.searchsorted(edges[:, 0], w0, side) for side in ("left", "right"))
+    out = lo.copy()
+    tied = np.flatnonzero(hi > lo)
+    for a in np.unique(lo[tied]):
+        at = tied[lo[tied] == a]
+        out[at] = a + np.searchsorted(edges[a : hi[at[0]], 1], w1[at], "right")
+    return out
+
+
 def home_of(ids: np.ndarray, n: int) -> np.ndarray:
     """The partition in which a document meets its stretches; ``home_column`` is the same for Spark."""
     y = np.mod(ids, 2147483629) * 48271
@@ -202,17 +243,28 @@ def _to_homes(doc: np.ndarray, tag: np.ndarray, pos: np.ndarray, low: np.ndarray
 
 
 def splitters(docs: DataFrame, n: int) -> np.ndarray:
-    """Up to n - 1 leading symbols that part the suffixes evenly, from a bounded sample."""
+    """Up to n - 1 pairs of leading symbols that part the suffixes evenly, from a sample of bounded size."""
+    some = docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(SAMPLE)) == 0).select("text")
+    size = some.agg(F.sum(F.octet_length("text")).alias("size")).first()["size"] or 0
+    # an anchor comes about every (WIDTH + 1) / 2 bytes
+    least = U64(min((1 << 64) - 1, int((1 << 64) * DRAWN * (WIDTH + 1) / 2 / max(size, 1))))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in textkit.slices(batches, "text", SLICE):
-            *_, first, second = anchors(*textkit.text_bytes(part.column(0)))
-            yield pa.RecordBatch.from_arrays([pa.array(first.view(np.int64)), pa.array(mix(first ^ second).view(np.int64))], names=["symbol", "draw"])
+            place, _, first, second = anchors(*textkit.text_bytes(part.column(0)))
+            with np.errstate(over="ignore"):
+                use = mix(first ^ (second * U64(0x9E3779B97F4A7C15)) ^ mix(place.astype(U64))) <= least
+            yield pa.RecordBatch.from_arrays([pa.array(x[use].view(np.int64)) for x in (first, second)], names=["first", "second"])
 
-    some = docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(SAMPLE)) == 0).select("text").mapInArrow(work, "symbol long, draw long")
-    drawn = some.orderBy("draw", "symbol").limit(PER_SPLITTER * n).select("symbol").toPandas()["symbol"].to_numpy(np.int64).view(U64)
-    drawn = np.sort(drawn)
-    return np.unique(drawn[[len(drawn) * i // n for i in range(1, n)]]) if len(drawn) else drawn
+    drawn = some.mapInArrow(work, "first long, second long").toPandas()
+    pairs = np.stack([drawn[c].to_numpy(np.int64).view(U64) for c in ("first", "second")], 1)
+    pairs = pairs[np.lexsort((pairs[:, 1], pairs[:, 0]))]
+    return np.unique(pairs[[len(pairs) * i // n for i in range(1, n)]], axis=0) if len(pairs) else pairs
+
+
+def _digest(words: np.ndarray, sides: np.ndarray, seed: int) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        return mix((mix(words * textkit.stream(words.shape[1], seed)[None, :]) * textkit.stream(words.shape[1], seed + 1)[None, :]).sum(axis=1, dtype=U64) + sides)
 
 
 def _first_map(edges: np.ndarray, n: int):
@@ -221,21 +273,21 @@ def _first_map(edges: np.ndarray, n: int):
         size = 0
 
         def flush() -> Iterator[pa.RecordBatch]:
-            doc, tag, pos, w0, w1, around = (np.concatenate(x) for x in zip(*held, strict=True))
+            doc, tag, pos, w0, w1, around, again = (np.concatenate(x) for x in zip(*held, strict=True))
             # copies met in this task: all but the smallest document's are settled here
-            order = np.lexsort((pos, tag, doc, around))
-            key = around[order]
+            order = np.lexsort((pos, tag, doc, again, around))
+            key, more = around[order], again[order]
             first = np.ones(len(order), bool)
-            first[1:] = (key[1:] != key[:-1]) | (w0[order][1:] != w0[order][:-1]) | (w1[order][1:] != w1[order][:-1])
+            first[1:] = (key[1:] != key[:-1]) | (more[1:] != more[:-1]) | (w0[order][1:] != w0[order][:-1]) | (w1[order][1:] != w1[order][:-1])
             least = doc[order][np.flatnonzero(first)][np.cumsum(first) - 1]
             settled, sent = order[doc[order] > least], order[doc[order] == least]
             rows = _to_homes(doc[settled], tag[settled], pos[settled], np.full(len(settled), LEFT, np.uint8), np.full(len(settled), RIGHT, np.uint8), n)
             rows = [(p, 1, blob) for p, _, blob in rows]
-            for p, at in _grouped(np.searchsorted(edges, w0[sent], "right"), n):
+            for p, at in _grouped(bucket_of(edges, w0[sent], w1[sent]), n):
                 at = sent[at]
                 at = at[np.argsort(w0[at], kind="stable")]
                 names, index = np.unique(np.stack([doc[at], tag[at].astype(np.int64)], 1), axis=0, return_inverse=True)
-                rows.append((p, 0, pack(w0[at].byteswap(), w1[at].byteswap(), around[at], index.ravel().astype(np.uint32), pos[at].astype(np.uint32), names[:, 0].copy(), names[:, 1].astype(np.uint32))))
+                rows.append((p, 0, pack(w0[at].byteswap(), w1[at].byteswap(), around[at], again[at], index.ravel().astype(np.uint32), pos[at].astype(np.uint32), names[:, 0].copy(), names[:, 1].astype(np.uint32))))
             for i in range(0, len(rows), 256):
                 yield _batch(rows[i : i + 256])
 
@@ -246,9 +298,8 @@ def _first_map(edges: np.ndarray, n: int):
             if len(place):
                 around, left, right = surroundings(raw, off, place, row)
                 words = _words(around)
-                with np.errstate(over="ignore"):
-                    mark = mix((mix(words * textkit.stream(words.shape[1], 5)[None, :]) * textkit.stream(words.shape[1], 6)[None, :]).sum(axis=1, dtype=U64) + (left * 64 + right).astype(U64))
-                held.append((_doc_ids(part.column(0))[row], _tags(raw, off)[row], place - off[row], w0, w1, mark))
+                sides = (left * 64 + right).astype(U64)
+                held.append((_doc_ids(part.column(0))[row], _tags(raw, off)[row], place - off[row], w0, w1, _digest(words, sides, 5), _digest(words, sides, 15)))
             if held and size >= FLUSH:
                 yield from flush()
                 held, size = [], 0
@@ -267,27 +318,26 @@ def _first_reduce(n: int):
                 if kind:
                     through.append((part, 0, blob))
                 else:
-                    w0, w1, around, index, pos, ids, tags = unpack(blob)
-                    held.append((w0.byteswap(), w1.byteswap(), around, ids[index], tags[index], pos))
+                    w0, w1, around, again, index, pos, ids, tags = unpack(blob)
+                    held.append((w0.byteswap(), w1.byteswap(), around, again, ids[index], tags[index], pos))
             if through:
                 yield _batch(through)
         if not held:
             return
-        w0, w1, around, doc, tag, pos = (np.concatenate(x) for x in zip(*held, strict=True))
+        w0, w1, around, again, doc, tag, pos = (np.concatenate(x) for x in zip(*held, strict=True))
         held.clear()
-        order, group = multikey_order([w0, w1])
-        order = order[np.lexsort((doc[order], around[order], group))]
-        doc, tag, pos, around = doc[order], tag[order], pos[order], around[order]
+        order, group = multikey_order([w0, w1, around, again])
+        doc, tag, pos, w0, w1 = doc[order], tag[order], pos[order], w0[order], w1[order]
         new = np.ones(len(order), bool)
-        new[1:] = group[1:] != group[:-1]
-        same = new.copy()
-        same[1:] |= around[1:] != around[:-1]
+        new[1:] = (w0[1:] != w0[:-1]) | (w1[1:] != w1[:-1])
+        same = np.ones(len(order), bool)
+        same[1:] = group[1:] != group[:-1]
         head, copy = np.flatnonzero(same), np.cumsum(same) - 1
-        least = doc[head][copy]
-        gone = doc > least
+        least = np.minimum.reduceat(doc, head)
+        gone = doc > least[copy]
         # open: the group has another surrounding whose smallest document is a smaller or larger one
         start = np.flatnonzero(new)
-        low, high = np.minimum.reduceat(doc[head], copy[start]), np.maximum.reduceat(doc[head], copy[start])
+        low, high = np.minimum.reduceat(least, copy[start]), np.maximum.reduceat(least, copy[start])
         which = np.cumsum(new) - 1
         open_ = ~gone & (low != high)[which]
         use = gone | open_
@@ -345,8 +395,8 @@ def _second_map(edges: np.ndarray, n: int):
 
         def flush() -> Iterator[pa.RecordBatch]:
             doc, tag, pos, left, right, around = (np.concatenate(x) for x in zip(*held, strict=True))
-            w0 = _words(around[:, LEFT : LEFT + 8])[:, 0]
-            rows = [(p, 0, pack(doc[at], tag[at], pos[at].astype(np.uint32), left[at], right[at], around[at])) for p, at in _grouped(np.searchsorted(edges, w0, "right"), n)]
+            w0, w1 = _words(around[:, LEFT : LEFT + KMER]).T
+            rows = [(p, 0, pack(doc[at], tag[at], pos[at].astype(np.uint32), left[at], right[at], around[at])) for p, at in _grouped(bucket_of(edges, w0, w1), n)]
             for i in range(0, len(rows), 256):
                 yield _batch(rows[i : i + 256])
 
