@@ -7,7 +7,11 @@ bounded by the hash space whatever the corpus holds.
 
 The learner reads a bounded sample of labelled rows (``sample``, a parameter; the rows with the smallest
 hash of their doc_id), everything else covers all rows. A null or empty text has no features and gets
-the score of the bias alone. Repeated rows get equal scores. With no labelled row at all every score is 0.5.
+the score of the bias alone. A row with a null doc_id is scored, never held out and never learned from; of
+several labels of one doc_id the largest counts, null labels count as none, and labels without a document are
+left out. Repeated rows get equal scores, and each is learned from while the sample lasts. With no labelled row
+at all every score is 0.5; an empty table gives an empty one. Further columns are not read by ``score`` and are
+kept by ``kept``.
 """
 
 from __future__ import annotations

@@ -145,16 +145,17 @@ def block_links(ids: np.ndarray, side: np.ndarray, sets: list[np.ndarray], perce
     value, where, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
     row = np.repeat(np.arange(len(sets)), n)
     left, right = (np.flatnonzero(side == 0), np.flatnonzero(side == side.max()))
-    both = np.zeros((len(left), len(right)), np.float32)
+    both = np.zeros((len(left), len(right)), np.int64)
     column = np.cumsum(times > 1) - 1
     wide = int((times > 1).sum())
     for at in range(0, wide, 8192):
         use = (times > 1)[where] & (column[where] >= at) & (column[where] < at + 8192)
         m = np.zeros((len(sets), min(8192, wide - at)), np.float32)
         m[row[use], column[where[use]] - at] = 1
-        both += m[left] @ m[right].T
+        # a product over so few columns is exact in 32 bits; the sum is not
+        both += (m[left] @ m[right].T).astype(np.int64)
     union = n[left][:, None] + n[right][None, :] - both
-    i, j = np.nonzero(100 * both >= percent * union - 1e-3)
+    i, j = np.nonzero(100 * both >= percent * union)
     parent = list(range(len(ids)))
 
     def root(x: int) -> int:

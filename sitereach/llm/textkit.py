@@ -143,14 +143,3 @@ def sets_by_row(h: np.ndarray, row: np.ndarray, rows: int) -> list[np.ndarray]:
     order = np.argsort(row, kind="stable")
     h, cut = h[order], np.searchsorted(row[order], np.arange(rows + 1))
     return [np.unique(h[cut[i] : cut[i + 1]]) for i in range(rows)]
-
-
-def binary_column(arrays: list[np.ndarray]) -> pa.Array:
-    return pa.array([a.tobytes() for a in arrays], pa.binary())
-
-
-def list_column(arrays: list[np.ndarray], kind: pa.DataType) -> pa.Array:
-    off = np.zeros(len(arrays) + 1, np.int32)
-    np.cumsum([len(a) for a in arrays], out=off[1:])
-    flat = np.concatenate(arrays) if arrays else np.zeros(0)
-    return pa.ListArray.from_arrays(pa.array(off, pa.int32()), pa.array(flat, kind))
