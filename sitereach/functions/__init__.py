@@ -1,5 +1,5 @@
 """Column expressions: relevance scores, the integer coin and text helpers."""
 
-from .score import coin, linear_score, ratio_score, weight_millionths
+from .score import coin, gain, linear_score, ratio_score, weight_millionths
 
-__all__ = ["coin", "linear_score", "ratio_score", "weight_millionths"]
+__all__ = ["coin", "gain", "linear_score", "ratio_score", "weight_millionths"]

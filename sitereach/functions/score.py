@@ -23,17 +23,21 @@ def weight_millionths(tf: Column, idf_m: Column, norm2: Column) -> Column:
     return F.round(F.lit(float(MILLION)) * (tf * idf_m) / F.sqrt(norm2)).cast("long")
 
 
-def ratio_score(social: Column, text_m: Column, distance: Column, alpha: float, least: float = 1.0) -> Column:
-    """(alpha * social + (1 - alpha) * text) / distance; a distance below ``least`` counts as that."""
+def gain(social: Column, text_m: Column, alpha: float) -> Column:
+    """alpha * social + (1 - alpha) * text, the text in millionths."""
     a, b = _share(alpha)
-    return (F.lit(a) * social + F.lit(b) * (text_m / F.lit(float(MILLION)))) / F.greatest(distance, F.lit(least))
+    return F.lit(a) * social + F.lit(b) * (text_m / F.lit(float(MILLION)))
 
 
-def linear_score(social: Column, text_m: Column, distance: Column, alpha: float, beta: float, farthest: Column) -> Column:
-    """beta * relevance + (1 - beta) * nearness, nearness falling from 1 to 0 at the farthest distance."""
-    a, b = _share(alpha)
+def ratio_score(gained: Column, distance: Column, least: float = 1.0) -> Column:
+    """Gain over distance; a distance below ``least`` counts as that."""
+    return gained / F.greatest(distance, F.lit(least))
+
+
+def linear_score(gained: Column, distance: Column, beta: float, farthest: Column) -> Column:
+    """beta * gain + (1 - beta) * nearness, nearness falling from 1 to 0 at the farthest distance."""
     near, far = _share(beta)
-    return F.lit(near) * (F.lit(a) * social + F.lit(b) * (text_m / F.lit(float(MILLION)))) + F.lit(far) * (F.lit(1.0) - distance / farthest)
+    return F.lit(near) * gained + F.lit(far) * (F.lit(1.0) - distance / farthest)
 
 
 def coin(*parts: Column) -> Column:

@@ -1,24 +1,30 @@
 """Audiences of many candidates in one batch, with pruning that loses nobody, and the per-site baseline.
 
-Order of the work: users with a visiting friend and users of the candidate's own leaf are looked at one by
-one; all other users only by (candidate, node, shared keywords) classes, tested from the borders of the
-node; what is left is kept if the candidate's score reaches the user's lower bound of the k-th score, and
-only these users get an exact top-k list.
+Order of the work: users with a visiting friend and users of the candidate's own leaf are looked at one by one.
+For everyone else the partition tree is searched. From its leaf a candidate climbs until no user beyond the
+node can have it in a list; the siblings passed on the way are where the descent starts, level by level for all
+candidates at once. A row of the frontier is (candidate, node, class), a class being the keywords that a user of
+the node shares with the candidate; it is tested from the borders of the node and goes on to the children
+unless it is beaten at every border. Users appear only in leaves that survive. They are kept if the candidate's
+score reaches their lower bound of the k-th score, and only these get an exact top-k list.
 """
 
 from __future__ import annotations
 
-from dataclasses import replace
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.score import MILLION, _share
+from ..functions import gain, ratio_score
+from ..functions.score import _share
 from ..model import City
 from ..sources import keep
 from . import kvtree, relevance, roads
 
 PRUNE_MODES = ("class_dominance", "interval", "border_paper", "none")
+#: social, local: the bound of each user, for socially relevant users and for the others; pseudo: classes tested at borders; node: the climb ends.
+RULES = frozenset({"social", "local", "pseudo", "node"})
 
 
 def brute(city: City, candidates: DataFrame, k: int, alpha: float) -> DataFrame:
@@ -33,110 +39,257 @@ def verify(city: City, maybe: DataFrame, k: int, alpha: float) -> DataFrame:
     return relevance.ranked(city, pairs, k).join(maybe.select("poi", "usr").distinct(), ["poi", "usr"], "left_semi").select("poi", "usr")
 
 
-def user_lower_bounds(city: City, nearest: DataFrame, users: DataFrame, k: int, alpha: float) -> DataFrame:
+def _kth(scored: DataFrame, users: DataFrame, k: int) -> DataFrame:
+    order = Window.partitionBy("usr").orderBy(F.desc("score"), "poi")
+    kth = scored.withColumn("nth", F.row_number().over(order)).where(F.col("nth") <= k).groupBy("usr").agg(F.min("score").alias("s"), F.count("*").alias("n"))
+    return users.select("usr").join(kth, "usr", "left").select("usr", F.when(F.col("n") == k, F.col("s")).otherwise(F.lit(0.0)).alias("s_k"))
+
+
+def user_lower_bounds(city: City, nearest: DataFrame, users: DataFrame, k: int, alpha: float, postings: DataFrame | None = None) -> DataFrame:
     """usr, s_k: the k-th best score, friends left out, among the k nearest places of each of the user's keywords.
 
-    A lower bound of the true k-th score; 0 with fewer than k places.
+    Of keywords that have postings instead of a diagram all places count. A lower bound of the true k-th
+    score; 0 with fewer than k places.
     """
-    rest = _share(alpha)[1]
     asked = city.users.join(users.select("usr").distinct(), "usr", "left_semi").select("usr", "v", "dis")
-    near = asked.join(city.user_terms, "usr").join(nearest, ["term", "v"]).groupBy("usr", "poi").agg(F.min(F.col("dist") + F.col("dis")).alias("dist"))
+    keyed = asked.join(city.user_terms, "usr")
+    near = keyed.join(nearest, ["term", "v"]).select("usr", "poi", (F.col("dist") + F.col("dis")).alias("dist"))
+    if postings is not None:
+        places = city.sites.select("poi", F.col("v").alias("pv"), F.col("dis").alias("pd"))
+        rare = keep(keyed.join(postings.select("term", "poi"), "term").join(places, "poi").select("usr", "poi", F.col("v").alias("a"), F.col("pv").alias("b"), (F.col("dis") + F.col("pd")).alias("ends")).distinct(), "rare")
+        near = near.union(rare.join(roads.between(city.road, rare), ["a", "b"]).select("usr", "poi", F.col("dist") + F.col("ends")))
+    near = near.groupBy("usr", "poi").agg(F.min("dist").alias("dist"))
     full = near.join(city.site_terms.select("poi", "term", "w_m"), "poi").join(city.user_terms, ["usr", "term"]).groupBy("usr", "poi").agg(F.first("dist").alias("dist"), F.sum("w_m").alias("text_m"))
-    scored = full.select("usr", "poi", (F.lit(rest) * (F.col("text_m") / F.lit(float(MILLION))) / F.greatest(F.col("dist"), F.lit(1.0))).alias("score"))
-    order = Window.partitionBy("usr").orderBy(F.desc("score"), "poi")
-    kth = scored.withColumn("nth", F.row_number().over(order)).where(F.col("nth") <= k).groupBy("usr").agg(F.min("score").alias("s"), F.count("*").alias("n"))
-    return asked.select("usr").join(kth, "usr", "left").select("usr", F.when(F.col("n") == k, F.col("s")).otherwise(F.lit(0.0)).alias("s_k"))
+    scored = full.select("usr", "poi", ratio_score(gain(F.lit(0.0), F.col("text_m"), alpha), F.col("dist")).alias("score"))
+    return _kth(scored, asked, k)
+
+
+def user_lower_bounds_walked(city: City, owner: DataFrame, adjacency: DataFrame, users: DataFrame, k: int, alpha: float) -> DataFrame:
+    """The same kind of bound by walking the diagrams place by place: usr, s_k.
+
+    For each keyword of a user the owner of its cell comes first, then the best place not yet taken that
+    touches a taken one, the best over all keywords each time, until there are k. The walk runs in rounds for
+    all users together; a round takes one place a user.
+    """
+    asked = keep(city.users.join(users.select("usr").distinct(), "usr", "left_semi").select("usr", "v", "dis"), "asked")
+    places = city.sites.select("poi", F.col("v").alias("pv"), F.col("dis").alias("pd"))
+    touch = keep(adjacency.select("term", F.col("poi_a").alias("poi"), F.col("poi_b").alias("next")).union(adjacency.select("term", F.col("poi_b").alias("poi"), F.col("poi_a").alias("next"))), "touch")
+
+    def scored(rows: DataFrame) -> DataFrame:
+        ends = keep(rows.join(asked, "usr").join(places, "poi").select("usr", "term", "poi", F.col("v").alias("a"), F.col("pv").alias("b"), (F.col("dis") + F.col("pd")).alias("ends")), "ends")
+        dist = ends.join(roads.between(city.road, ends), ["a", "b"]).withColumn("dist", F.col("dist") + F.col("ends"))
+        text = ends.select("usr", "poi").distinct().join(city.site_terms.select("poi", F.col("term").alias("t"), "w_m"), "poi").join(city.user_terms.withColumnRenamed("term", "t"), ["usr", "t"]).groupBy("usr", "poi").agg(F.sum("w_m").alias("text_m"))
+        return dist.join(text, ["usr", "poi"]).select("usr", "term", "poi", ratio_score(gain(F.lit(0.0), F.col("text_m"), alpha), F.col("dist")).alias("score"))
+
+    open_ = keep(scored(asked.join(city.user_terms, "usr").join(owner.select("term", "v", "poi"), ["term", "v"]).select("usr", "term", "poi")), "open")
+    taken = None
+    for _ in range(k):
+        best = open_.groupBy("usr").agg(F.max(F.struct("score", (-F.col("poi")).alias("minus"))).alias("top")).select("usr", (-F.col("top.minus")).alias("poi"), "top.score")
+        best = keep(best, "taken")
+        if best.isEmpty():
+            break
+        taken = best if taken is None else taken.union(best)
+        new = open_.join(best.select("usr", "poi"), ["usr", "poi"], "left_semi").select("usr", "term", "poi").join(touch, ["term", "poi"]).select("usr", "term", F.col("next").alias("poi")).distinct()
+        new = new.join(taken.select("usr", "poi"), ["usr", "poi"], "left_anti").join(open_.select("usr", "term", "poi"), ["usr", "term", "poi"], "left_anti")
+        open_ = keep(open_.join(best.select("usr", "poi"), ["usr", "poi"], "left_anti").union(scored(new.select("usr", "term", "poi"))), "open")
+    if taken is None:
+        return asked.select("usr", F.lit(0.0).alias("s_k"))
+    return _kth(taken, asked, k)
 
 
-def _key_sets(city: City, tree: kvtree.Tree) -> DataFrame:
-    """usr, v, dis, leaf, key: the sorted keywords of each located user."""
-    keys = city.user_terms.groupBy("usr").agg(F.sort_array(F.collect_set("term")).alias("key"))
-    return city.users.join(keys, "usr").join(tree.member, "v").select("usr", "v", "dis", "leaf", "key")
+# ---------------------------------------------------------------- classes at borders
+@dataclass
+class Search:
+    """What the tests of one batch share: the candidates (a bounded query set), their keywords and distances, and the counters."""
 
+    city: City
+    tree: kvtree.Tree
+    k: int
+    mode: str
+    own: DataFrame
+    keys: DataFrame
+    to_site: DataFrame
+    counters: dict = field(default_factory=lambda: {"tested_classes": 0, "tested_borders": 0})
 
-def pruned_classes(city: City, tree: kvtree.Tree, candidates: DataFrame, k: int, mode: str) -> DataFrame:
-    """poi, leaf, shared: classes of users (of a leaf, sharing exactly these keywords with the candidate, without
-    a visiting friend) none of whom can have the candidate in the list.
+    def weight(self, terms: str):
+        """Summed weight, in a site's ``keys``, of the keywords in a column."""
+        return F.aggregate(terms, F.lit(0).cast("long"), lambda acc, t: acc + F.coalesce(F.element_at("keys", t), F.lit(0)))
 
-    class_dominance: at every border of the leaf, k other places beat the candidate for the class at both ends
-    of its range of distances to the border. The comparison is linear in the distance, so it holds between.
-    interval: the same with one keyword at a time against the candidate's whole shared weight.
-    border_paper: one keyword at a time, at the border itself (unsound; kept for comparison).
+
+def open_search(city: City, tree: kvtree.Tree, candidates: DataFrame, k: int, mode: str) -> Search:
+    few = candidates.select("poi").distinct()
+    keys = keep(city.site_terms.groupBy("poi").agg(F.map_from_entries(F.collect_list(F.struct("term", "w_m"))).alias("keys")), "site_keys")
+    at = city.sites.join(few, "poi").join(tree.member, "v").select("poi", "v", "dis", "leaf")
+    own = keep(at.join(keys, "poi").withColumn("terms", F.map_keys("keys")), "candidates")
+    reach = roads.from_sources(city.road, own.select("v")).select(F.col("src").alias("from"), "v", "dist")
+    to_site = keep(own.select("poi", F.col("v").alias("from"), "dis").join(reach, "from").select("poi", "v", (F.col("dist") + F.col("dis")).alias("d_p")), "to_site")
+    return Search(city, tree, k, mode, own, keys, to_site)
+
+
+def _beaten_at(s: Search, rows: DataFrame) -> DataFrame:
+    """The (poi, node, cls, b) of ``rows`` (with terms, a, d_p, lo, hi) where k places beat the candidate for the whole class.
+
+    A user at distance d from the border scores a / (d + d_p) on the candidate and at least w / (d + d_o) on
+    another place. The comparison is linear in d, so it holds between lo and hi if it holds at both; without
+    hi it holds from lo on if the other place also weighs no less.
     """
-    users = _key_sets(city, tree)
-    border = tree.border.where(F.length("node") == tree.depth).select(F.col("node").alias("leaf"), F.col("v").alias("b"))
-    # only distances inside a leaf, and from the few candidates, are needed
-    inside = roads.between(city.road, border.join(users.select("leaf", F.col("v").alias("to")).distinct(), "leaf").select(F.col("b").alias("a"), F.col("to").alias("b")))
-    inside = inside.select(F.col("a").alias("b"), F.col("b").alias("v"), "dist")
-    ends = users.join(border, "leaf").join(inside, ["b", "v"]).groupBy("leaf", "b", "key").agg(F.min(F.col("dist") + F.col("dis")).alias("lo"), F.max(F.col("dist") + F.col("dis")).alias("hi"))
-    own = candidates.join(city.sites, "poi").select("poi", F.col("v").alias("pv"), F.col("dis").alias("pd"))
-    sets = city.site_terms.join(candidates, "poi", "left_semi").groupBy("poi").agg(F.collect_set("term").alias("terms"))
-    home = own.join(tree.member, own["pv"] == tree.member["v"]).select("poi", F.col("leaf").alias("own_leaf"), "pv", "pd").join(sets, "poi")
-    # candidates are a bounded query set
-    seen = ends.join(F.broadcast(home), F.col("leaf") != F.col("own_leaf")).withColumn("shared", F.array_intersect("key", "terms")).where(F.size("shared") > 0)
-    classes = seen.groupBy("poi", "leaf", "shared", "b", "pv", "pd").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
-    w = city.site_terms.select("poi", "term", "w_m")
-    rows = classes.select("*", F.explode("shared").alias("term"))
-    mine = rows.join(w, ["poi", "term"]).groupBy("poi", "leaf", "shared", "b").agg(F.sum("w_m").alias("a"))
-    to_site = roads.from_sources(city.road, own.select(F.col("pv").alias("v"))).select(F.col("v").alias("b"), F.col("src").alias("pv"), "dist")
-    base = classes.join(mine, ["poi", "leaf", "shared", "b"]).join(to_site, ["b", "pv"]).withColumn("d_p", F.col("dist") + F.col("pd")).drop("dist", "pd", "pv")
-    base = keep(base, "classes")
-    near = tree.nearest.select("term", F.col("v").alias("b"), F.col("poi").alias("other"), F.col("dist").alias("d_o"))
-    met = base.select("*", F.explode("shared").alias("term")).join(near, ["term", "b"]).where("other <> poi")
-    weighed = met.join(w.select(F.col("poi").alias("other"), "term", "w_m"), ["other", "term"])
-    ahead = lambda d: F.col("w_o") * (F.col(d) + F.col("d_p")) > F.col("a") * (F.col(d) + F.col("d_o"))
-    if mode == "class_dominance":
-        # a place nearest under one shared keyword counts with all shared keywords that it has
-        others = met.groupBy("poi", "leaf", "shared", "b", "other", "a", "d_p", "lo", "hi").agg(F.min("d_o").alias("d_o"))
-        full = others.select("*", F.explode("shared").alias("term")).join(w.select(F.col("poi").alias("other"), "term", "w_m"), ["other", "term"]).groupBy("poi", "leaf", "shared", "b", "other", "a", "d_p", "lo", "hi", "d_o").agg(F.sum("w_m").alias("w_o"))
-        beaten = full.where(ahead("lo") & ahead("hi")).groupBy("poi", "leaf", "shared", "b").agg((F.count("*") >= k).alias("ok"))
+    at = s.tree.nearest.select(F.col("term").alias("t"), F.col("v").alias("b"), F.col("poi").alias("other"), F.col("dist").alias("d_o"))
+    met = rows.withColumn("t", F.explode("terms")).join(at, ["t", "b"]).where("other <> poi")
+    key = ["poi", "node", "cls", "b"]
+    # a place near under one keyword of the class counts with all of them that it has
+    each = met.groupBy(*key, "other").agg(F.min("d_o").alias("d_o"), *(F.first(c).alias(c) for c in ("terms", "a", "d_p", "lo", "hi")))
+    full = each.join(s.keys.withColumnRenamed("poi", "other"), "other").withColumn("w", s.weight("terms"))
+    ahead = lambda d: F.col("w") * (d + F.col("d_p")) > F.col("a") * (d + F.col("d_o"))
+    good = ahead(F.lit(0)) if s.mode == "border_paper" else ahead(F.col("lo")) & F.when(F.col("hi").isNull(), F.col("w") >= F.col("a")).otherwise(ahead(F.col("hi")))
+    return full.where(good).groupBy(*key).agg(F.count("*").alias("n")).where(F.col("n") >= s.k).select(*key)
+
+
+def beaten(s: Search, rows: DataFrame, outside: bool = False) -> DataFrame:
+    """poi, node, cls of the (poi, node, cls, terms, a) rows that are beaten at every border of the node.
+
+    The border next to the candidate is tested first, the others only for classes that are beaten there.
+    ``outside``: the users meant are those beyond the node, at any distance from its borders.
+    """
+    least = s.city.users.agg(F.min("dis").alias("least"))
+    ranges = s.tree.ranges.select("node", F.col("b"), "lo", "hi")
+    border = s.tree.border.join(rows.select("node").distinct(), "node", "left_semi").withColumnRenamed("v", "b")
+    seen = rows.select("poi", "node").distinct().join(border, "node").join(s.to_site.withColumnRenamed("v", "b"), ["poi", "b"])
+    seen = seen.select("poi", "node", "b", "d_p", F.lit(None).cast("long").alias("lo"), F.lit(None).cast("long").alias("hi")) if outside else seen.join(ranges, ["node", "b"], "left").select("poi", "node", "b", "d_p", "lo", "hi")
+    nearest = F.row_number().over(Window.partitionBy("poi", "node").orderBy("d_p", "b"))
+    seen = keep(seen.crossJoin(F.broadcast(least)).withColumn("lo", F.coalesce("lo", "least")).drop("least").withColumn("nth", nearest), "seen")
+    first = rows.join(seen.where("nth = 1"), ["poi", "node"])
+    one = keep(_beaten_at(s, first), "beaten")
+    some = rows.join(one, ["poi", "node", "cls"], "left_semi")
+    more = keep(some.join(seen.where("nth > 1"), ["poi", "node"]), "classes")
+    again = _beaten_at(s, more)
+    # a class is beaten if no border is left at which it is not
+    whole = some.select("poi", "node", "cls").join(more.join(again, ["poi", "node", "cls", "b"], "left_anti").select("poi", "node", "cls"), ["poi", "node", "cls"], "left_anti")
+    whole = keep(whole, "whole")
+    s.counters["tested_classes"] += rows.count()
+    s.counters["tested_borders"] += rows.count() + more.count()
+    return whole
+
+
+def _weighed(s: Search, rows: DataFrame) -> DataFrame:
+    """poi, node, cls, terms, a from (poi, node, cls): one keyword set a class, or, in the other modes, one keyword against the whole."""
+    known = rows.join(s.own.select("poi", "keys"), "poi")
+    if s.mode == "class_dominance":
+        return keep(known.withColumn("terms", F.split("cls", "\x01")).withColumn("a", s.weight("terms")).select("poi", "node", "cls", "terms", "a"), "frontier")
+    whole = Window.partitionBy("poi", "node")
+    return keep(known.withColumn("a", F.sum(F.element_at("keys", F.col("cls"))).over(whole)).select("poi", "node", "cls", F.array("cls").alias("terms"), "a"), "frontier")
+
+
+def _class_index(s: Search) -> DataFrame:
+    """node, parent, cls, first (a keyword of the class), terms, n_users: what the inverted files say of each node."""
+    if s.mode == "class_dominance":
+        return s.tree.sets.select("node", "parent", F.array_join("cls", "\x01").alias("cls"), F.col("cls")[0].alias("first"), F.col("cls").alias("terms"), "n_users")
+    parent = F.when(F.length("node") > 0, F.expr("substring(node, 1, length(node) - 1)"))
+    return s.tree.terms.where("n_users > 0").select("node", parent.alias("parent"), F.col("term").alias("cls"), F.col("term").alias("first"), F.array("term").alias("terms"), "n_users")
+
+
+def surviving(s: Search, climb: bool = True) -> DataFrame:
+    """poi, leaf, cls: the classes left in leaves other than the candidate's own, after the climb and the descent."""
+    depth, index = s.tree.depth, _class_index(s)
+    path = s.own.select("poi", "leaf", "terms", F.explode(F.sequence(F.lit(1), F.lit(depth))).alias("level")).withColumn("node", F.expr("substring(leaf, 1, level)"))
+    met = lambda rows: rows.withColumn("first", F.explode("terms")).join(index.withColumnRenamed("terms", "set"), ["node", "first"]).where(F.size(F.array_except("set", "terms")) == 0)
+    stop = s.own.select("poi", F.lit(0).alias("stop"))
+    if climb:
+        # users beyond a node: those of the whole city without those of the node
+        all_ = met(s.own.select("poi", "leaf", "terms", F.lit("").alias("node"))).select("poi", "cls", F.col("n_users").alias("everywhere"))
+        inside = met(path).select("poi", "level", "node", "cls", "n_users")
+        beyond = path.select("poi", "level", "node").join(all_, "poi").join(inside, ["poi", "level", "node", "cls"], "left").where(F.col("everywhere") > F.coalesce("n_users", F.lit(0)))
+        rows = _weighed(s, beyond.select("poi", "node", "cls"))
+        gone = beaten(s, rows, outside=True)
+        left = rows.join(gone, ["poi", "node", "cls"], "left_anti").select("poi", "node").distinct()
+        # with class_dominance, users of many keywords are looked at one by one and do not hold up the climb
+        done = path.select("poi", "level", "node").join(left, ["poi", "node"], "left_anti").groupBy("poi").agg(F.max("level").alias("stop"))
+        stop = keep(s.own.select("poi").join(done, "poi", "left").select("poi", F.coalesce("stop", F.lit(0)).alias("stop")), "climb")
+        s.counters["climbs_ended"] = stop.where("stop > 0").count()
+    # siblings of the path below the node at which the climb has ended
+    child = F.explode(F.array(*(F.lit(str(i)) for i in range(kvtree.FANOUT))))
+    start = path.join(stop, "poi").where("level > stop").select("poi", "leaf", "terms", "level", child.alias("c")).withColumn("node", F.concat(F.expr("substring(leaf, 1, level - 1)"), "c")).where(~F.startswith("leaf", "node"))
+    start = keep(met(start).select("poi", "level", "node", "cls"), "start")
+    alive = None
+    for level in range(1, depth + 1):
+        rows = start.where(F.col("level") == level).select("poi", "node", "cls")
+        if alive is not None:
+            rows = rows.union(alive.select("poi", F.col("node").alias("parent"), "cls").join(index.select("node", "parent", "cls"), ["parent", "cls"]).select("poi", "node", "cls"))
+        rows = _weighed(s, rows)
+        alive = keep(rows.select("poi", "node", "cls").join(beaten(s, rows), ["poi", "node", "cls"], "left_anti"), "alive")
+        s.counters[f"frontier_{level}"] = rows.select("poi", "node").distinct().count()
+    return alive.select("poi", F.col("node").alias("leaf"), "cls")
+
+
+def _text_pairs(s: Search, users: DataFrame) -> DataFrame:
+    """poi, usr of all (usr) who share a keyword with a candidate."""
+    mine = s.own.select("poi", F.explode("terms").alias("term"))
+    return s.city.user_terms.join(users, "usr", "left_semi").join(F.broadcast(mine), "term").select("poi", "usr").distinct()
+
+
+def text_candidates(s: Search, rules: frozenset = RULES) -> DataFrame:
+    """poi, usr with a shared keyword whom the classes do not rule out."""
+    if s.mode == "none" or "pseudo" not in rules:
+        return _text_pairs(s, s.city.users.where("v is not null").select("usr"))
+    left = surviving(s, "node" in rules)
+    home = s.city.users.join(s.tree.member, "v").select("usr", "leaf")
+    mine = s.own.select("poi", "leaf", F.explode("terms").alias("term"))
+    local = s.city.user_terms.join(home, "usr").join(F.broadcast(mine), ["leaf", "term"]).select("poi", "usr").distinct()
+    terms = s.own.select("poi", "terms")
+    if s.mode == "class_dominance":
+        holds = s.tree.holders.select("leaf", F.array_join("cls", "\x01").alias("cls"), F.col("cls").alias("set"), "usr", "key")
+        # a user's class is the whole of what it shares
+        far = left.join(holds, ["leaf", "cls"]).join(terms, "poi").where(F.size(F.array_intersect("key", "terms")) == F.size("set")).select("poi", "usr")
+        wide = kvtree.key_sets(s.city).where(F.size("key") > kvtree.KEYS).select("usr")
+        far = far.union(_text_pairs(s, wide.join(home, "usr", "left_semi")))
     else:
-        at = ("lo", "hi") if mode == "interval" else ("zero",)
-        single = weighed.withColumn("zero", F.lit(0)).withColumn("w_o", F.col("w_m"))
-        cond = ahead(at[0])
-        for x in at[1:]:
-            cond = cond & ahead(x)
-        each = single.where(cond).groupBy("poi", "leaf", "shared", "b", "term").agg(F.count("*").alias("n")).where(F.col("n") >= k)
-        beaten = each.groupBy("poi", "leaf", "shared", "b").agg(F.count("*").alias("terms")).withColumn("ok", F.col("terms") == F.size("shared"))
-    every = base.select("poi", "leaf", "shared", "b").join(beaten.where("ok").select("poi", "leaf", "shared", "b", F.lit(1).alias("hit")), ["poi", "leaf", "shared", "b"], "left")
-    return every.groupBy("poi", "leaf", "shared").agg(F.min(F.coalesce("hit", F.lit(0))).alias("all")).where("all = 1").select("poi", "leaf", "shared")
-
-
-def candidates_of(city: City, candidates: DataFrame, k: int, alpha: float, tree: kvtree.Tree | None = None, mode: str = "class_dominance", tie_mode: str = "keep", drop_rare_user_terms: int = 0, leaf_cap: int = 100) -> tuple[DataFrame, dict]:
+        open_ = left.groupBy("poi", "leaf").agg(F.collect_set("cls").alias("open"))
+        met = left.withColumnRenamed("cls", "term").join(home.join(s.city.user_terms, "usr"), ["leaf", "term"]).select("poi", "leaf", "usr").distinct()
+        far = met.join(open_, ["poi", "leaf"]).join(terms, "poi").join(kvtree.key_sets(s.city), "usr").where(F.size(F.array_except(F.array_intersect("key", "terms"), "open")) == 0).select("poi", "usr")
+    return local.union(far).distinct()
+
+
+def candidates_of(city: City, candidates: DataFrame, k: int, alpha: float, tree: kvtree.Tree | None = None, mode: str = "class_dominance", tie_mode: str = "keep", drop_rare_user_terms: int = 0, leaf_cap: int = 100, rules: frozenset = RULES, min_df: int = 0) -> tuple[DataFrame, dict]:
     """(poi, usr) that may belong to the audiences, and counters.
 
     tie_mode: ``keep`` keeps a user whose score equals the bound; ``strict_paper`` does not (it loses members).
-    drop_rare_user_terms: users with a keyword that fewer users hold are left out of the class test and
-    looked at one by one, so the answer stays the same.
+    drop_rare_user_terms: keywords that fewer users hold are left out of the classes, whose holders are looked at
+    one by one, so the answer stays the same. rules: which of ``RULES`` apply; without one there is more work.
     """
-    if mode not in PRUNE_MODES or tie_mode not in ("keep", "strict_paper"):
+    if mode not in PRUNE_MODES or tie_mode not in ("keep", "strict_paper") or not rules <= RULES:
         raise ValueError("unknown mode")
     if tree is None:
-        city, tree = kvtree.build(city, k, leaf_cap)
-    rest = _share(alpha)[1]
+        city, tree = kvtree.build(city, k, leaf_cap, min_df)
+    a, rest = _share(alpha)
     few = candidates.select("poi").distinct()
-    near_city = City(city.road, city.sites, city.site_terms.join(few, "poi", "left_semi"), city.users, city.user_terms, city.checkins.join(few, "poi", "left_semi"), city.friends, city.social)
-    pairs = relevance.relevant_pairs(near_city, alpha)
-    social = relevance.friend_visits(city.friends, near_city.checkins).select("poi", "usr", F.lit(True).alias("is_social"))
-    pairs = keep(pairs.join(social, ["poi", "usr"], "left").withColumn("is_social", F.coalesce("is_social", F.lit(False))), "pairs")
-    counters = {"relevant_pairs": pairs.count()}
-    left = pairs
-    if mode != "none" and rest > 0:
-        gone = pruned_classes(city, tree, few, k, mode)
-        keyed = pairs.where("not is_social").join(_key_sets(city, tree), "usr").join(near_city.site_terms.groupBy("poi").agg(F.collect_set("term").alias("terms")), "poi").withColumn("shared", F.array_intersect("key", "terms"))
-        if drop_rare_user_terms:
-            rare = city.user_terms.groupBy("term").agg(F.count("*").alias("n")).where(F.col("n") < drop_rare_user_terms)
-            holders = city.user_terms.join(rare, "term", "left_semi").select("usr").distinct()
-            keyed = keyed.join(holders, "usr", "left_anti")
-        lost = keyed.join(gone, ["poi", "leaf", "shared"], "left_semi").select("poi", "usr")
-        left = keep(pairs.join(lost, ["poi", "usr"], "left_anti"), "unpruned")
-    counters["bound_computations"] = left.count()
-    s_k = user_lower_bounds(city, tree.nearest, left, k, alpha)
-    dist = roads.site_distances(city, few)
-    scored = left.join(dist, ["poi", "usr"]).withColumn("score", F.col("gain") / F.greatest(F.col("dist"), F.lit(1.0))).join(s_k, "usr")
+    visited = city.checkins.join(F.broadcast(few), "poi", "left_semi")
+    friends = relevance.social_relevance(city.friends, visited) if a > 0 else None
+    search = open_search(city, tree, candidates, k, mode)
+    located = city.users.where("v is not null").select("usr")
+    text = located.select(F.lit(0).cast("long").alias("poi"), "usr").limit(0)
+    if rest > 0:
+        if drop_rare_user_terms and mode != "none":
+            rare = city.user_terms.groupBy("term").agg(F.count("*").alias("n")).where(F.col("n") < drop_rare_user_terms).select("term")
+            holds = keep(city.user_terms.join(rare, "term", "left_semi").select("usr").distinct(), "rare_holders")
+            plain = replace(city, user_terms=keep(city.user_terms.join(holds, "usr", "left_anti"), "plain_terms"))
+            held = keep(kvtree.holders(plain, tree.member), "holders")
+            smaller = replace(tree, holders=held, sets=keep(kvtree.class_sets(held, tree.depth), "sets"), terms=keep(kvtree.node_terms(plain, tree.member, tree.depth), "terms"))
+            text = text_candidates(replace(search, city=plain, tree=smaller), rules).union(_text_pairs(search, holds.join(located, "usr", "left_semi")))
+        else:
+            text = text_candidates(search, rules)
+    text = text.select("poi", "usr", F.lit(0.0).alias("social"))
+    both = text if friends is None else text.union(friends.join(located, "usr", "left_semi").select("poi", "usr", "social"))
+    pairs = keep(both.groupBy("poi", "usr").agg(F.max("social").alias("social")), "pairs")
+    shared = pairs.join(city.user_terms, "usr").join(city.site_terms.select("poi", "term", "w_m"), ["poi", "term"]).groupBy("poi", "usr").agg(F.sum("w_m").alias("text_m"))
+    left = keep(pairs.join(shared, ["poi", "usr"], "left").withColumn("gain", gain(F.col("social"), F.coalesce("text_m", F.lit(0)), alpha)).where("gain > 0"), "unpruned")
+    counters = search.counters | {"user_bounds": left.count()}
+    counters["bound_computations"] = counters["tested_borders"] + counters["user_bounds"]
+    s_k = user_lower_bounds(city, tree.nearest, left, k, alpha, tree.postings if min_df > 1 else None)
+    located = left.join(city.users.select("usr", "v", "dis"), "usr").join(search.to_site, ["poi", "v"])
+    scored = located.withColumn("score", ratio_score(F.col("gain"), F.col("d_p") + F.col("dis"))).join(s_k, "usr")
     # lists hold positive scores only, and a bound of 0 prunes nothing
     good = F.col("score") >= F.col("s_k") if tie_mode == "keep" else F.col("score") > F.col("s_k")
-    maybe = keep(scored.where(good).select("poi", "usr"), "maybe")
+    judged = F.when(F.col("social") > 0, F.lit("social" in rules)).otherwise(F.lit("local" in rules))
+    maybe = keep(scored.where(good | ~judged).select("poi", "usr"), "maybe")
     counters["unpruned_users"], counters["unpruned_pairs"] = maybe.select("usr").distinct().count(), maybe.count()
     return maybe, counters
 
@@ -153,28 +306,72 @@ def social_matrix(city: City) -> DataFrame:
     return relevance.social_relevance(city.friends, city.checkins)
 
 
-def combined(city: City, candidates: DataFrame, k: int, alpha: float, leaf_cap: int = 100) -> DataFrame:
-    """The baseline: one candidate after the other, nodes bounded by their best text, best social and least distance.
+@dataclass
+class CombinedIndex:
+    """users(usr, leaf, s_k); matrix(usr, poi, social); social(node, poi, social): the best of the node; least(node, s_k)."""
 
-    A reconstruction of the earlier index: a leaf is opened if the bound of its users on the candidate is
-    positive and reaches the k-th bound of the leaf (the smallest lower bound of its users).
+    tree: kvtree.Tree
+    users: DataFrame
+    matrix: DataFrame
+    social: DataFrame
+    least: DataFrame
+
+
+def build_combined(city: City, k: int, alpha: float, leaf_cap: int = 100) -> tuple[City, CombinedIndex]:
+    """The earlier index: best social and least k-th bound of every node above the social relevance of every pair."""
+    city, tree = kvtree.build(city, k, leaf_cap)
+    leaves = city.users.join(tree.member, "v").select("usr", "leaf")
+    users = keep(leaves.join(user_lower_bounds(city, tree.nearest, city.users, k, alpha), "usr"), "leaves")
+    matrix = keep(social_matrix(city), "matrix")
+    up = lambda df: df.withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(tree.depth)))).withColumn("node", F.expr("substring(leaf, 1, level)"))
+    social = keep(up(matrix.join(leaves, "usr")).groupBy("node", "poi").agg(F.max("social").alias("social")), "node_social")
+    least = keep(up(users).groupBy("node").agg(F.min("s_k").alias("least")), "node_bounds")
+    return city, CombinedIndex(tree, users, matrix, social, least)
+
+
+def combined(city: City, candidates: DataFrame, k: int, alpha: float, leaf_cap: int = 100, one_by_one: bool = True, index: CombinedIndex | None = None) -> tuple[DataFrame, dict]:
+    """The baseline: one candidate after the other; poi, usr and counters.
+
+    A reconstruction of the earlier method: from the root down, a node is opened if the score that its best
+    text, best social relevance and least distance allow is positive and reaches the least k-th bound of its
+    users; users of opened leaves are bounded one by one, what is left is verified. ``one_by_one=False``
+    takes all candidates in one pass, for the same answer and the same counts.
     """
-    city = city.kept(keep)
-    member, _ = kvtree.partition(city.road, leaf_cap)
-    matrix, nearest = keep(social_matrix(city), "matrix"), keep(kvtree.k_nearest(city, k), "nearest")
-    a, rest = _share(alpha)
-    users = keep(city.users.join(member, "v"), "leaves")
-    kth = keep(user_lower_bounds(city, nearest, users, k, alpha).join(users.select("usr", "leaf"), "usr").groupBy("leaf").agg(F.min("s_k").alias("least")), "leaf_bounds")
-    found = None
-    for poi in sorted(r["poi"] for r in candidates.select("poi").distinct().collect()):
-        one = candidates.sparkSession.createDataFrame([(poi,)], "poi long")
-        terms = city.user_terms.join(users, "usr").select("leaf", "term").distinct().join(city.site_terms.where(F.col("poi") == poi), "term").groupBy("leaf").agg((F.sum("w_m") / F.lit(float(MILLION))).alias("text"))
-        social = matrix.where(F.col("poi") == poi).join(users, "usr").groupBy("leaf").agg(F.max("social").alias("social"))
-        near = roads.site_distances(city, one).join(users.select("usr", "leaf"), "usr").groupBy("leaf").agg(F.min("dist").alias("dist"))
-        bound = near.join(terms, "leaf", "left").join(social, "leaf", "left").join(kth, "leaf", "left")
-        top = (F.lit(a) * F.coalesce("social", F.lit(0.0)) + F.lit(rest) * F.coalesce("text", F.lit(0.0))) / F.greatest(F.col("dist"), F.lit(1.0))
-        opened = bound.where((top > 0) & (top >= F.coalesce("least", F.lit(0.0)))).select("leaf")
-        maybe = users.join(opened, "leaf", "left_semi").select(F.lit(poi).cast("long").alias("poi"), "usr")
-        got = keep(verify(city, maybe, k, alpha), "one_site")
-        found = got if found is None else found.union(got)
-    return found if found is not None else candidates.sparkSession.createDataFrame([], "poi long, usr long")
+    if index is None:
+        city, index = build_combined(city, k, alpha, leaf_cap)
+    depth, counters = index.tree.depth, {"node_bounds": 0, "user_bounds": 0, "unpruned_pairs": 0}
+
+    def retrieve(few: DataFrame) -> DataFrame:
+        own = few.join(city.sites, "poi").select("poi", "v", "dis")
+        weights = city.site_terms.join(F.broadcast(few), "poi", "left_semi").select("poi", "term", "w_m")
+        dist = keep(roads.site_distances(city, few).join(index.users, "usr"), "candidate_distances")
+        frontier = own.select("poi", F.lit("").alias("node"))
+        for level in range(depth + 1):
+            node = F.expr(f"substring(leaf, 1, {level})").alias("node")
+            near = dist.groupBy("poi", node).agg(F.min("dist").alias("dist"))
+            text = index.tree.terms.where((F.length("node") == level) & (F.col("n_users") > 0)).join(F.broadcast(weights), "term").groupBy("poi", "node").agg(F.sum("w_m").alias("text_m"))
+            rows = frontier.join(near, ["poi", "node"]).join(text, ["poi", "node"], "left").join(index.social, ["poi", "node"], "left").join(index.least, "node")
+            top = ratio_score(gain(F.coalesce("social", F.lit(0.0)), F.coalesce("text_m", F.lit(0)), alpha), F.col("dist"))
+            rows = keep(rows.withColumn("top", top), "nodes")
+            counters["node_bounds"] += rows.count()
+            # the top is summed in another order than a score, by a few units in the last place
+            opened = rows.where((F.col("top") > 0) & (F.col("top") * (1 + 1e-12) >= F.col("least"))).select("poi", "node")
+            frontier = opened.select("poi", F.explode(F.transform(F.sequence(F.lit(0), F.lit(kvtree.FANOUT - 1)), lambda i: F.concat("node", i.cast("string")))).alias("node")) if level < depth else opened
+        pairs = keep(index.users.join(F.broadcast(frontier.withColumnRenamed("node", "leaf")), "leaf").select("poi", "usr", "s_k"), "opened_users")
+        counters["user_bounds"] += pairs.count()
+        shared = pairs.select("poi", "usr").join(city.user_terms, "usr").join(weights, ["poi", "term"]).groupBy("poi", "usr").agg(F.sum("w_m").alias("text_m"))
+        full = pairs.join(shared, ["poi", "usr"], "left").join(index.matrix, ["poi", "usr"], "left").join(dist.select("poi", "usr", "dist"), ["poi", "usr"])
+        full = full.withColumn("gain", gain(F.coalesce("social", F.lit(0.0)), F.coalesce("text_m", F.lit(0)), alpha))
+        maybe = keep(full.where(F.col("gain") > 0).where(ratio_score(F.col("gain"), F.col("dist")) >= F.col("s_k")).select("poi", "usr"), "maybe")
+        counters["unpruned_pairs"] += maybe.count()
+        return keep(verify(city, maybe, k, alpha), "audience")
+
+    few = candidates.select("poi").distinct()
+    if not one_by_one:
+        found = retrieve(few)
+    else:
+        found = candidates.sparkSession.createDataFrame([], "poi long, usr long")
+        for poi in sorted(r["poi"] for r in few.collect()):
+            found = found.union(retrieve(candidates.sparkSession.createDataFrame([(poi,)], "poi long")))
+    counters["bound_computations"] = counters["node_bounds"] + counters["user_bounds"]
+    return found, counters

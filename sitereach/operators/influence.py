@@ -17,8 +17,10 @@ from pyspark.sql import functions as F
 from ..functions import coin
 from ..sources import keep
 
-#: Social edges that may be broadcast to the walkers; beyond it, ``reverse_samples_shuffled`` is the way.
+#: Social edges, users and audience pairs together that may be broadcast to the walkers; beyond it, walks go by joins.
 EDGE_LIMIT = 20_000_000
+#: Rows up to which one task may number them; beyond, they are numbered range by range.
+NUMBER_LIMIT = 2_000_000
 #: Edges of a graph whose possible worlds are enumerated.
 WORLD_EDGES = 16
 
@@ -123,19 +125,50 @@ def _draw(*parts) -> int:
     return int(md5("|".join(map(str, parts)).encode()).hexdigest()[:8], 16)
 
 
+def numbered(df: DataFrame, key: str, ranges: int = 200) -> DataFrame:
+    """``df`` with ``at``: 0, 1, ... by ascending key (unique). Many rows are numbered within ranges of the key, whose sizes add up."""
+    if df.count() <= NUMBER_LIMIT:
+        return df.withColumn("at", (F.row_number().over(Window.orderBy(key)) - 1).cast("long"))
+    edges = df.agg(F.percentile_approx(key, [i / ranges for i in range(1, ranges)], 10_000).alias("q")).first()["q"]
+    part = F.size(F.filter(F.array(*map(F.lit, sorted(set(edges)))), lambda e: e < F.col(key)))
+    rows = df.withColumn("part", part)
+    # one row a range
+    before = rows.groupBy("part").agg(F.count("*").alias("n")).withColumn("base", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).select("part", "base")
+    nth = F.row_number().over(Window.partitionBy("part").orderBy(key)) - 1
+    return rows.withColumn("nth", nth).join(F.broadcast(before), "part").withColumn("at", (F.col("base") + F.col("nth")).cast("long")).drop("part", "nth", "base")
+
+
+class Walker:
+    """Draws reverse samples of one graph: its parts are checked, and broadcast or kept, once for all ranges of samples."""
+
+    def __init__(self, social: DataFrame, audience: DataFrame, universe: DataFrame, seed: int = 1, hops: int = 2, coins: str = "mix"):
+        self.social, self.audience, self.universe = social, audience, universe.select("usr").distinct()
+        self.seed, self.hops, self.coins = seed, hops, coins
+        self.small = social.count() + self.universe.count() + audience.count() <= EDGE_LIMIT
+        self.shared = _broadcast_graph(social, audience, self.universe) if self.small else None
+
+    def draw(self, first: int, count: int) -> DataFrame:
+        """rid, target, near, far of the samples first, ..., first + count - 1."""
+        if self.small:
+            return _walk(self.social.sparkSession, self.shared, first, count, self.seed, self.hops, self.coins)
+        return reverse_samples_shuffled(self.social, self.audience, self.universe, first, count, self.seed, self.hops)
+
+
 def reverse_samples(social: DataFrame, audience: DataFrame, universe: DataFrame, first: int, count: int, seed: int = 1, hops: int = 2, coins: str = "mix") -> DataFrame:
     """rid, target, near, far for ``count`` samples from id ``first`` on.
 
     A sample walks the live edges backwards from a uniform target of the universe. A candidate is near if a
     user of its audience stands at most ``hops`` edges before the target, far if one stands further away
-    only. ``coins``: ``md5`` for coins shared with SQL, ``mix`` for the fast ones of production.
+    only. ``coins``: ``md5`` for coins shared with SQL, ``mix`` for the fast ones of production; graphs too
+    large to broadcast are walked by joins, with md5 coins.
     """
+    return Walker(social, audience, universe, seed, hops, coins).draw(first, count)
+
+
+def _broadcast_graph(social: DataFrame, audience: DataFrame, universe: DataFrame):
     spark = social.sparkSession
-    n = social.count()
-    if n > EDGE_LIMIT:
-        raise ValueError(f"{n} social edges are too many to broadcast; use reverse_samples_shuffled()")
     e = social.select("src", "dst", "indeg").toPandas()
-    ids = np.sort(universe.select("usr").distinct().toPandas()["usr"].to_numpy(np.int64))
+    ids = np.sort(universe.toPandas()["usr"].to_numpy(np.int64))
     aud = audience.select("poi", "usr").distinct().toPandas()
     order = np.lexsort((e["src"], e["dst"]))
     dst = e["dst"].to_numpy(np.int64)[order]
@@ -144,8 +177,10 @@ def reverse_samples(social: DataFrame, audience: DataFrame, universe: DataFrame,
     fans: dict[int, list[int]] = {}
     for p, u in zip(aud["poi"].tolist(), aud["usr"].tolist(), strict=True):
         fans.setdefault(u, []).append(p)
-    shared = spark.sparkContext.broadcast((back, e["src"].to_numpy(np.int64)[order], e["indeg"].to_numpy(np.int64)[order], ids, fans))
+    return spark.sparkContext.broadcast((back, e["src"].to_numpy(np.int64)[order], e["indeg"].to_numpy(np.int64)[order], ids, fans))
+
 
+def _walk(spark, shared, first: int, count: int, seed: int, hops: int, coins: str) -> DataFrame:
     def hits(rid: int, target: int, back, src, indeg, fans) -> tuple[list[int], list[int]]:
         seen, layer, depth, at = {target}, [target], 0, {}
         rng = np.random.default_rng((seed, rid)) if coins == "mix" else None
@@ -178,7 +213,7 @@ def reverse_samples(social: DataFrame, audience: DataFrame, universe: DataFrame,
                 out.append((rid, target, *hits(rid, target, back, src, indeg, fans)))
             yield pd.DataFrame(out, columns=["rid", "target", "near", "far"])
 
-    if not len(ids):
+    if not len(shared.value[3]):
         return spark.createDataFrame([], "rid long, target long, near array<long>, far array<long>")
     return spark.range(first, first + count).mapInPandas(work, "rid long, target long, near array<long>, far array<long>")
 
@@ -186,10 +221,10 @@ def reverse_samples(social: DataFrame, audience: DataFrame, universe: DataFrame,
 def reverse_samples_shuffled(social: DataFrame, audience: DataFrame, universe: DataFrame, first: int, count: int, seed: int = 1, hops: int = 2) -> DataFrame:
     """The same samples (md5 coins) when the graph is too large for a worker: one join a hop, live edges only."""
     spark = social.sparkSession
-    numbered = universe.select("usr").distinct().withColumn("at", F.row_number().over(Window.orderBy("usr")) - 1)
-    size = numbered.agg(F.count("*").alias("n"))
+    placed = keep(numbered(universe.select("usr").distinct(), "usr"), "universe")
+    size = placed.agg(F.count("*").alias("n"))
     draws = spark.range(first, first + count).select(F.col("id").alias("rid")).crossJoin(F.broadcast(size)).select("rid", (coin(F.col("rid"), F.lit("t"), F.lit(seed)) % F.col("n")).alias("at"))
-    found = keep(draws.join(numbered, "at").select("rid", F.col("usr").alias("target"), "usr", F.lit(0).alias("depth")), "samples")
+    found = keep(draws.join(placed, "at").select("rid", F.col("usr").alias("target"), "usr", F.lit(0).alias("depth")), "samples")
     front, depth, edges = found, 0, social.select("src", "dst", "indeg")
     while True:
         depth += 1

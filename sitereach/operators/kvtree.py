@@ -7,7 +7,7 @@ level comes out of the leaf paths by ``substring``.
 from __future__ import annotations
 
 import heapq
-from dataclasses import dataclass, replace
+from dataclasses import dataclass
 from math import ceil, log
 
 import numpy as np
@@ -20,17 +20,27 @@ from ..sources import keep
 from . import roads
 
 FANOUT = 4
+#: Keywords of a user up to which all their subsets are indexed.
+KEYS = 4
+#: Levels from the leaves up on which distances between borders and users are indexed.
+NEAR_LEVELS = 2
 
 
 @dataclass(frozen=True)
 class Tree:
-    """member(v, leaf); border(node, v); terms(node, term, n_users, n_pois); nearest(term, v, poi, dist)."""
+    """member(v, leaf); border(node, v); terms(node, term, n_users, n_pois); nearest(term, v, poi, dist) of frequent
+    keywords; postings(term, poi, w_m) of the others; sets(node, parent, cls, n_users): keyword sets that some user of
+    the node holds (with others, perhaps); holders(leaf, cls, usr, key); ranges(node, b, lo, hi): how far users are from a border."""
 
     depth: int
     member: DataFrame
     border: DataFrame
     terms: DataFrame
     nearest: DataFrame
+    postings: DataFrame
+    sets: DataFrame
+    holders: DataFrame
+    ranges: DataFrame
 
 
 def depth_of(vertices: int, leaf_cap: int) -> int:
@@ -99,7 +109,7 @@ def k_nearest(city: City, k: int, min_df: int = 0) -> DataFrame:
         return pd.DataFrame({"term": group["term"].iloc[0], "v": np.repeat(rows.ids, size), "poi": np.fromiter((p for t in taken for p in t), np.int64, int(size.sum())), "dist": np.fromiter((d for t in taken for d in t.values()), np.float64, int(size.sum()))})
 
     terms = city.site_terms.select("term", "poi")
-    if min_df:
+    if min_df > 1:
         terms = terms.join(split_terms(city.site_terms, min_df)[0], "term", "left_semi")
     return terms.join(city.sites, "poi").groupBy("term").applyInPandas(work, "term string, v long, poi long, dist double").withColumn("dist", F.col("dist").cast("long"))
 
@@ -137,13 +147,47 @@ def compressed(owner: DataFrame, member: DataFrame, depth: int) -> tuple[DataFra
     return runs, at.join(whole, ["term", "leaf"], "left_anti").select("term", "v", "poi")
 
 
-def build(city: City, k: int, leaf_cap: int = 100) -> tuple[City, Tree]:
-    """The city and its index, each relation kept as a table."""
+def border_owner(border: DataFrame, nearest: DataFrame) -> DataFrame:
+    """node, term, v, poi, dist, nth: the nearest places of each keyword from the borders of every node, nearest first."""
+    order = Window.partitionBy("node", "term", "v").orderBy("dist", "poi")
+    return border.join(nearest, "v").withColumn("nth", F.row_number().over(order)).select("node", "term", "v", "poi", "dist", "nth")
+
+
+def key_sets(city: City) -> DataFrame:
+    """usr, key: the sorted keywords of each user."""
+    return city.user_terms.groupBy("usr").agg(F.sort_array(F.collect_set("term")).alias("key"))
+
+
+def holders(city: City, member: DataFrame) -> DataFrame:
+    """leaf, cls, usr, key: every set of keywords that a located user of at most ``KEYS`` keywords holds."""
+    users = city.users.select("usr", "v").join(key_sets(city), "usr").join(member, "v").where(F.size("key") <= KEYS)
+    some = F.transform(F.sequence(F.lit(1), F.call_function("shiftleft", F.lit(1), F.size("key")) - 1), lambda m: F.filter("key", lambda t, i: F.get(F.array(*((m.bitwiseAND(1 << j)) for j in range(KEYS))), i) > 0))
+    return users.select("leaf", F.explode(some).alias("cls"), "usr", "key")
+
+
+def class_sets(held: DataFrame, depth: int) -> DataFrame:
+    """node, parent, cls, n_users for the root (whose parent is null) and every level below it."""
+    at = held.groupBy("leaf", "cls").agg(F.count("*").alias("n"))
+    levels = at.select("cls", "n", "leaf", F.explode(F.sequence(F.lit(0), F.lit(depth))).alias("level"))
+    each = levels.groupBy(F.expr("substring(leaf, 1, level)").alias("node"), "cls").agg(F.sum("n").alias("n_users"))
+    return each.select("node", F.when(F.length("node") > 0, F.expr("substring(node, 1, length(node) - 1)")).alias("parent"), "cls", "n_users")
+
+
+def ranges(city: City, member: DataFrame, border: DataFrame, depth: int, levels: int = NEAR_LEVELS) -> DataFrame:
+    """node, b, lo, hi: least and largest distance, offset included, of the node's users to a border; the lowest ``levels`` only."""
+    nodes = F.explode(F.sequence(F.lit(max(1, depth - levels + 1)), F.lit(depth)))
+    users = city.users.join(member, "v").select("leaf", "v", "dis", nodes.alias("level")).groupBy(F.expr("substring(leaf, 1, level)").alias("node"), "v").agg(F.min("dis").alias("near"), F.max("dis").alias("far"))
+    pairs = keep(border.select("node", F.col("v").alias("b")).join(users, "node"), "border_users")
+    dist = roads.between(city.road, pairs.select(F.col("b").alias("a"), F.col("v").alias("b")))
+    return pairs.join(dist.select(F.col("a").alias("b"), F.col("b").alias("v"), "dist"), ["b", "v"]).groupBy("node", "b").agg(F.min(F.col("dist") + F.col("near")).alias("lo"), F.max(F.col("dist") + F.col("far")).alias("hi"))
+
+
+def build(city: City, k: int, leaf_cap: int = 100, min_df: int = 0) -> tuple[City, Tree]:
+    """The city and its index, each relation kept as a table; keywords of fewer than ``min_df`` places get postings only."""
     city = city.kept(keep)
     member, depth = partition(city.road, leaf_cap)
     member = keep(member, "member")
-    return city, Tree(depth, member, keep(borders(city.road, member, depth), "border"), keep(node_terms(city, member, depth), "terms"), keep(k_nearest(city, k), "nearest"))
-
-
-def with_nearest(tree: Tree, city: City, k: int) -> Tree:
-    return replace(tree, nearest=keep(k_nearest(city, k), "nearest"))
+    border = keep(borders(city.road, member, depth), "border")
+    held = keep(holders(city, member), "holders")
+    parts = {"terms": node_terms(city, member, depth), "nearest": k_nearest(city, k, min_df), "postings": split_terms(city.site_terms, min_df)[1], "sets": class_sets(held, depth), "ranges": ranges(city, member, border, depth)}
+    return city, Tree(depth=depth, member=member, border=border, holders=held, **{name: keep(df, name) for name, df in parts.items()})

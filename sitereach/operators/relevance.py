@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.score import MILLION, _share
+from ..functions import gain, linear_score
 from ..model import City
 from . import roads
 
@@ -46,11 +46,10 @@ def social_relevance(friends: DataFrame, checkins: DataFrame, mode: str = "frien
 
 def relevant_pairs(city: City, alpha: float, mode: str = "friend_share") -> DataFrame:
     """usr, poi, gain > 0: the numerator of the score. One aggregation over both sources of relevance."""
-    a, b = _share(alpha)
     text = text_similarity(city.user_terms, city.site_terms).select("usr", "poi", F.lit(0.0).alias("social"), "text_m")
     social = social_relevance(city.friends, city.checkins, mode).select("usr", "poi", "social", F.lit(0).cast("long").alias("text_m"))
     both = text.union(social).groupBy("usr", "poi").agg(F.max("social").alias("social"), F.max("text_m").alias("text_m"))
-    return both.select("usr", "poi", (F.lit(a) * F.col("social") + F.lit(b) * (F.col("text_m") / F.lit(float(MILLION)))).alias("gain")).where("gain > 0")
+    return both.select("usr", "poi", gain(F.col("social"), F.col("text_m"), alpha).alias("gain")).where("gain > 0")
 
 
 def located(city: City, pairs: DataFrame) -> DataFrame:
@@ -119,14 +118,11 @@ def top_k(city: City, k: int, alpha: float, mode: str = "friend_share") -> DataF
 
 def top_k_linear(city: City, k: int, alpha: float, beta: float) -> DataFrame:
     """Top-k lists under the linear score; distances are needed for all relevant pairs."""
-    from ..functions import linear_score
-
     pairs = located(city, relevant_pairs(city, alpha))
     reach = roads.from_sources(city.road, city.sites.select("v"))
     dist = pairs.join(reach, (F.col("pv") == F.col("src")) & (F.col("uv") == F.col("v"))).select("usr", "poi", "gain", (F.col("ud") + F.col("dist") + F.col("pd")).alias("distance"))
     far = dist.agg(F.max("distance").alias("farthest"))
-    near, rest = _share(beta)
-    score = F.lit(near) * F.col("gain") + F.lit(rest) * (F.lit(1.0) - F.col("distance") / F.col("farthest"))
+    score = linear_score(F.col("gain"), F.col("distance"), beta, F.col("farthest"))
     order = Window.partitionBy("usr").orderBy(F.desc("score"), "poi")
     return dist.crossJoin(F.broadcast(far)).withColumn("score", score).withColumn("rnk", F.row_number().over(order)).where(F.col("rnk") <= k).select("usr", "poi", "score", "rnk")
 

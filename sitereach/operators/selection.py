@@ -10,6 +10,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass, field
 from itertools import combinations
+from math import ceil
 from time import perf_counter
 
 import numpy as np
@@ -24,6 +25,8 @@ from . import influence
 
 #: Bytes of bitmaps that the driver may hold.
 MATRIX_BYTES = 256 << 20
+#: First sample ids of the two independent collections.
+SAMPLE_RANGES = (1 << 40, 1 << 41)
 
 
 @dataclass
@@ -69,22 +72,32 @@ def exhaustive(candidates: list[int], b: int, value: Callable[[list[list[int]]],
 
 
 # ---------------------------------------------------------------- coverage
+def matrix_bytes(candidates: int, samples: int) -> int:
+    return 2 * candidates * samples // 8
+
+
 class Matrix:
-    """near[c], far[c]: bitmaps over the samples."""
+    """near[c], far[c]: bitmaps over the samples, which may be extended by further ranges."""
 
     def __init__(self, samples: DataFrame, candidates: list[int], first: int, count: int):
-        if 2 * len(candidates) * count // 8 > MATRIX_BYTES:
-            raise ValueError("too many samples for bitmaps on the driver; use greedy_cover()")
-        self.candidates, self.count = sorted(candidates), count
-        self.near, self.far = (np.zeros((len(candidates), -(-count // 8)), np.uint8) for _ in range(2))
+        self.candidates, self.count = sorted(candidates), 0
+        self.near, self.far = (np.zeros((len(candidates), 0), np.uint8) for _ in range(2))
+        self.extend(samples, first, count)
+
+    def extend(self, samples: DataFrame, first: int, count: int) -> None:
+        """Append the samples first, ..., first + count - 1. One row a candidate comes back: the ids of its samples, packed to bits here."""
+        if matrix_bytes(len(self.candidates), self.count + count) > MATRIX_BYTES:
+            raise ValueError("too many samples for bitmaps on the driver; use Counted")
         at = {p: i for i, p in enumerate(self.candidates)}
-        # one row a candidate comes back: the sorted ids of its samples, packed to bits here
-        rows = influence.hit_rows(samples).groupBy("poi", "far").agg(F.collect_list(F.col("rid") - first).alias("rids")).collect()
-        for r in rows:
+        new = np.zeros((2, len(at), -(-count // 8)), np.uint8)
+        for r in influence.hit_rows(samples).groupBy("poi", "far").agg(F.collect_list(F.col("rid") - first).alias("rids")).collect():
             if r["poi"] in at:
                 bits = np.zeros(count, bool)
                 bits[np.asarray(r["rids"], np.int64)] = True
-                (self.far if r["far"] else self.near)[at[r["poi"]]] = np.packbits(bits)
+                new[int(r["far"]), at[r["poi"]]] = np.packbits(bits)
+        # ranges begin at whole bytes; the bits between them stay 0
+        self.near, self.far = np.hstack([self.near, new[0]]), np.hstack([self.far, new[1]])
+        self.count += count
 
     def rows(self, sites: list[int]) -> list[int]:
         return [self.candidates.index(p) for p in sites]
@@ -105,26 +118,52 @@ class Matrix:
 
 
 class Counted:
-    """The same answers for mode ``any`` by counts over rows, where bitmaps would exceed ``MATRIX_BYTES``."""
+    """The same answers by counts over rows, where bitmaps would exceed ``MATRIX_BYTES``."""
 
     def __init__(self, samples: DataFrame, candidates: list[int], first: int, count: int):
-        self.candidates, self.count = sorted(candidates), count
-        self.hits = keep(influence.hit_rows(samples).select("rid", "poi").distinct(), "hits")
+        self.candidates, self.count, self.hits = sorted(candidates), 0, None
+        self.extend(samples, first, count)
+
+    def extend(self, samples: DataFrame, first: int, count: int) -> None:
+        new = keep(influence.hit_rows(samples).distinct(), "hits")
+        self.hits = new if self.hits is None else self.hits.union(new)
+        self.count += count
 
-    def _met(self, sites: list[int]) -> DataFrame:
-        return self.hits.where(F.col("poi").isin(sites)).select("rid").distinct()
+    def _met(self, sites: list[int], mode: str) -> DataFrame:
+        at = self.hits.where(F.col("poi").isin(sites)).groupBy("rid").agg(F.max("far").alias("far"), F.max(~F.col("far")).alias("near"))
+        return at.where({"any": F.lit(True), "exclusive": F.col("far") & ~F.col("near"), "inclusive": F.col("far")}[mode]).select("rid")
 
     def covered(self, sites: list[int], mode: str = "any") -> int:
-        return self._met(sites).count()
+        return self._met(sites, mode).count()
 
     def gains(self, sites: list[int], mode: str = "any") -> list[float]:
-        rows = self.hits.join(self._met(sites), "rid", "left_anti").groupBy("poi").agg(F.count("*").alias("n")).collect()
-        n = {r["poi"]: r["n"] for r in rows}
+        if mode == "exclusive":  # gains may be negative there
+            base = self.covered(sites, mode)
+            return [float(self.covered([*sites, p], mode) - base) for p in self.candidates if p not in sites]
+        rows = self.hits if mode == "any" else self.hits.where("far")
+        found = rows.select("rid", "poi").distinct().join(self._met(sites, mode), "rid", "left_anti").groupBy("poi").agg(F.count("*").alias("n")).collect()
+        n = {r["poi"]: r["n"] for r in found}
         return [float(n.get(p, 0)) for p in self.candidates if p not in sites]
 
 
+class Collection:
+    """A growing collection of samples: bitmaps while they fit, then counts over rows. Earlier samples are kept, never drawn again."""
+
+    def __init__(self, walker: influence.Walker, candidates: list[int], first: int, count: int):
+        self.walker, self.candidates, self.first = walker, candidates, first
+        self.found = coverage_of(walker.draw(first, count), candidates, first, count)
+
+    def double(self) -> None:
+        old = self.found.count
+        new = self.walker.draw(self.first + old, old)
+        if isinstance(self.found, Matrix) and matrix_bytes(len(self.candidates), 2 * old) > MATRIX_BYTES:
+            self.found = Counted(self.walker.draw(self.first, 2 * old), self.candidates, self.first, 2 * old)
+        else:
+            self.found.extend(new, self.first + old, old)
+
+
 def coverage_of(samples: DataFrame, candidates: list[int], first: int, count: int) -> Matrix | Counted:
-    kind = Counted if 2 * len(candidates) * count // 8 > MATRIX_BYTES else Matrix
+    kind = Counted if matrix_bytes(len(candidates), count) > MATRIX_BYTES else Matrix
     return kind(samples, candidates, first, count)
 
 
@@ -170,7 +209,7 @@ def lazy_cover(m: Matrix, b: int) -> list[int]:
     return chosen
 
 
-def greedy_hybrid(social: DataFrame, audience: DataFrame, m: Matrix, universe: int, b: int, mode: str = "exclusive") -> tuple[list[int], float]:
+def greedy_hybrid(social: DataFrame, audience: DataFrame, m: Matrix | Counted, universe: int, b: int, mode: str = "exclusive") -> tuple[list[int], float]:
     """Greedy on exact local influence plus sampled remote influence."""
     chosen, value = [], 0.0
     for _ in range(min(b, len(m.candidates))):
@@ -196,20 +235,21 @@ def _setup(city: City, candidates: DataFrame, retrieve: Callable[[], DataFrame],
     return aud, keep(social, "social"), users, users.count()
 
 
-def sampling_baseline(city: City, candidates: DataFrame, b: int = 5, k: int = 20, alpha: float = 0.6, eps: float = 0.1, delta: float | None = None, retrieval: str = "combined", split: str = "union", cap: str = "marginal", seed: int = 1, most: int | None = None) -> Result:
+def sampling_baseline(city: City, candidates: DataFrame, b: int = 5, k: int = 20, alpha: float = 0.6, eps: float = 0.1, delta: float | None = None, retrieval: str = "combined", split: str = "union", cap: str = "marginal", seed: int = 1, most: int | None = None, coins: str = "mix", start: int = 64, retrieve: Callable[[], DataFrame] | None = None, one_by_one: bool = True) -> Result:
     """Site by site retrieval, then reverse samples doubled until the greedy choice is certified, or ``most`` of them, if given, are drawn."""
     out, pois = Result("sampling_baseline", []), _pois(candidates)
-    get = (lambda: audience_ops.combined(city, candidates, k, alpha)) if retrieval == "combined" else (lambda: audience_ops.batch(city, candidates, k, alpha)[0])
+    get = retrieve or ((lambda: audience_ops.combined(city, candidates, k, alpha, one_by_one=one_by_one)[0]) if retrieval == "combined" else (lambda: audience_ops.batch(city, candidates, k, alpha)[0]))
     aud, social, users, n = _setup(city, candidates, get, out)
     delta, began = delta or 1 / max(n, 2), perf_counter()
     if not n:
         out.sites = pois[:b]
         return out
-    size, rounds = 64, 0
+    size, rounds, walker = start, 0, influence.Walker(social, aud, users, seed, coins=coins)
+    r1, r2 = (Collection(walker, pois, first, size) for first in SAMPLE_RANGES)
     while True:
         rounds += 1
         each = delta / 2 if split == "half" else delta / 2 / (rounds * (rounds + 1))
-        m1, m2 = (coverage_of(influence.reverse_samples(social, aud, users, start, size, seed), pois, start, size) for start in (1 << 40, 1 << 41))
+        m1, m2 = r1.found, r2.found
         chosen, prefixes, gains = greedy_matrix(m1, b)
         lo = cert.lower(m2.covered(chosen), n, size, each)
         hi = cert.upper(min(cert.coverage_cap(prefixes, gains, b, cap), size), n, size, each)
@@ -218,11 +258,13 @@ def sampling_baseline(city: City, candidates: DataFrame, b: int = 5, k: int = 20
             out.certified_by = "ratio" if lo / hi >= cert.GREEDY - eps else "limit"
             break
         size *= 2
+        r1.double()
+        r2.double()
     out.selection_s = perf_counter() - began
     return out
 
 
-def hybrid_approx(city: City, candidates: DataFrame, b: int = 5, k: int = 20, alpha: float = 0.6, eps: float = 0.1, delta: float | None = None, mode: str = "exclusive", seed: int = 1, retrieve: Callable[[], DataFrame] | None = None) -> Result:
+def hybrid_approx(city: City, candidates: DataFrame, b: int = 5, k: int = 20, alpha: float = 0.6, eps: float = 0.1, delta: float | None = None, mode: str = "exclusive", seed: int = 1, retrieve: Callable[[], DataFrame] | None = None, coins: str = "mix") -> Result:
     """Batch retrieval, exact two hops plus sampled rest, certified with both parts."""
     out, pois = Result("hybrid_approx", []), _pois(candidates)
     aud, social, users, n = _setup(city, candidates, retrieve or (lambda: audience_ops.batch(city, candidates, k, alpha)[0]), out)
@@ -233,9 +275,11 @@ def hybrid_approx(city: City, candidates: DataFrame, b: int = 5, k: int = 20, al
         out.sites, out.influence = sorted(pois[:b] if not psi else local_set), psi
         return out
     todo = cert.plan(n, len(pois), b, eps, delta, psi)
-    each, size = delta / (3 * todo.rounds), max(1, round(todo.theta_0))
+    each, size = delta / (3 * todo.rounds), max(1, ceil(todo.theta_0))
+    walker = influence.Walker(social, aud, users, seed, coins=coins)
+    r1, r2 = (Collection(walker, pois, first, size) for first in SAMPLE_RANGES)
     for step in range(todo.rounds + 1):
-        m1, m2 = (Matrix(influence.reverse_samples(social, aud, users, start, size, seed), pois, start, size) for start in (1 << 40, 1 << 41))
+        m1, m2 = r1.found, r2.found
         chosen, _ = greedy_hybrid(social, aud, m1, n, b, mode)
         local = local_influence(social, aud, [chosen])[0]
         _, prefixes, gains = greedy_matrix(m1, b, "inclusive")
@@ -247,6 +291,8 @@ def hybrid_approx(city: City, candidates: DataFrame, b: int = 5, k: int = 20, al
             out.certified_by = "ratio" if lo / hi >= cert.GREEDY - eps else "theta_max"
             break
         size *= 2
+        r1.double()
+        r2.double()
     out.selection_s = perf_counter() - began
     return out
 
@@ -258,10 +304,12 @@ def local_heuristic(city: City, candidates: DataFrame, b: int = 5, k: int = 20,
     maybe = keep(audience_ops.candidates_of(city, candidates, k, alpha, drop_rare_user_terms=2 if aggressive else 0)[0], "maybe")
     degree = city.friends.groupBy("usr").agg(F.count("*").alias("n_friends"))
     worth = maybe.groupBy("usr").agg(F.count("*").alias("n_sites")).join(degree, "usr", "left").withColumn("worth", F.col("n_sites") * F.coalesce("n_friends", F.lit(0)))
-    order = [F.desc("worth"), "usr"] if priority else ["usr"]
-    from pyspark.sql import Window
-
-    staged = keep(worth.select("usr", (F.percent_rank().over(Window.orderBy(*order)) * batches).cast("int").alias("stage")), "stages")
+    # batches by quantiles of the priority (without it, of a hash), so no task has to rank all users
+    ranked = worth.select("usr", (-F.col("worth")).cast("long").alias("by") if priority else F.xxhash64("usr").alias("by"))
+    edges = ranked.agg(F.percentile_approx("by", [i / batches for i in range(1, batches)] or [0.5], 10_000).alias("q")).first()["q"] or []
+    bounds = F.array(*map(F.lit, sorted(set(edges)))).cast("array<bigint>")
+    staged = keep(ranked.select("usr", F.size(F.filter(bounds, lambda e: e < F.col("by"))).alias("stage")), "stages")
+    batches = len(set(edges))
     social, done, out.retrieval_s = keep(city.social.select("src", "dst", "indeg"), "social"), None, perf_counter() - began
     for stage in range(batches + 1):
         began = perf_counter()

@@ -80,3 +80,91 @@ reached as (select s.set_id, round(any_value(s.own) + coalesce(any_value(more),
 
 def coin(text: str) -> str:
     return f"('0x' || substr(md5({text}), 1, 8))::BIGINT"
+
+
+#: Everyone whom some candidate's audience may reach.
+UNIVERSE = """, act as (select usr from aud union select s.dst from act a join social s on s.src = a.usr), uni as (select usr, row_number() over (order by usr) - 1 as place, count(*) over () as n from act),
+scale as (select count(*)::DOUBLE as n, 1 / greatest(count(*), 2)::DOUBLE as delta from act)
+"""
+
+#: Candidates alone (p = q) and in pairs, with their exact two-hop influence.
+SETS = (
+    ", sets_ as (select poi as p, poi as q, poi as set_id from cand union all select a.poi, b.poi, 1000000 * a.poi + b.poi from cand a join cand b on a.poi < b.poi), both_ as (select set_id, usr from sets_ join aud on aud.poi in (p, q))\n"
+    + two_hop("both_")
+    + ", local_ as (select p, q, set_id, coalesce(influence, 0)::DOUBLE as local from sets_ left join reached using (set_id))\n"
+)
+
+
+def samples(size: str, universe: str = "uni") -> str:
+    """Two collections (r = 0, 1) of ``size`` reverse samples, from the first ids that the solvers use; hit(r, rid, poi, depth)."""
+    return f""", ids as (select r, (r + 1) * 1099511627776 + i as rid from (select unnest([0, 1]) as r), (select unnest(range(0, 1000)) as i), {size} where i < size),
+start as (select r, rid, usr as target from ids join {universe} on place = {coin("concat_ws('|', rid, 't', 1)")} % n),
+back as (select rid, src, dst from ids, social where {coin("concat_ws('|', rid, src, dst, 1)")} * indeg < 4294967296),
+walk as (select rid, target as usr, 0 as depth from start union select w.rid, b.src, w.depth + 1 from walk w join back b on b.rid = w.rid and b.dst = w.usr where w.depth < 60),
+step_of as (select rid, usr, min(depth) as depth from walk group by rid, usr),
+hit as (select r, rid, poi, min(depth) as depth from step_of join aud using (usr) join ids using (rid) group by r, rid, poi)
+"""
+
+
+#: What each set covers in each collection: any, exclusively far, far at all.
+COVERED = """, cov as (select r, set_id, count(*) as any_, count(*) filter (f = 1 and n = 0) as excl, count(*) filter (f = 1) as incl
+    from (select r, set_id, rid, max((depth > 2)::INT) as f, max((depth <= 2)::INT) as n from sets_ join hit on poi in (p, q) group by r, set_id, rid) group by r, set_id),
+known as (select r, p, q, set_id, local, coalesce(any_, 0) as any_, coalesce(excl, 0) as excl, coalesce(incl, 0) as incl from local_ cross join (select unnest([0, 1]) as r) left join cov using (r, set_id))
+"""
+
+
+def greedy2(name: str, value: str) -> str:
+    """The greedy pair by an expression over ``known`` in the first collection: name(p, q, set_id)."""
+    return f""", {name}_1 as (select p as one from known where r = 0 and p = q order by round({value}, 9) desc, p limit 1),
+{name} as (select k.p, k.q, k.set_id from known k, {name}_1 where r = 0 and p <> q and one in (p, q) order by round({value}, 9) desc, case when p = one then q else p end limit 1)
+"""
+
+
+def cap2(name: str, where: str) -> str:
+    """A bound on what two sites cover in the first collection, from a greedy trace over the hits ``where``: name(cap, ratio)."""
+    return f""", {name}_0 as (select distinct rid, poi from hit where r = 0 and {where}),
+{name}_a as (select poi, count(*) as n from {name}_0 group by poi), {name}_a1 as (select poi, n from {name}_a order by n desc, poi limit 1),
+{name}_r1 as (select * from {name}_0 where rid not in (select rid from {name}_0 where poi in (select poi from {name}_a1))),
+{name}_b as (select poi, count(*) as n from {name}_r1 group by poi), {name}_b1 as (select poi, n from {name}_b order by n desc, poi limit 1),
+{name}_r2 as (select * from {name}_r1 where rid not in (select rid from {name}_r1 where poi in (select poi from {name}_b1))),
+{name}_c as (select poi, count(*) as n from {name}_r2 group by poi),
+{name}_s as (select coalesce((select n from {name}_a1), 0) as one, coalesce((select n from {name}_b1), 0) as two, coalesce((select sum(n) from (select n from {name}_a order by n desc limit 2)), 0) as top0,
+    coalesce((select sum(n) from (select n from {name}_b order by n desc limit 2)), 0) as top1, coalesce((select sum(n) from (select n from {name}_c order by n desc limit 2)), 0) as top2),
+{name} as (select least(top0, one + top1, one + two + top2)::DOUBLE as cap, (one + two) / (1 - exp(-1)) as ratio from {name}_s)
+"""
+
+
+def lower(covered: str, n: str, size: str, a: str) -> str:
+    return f"greatest(0, {n} / {size} * (pow(sqrt({covered} + 2 * {a} / 9) - sqrt({a} / 2), 2) - {a} / 18))"
+
+
+def upper(cap: str, n: str, size: str, a: str) -> str:
+    return f"{n} / {size} * pow(sqrt({cap} + {a} / 2) + sqrt({a} / 2), 2)"
+
+_WEIGHTS = CITY[CITY.index("raw_terms as") : CITY.index("fame as")]
+
+#: The text-rich city of events, documents, conversations and vectors.
+CITY_B = (
+    """with recursive
+ev as (select event_id, ts, user_id, event_type, json_extract(props, '$.k')::BIGINT as k from events),
+n_vec as (select count(*)::BIGINT as n_vec from embeddings), n_conv as (select max(conv_id) + 1 as n_conv from conversations),
+usr_ as (select distinct user_id as usr from ev),
+users as (select usr, usr % n_vec as v, 1::BIGINT as dis from usr_, n_vec),
+docs_ as (select doc_id, text from documents where doc_id < 100),
+sites as (select doc_id as poi, doc_id % n_vec as v, 1::BIGINT as dis from docs_, n_vec),
+words as (select doc_id as poi, unnest(regexp_extract_all(lower(text), '\\p{L}+')) as term from docs_),
+"""
+    + _WEIGHTS
+    + """said as (select conv_id, unnest(regexp_extract_all(lower(text), '\\p{L}+')) as term from conversations where role = 'user'),
+user_terms as (select distinct usr, term from usr_ cross join n_conv join said on said.conv_id = usr % n_conv),
+gaps as (select a.vec_id as src, b.vec_id as dst, sqrt(list_reduce(list_prepend(0::DOUBLE, list_transform(list_zip(a.embedding, b.embedding), lambda x: ((x[1] - x[2]) * (x[1] - x[2]))::DOUBLE)), lambda p, q: p + q)) as gap
+    from embeddings a, embeddings b where a.vec_id <> b.vec_id),
+one_way as (select src, dst, ceil(100 * gap)::BIGINT as len from (select *, row_number() over (partition by src order by gap, dst) as nth from gaps) where nth <= 4 or dst = src + 1),
+road as (select src, dst, min(len)::BIGINT as len from (select src, dst, len from one_way union all select dst, src, len from one_way) group by src, dst),
+checkins as (select distinct k as poi, user_id as usr from ev where event_type = 'purchase'),
+follows as (select distinct src, dst from (select user_id as src, lead(user_id) over w as dst, (epoch_us(lead(ts) over w) - epoch_us(ts)) / 1000000 as gap from ev window w as (partition by k order by ts, event_id))
+    where dst is not null and dst <> src and gap <= 3600 * 10000.0::DOUBLE / (select count(*) from ev)),
+social as (select src, dst, (count(*) over (partition by dst))::BIGINT as indeg from follows),
+friends as (select src as usr, dst as friend from follows union select dst, src from follows)
+"""
+)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -81,20 +82,35 @@ def city_social_weights(spark, sf_dir):
     return influence.weights(city_of(spark, sf_dir).social)
 
 
-@query(
-    sql.CITY
-    + """select 'road_edges' as item, count(*)::BIGINT as n from road union all select 'sites', count(*) from sites union all select 'users', count(*) from users
+#: What a city holds, and its averages: keywords of a place and of a user, visitors of a place, friends of a user.
+_STATS = """select 'road_edges' as item, count(*)::DOUBLE as n from road union all select 'sites', count(*) from sites union all select 'users', count(*) from users
     union all select 'site_terms', count(*) from site_terms union all select 'user_terms', count(*) from user_terms union all select 'checkins', count(*) from checkins
-    union all select 'friends', count(*) from friends union all select 'social_edges', count(*) from social"""
-)
-def city_stats(spark, sf_dir):
-    c = city_of(spark, sf_dir)
+    union all select 'friends', count(*) from friends union all select 'social_edges', count(*) from social
+    union all select 'terms_a_site', round(count(*) / count(distinct poi), 6) from site_terms union all select 'terms_a_user', round(count(*) / count(distinct usr), 6) from user_terms
+    union all select 'visitors_a_site', round(count(*) / count(distinct poi), 6) from checkins union all select 'friends_a_user', round(count(*) / count(distinct usr), 6) from friends"""
+
+
+def _stats(c: model.City) -> DataFrame:
     parts = {"road_edges": c.road, "sites": c.sites, "users": c.users, "site_terms": c.site_terms, "user_terms": c.user_terms, "checkins": c.checkins, "friends": c.friends, "social_edges": c.social}
-    out = None
-    for name, df in parts.items():
-        one = df.agg(F.count("*").alias("n")).select(F.lit(name).alias("item"), "n")
-        out = one if out is None else out.union(one)
-    return out
+    out = [df.agg(F.count("*").cast("double").alias("n")).select(F.lit(name).alias("item"), "n") for name, df in parts.items()]
+    for name, df, key in (("terms_a_site", c.site_terms, "poi"), ("terms_a_user", c.user_terms, "usr"), ("visitors_a_site", c.checkins, "poi"), ("friends_a_user", c.friends, "usr")):
+        out.append(df.agg(F.round(F.count("*") / F.count_distinct(key), 6).alias("n")).select(F.lit(name).alias("item"), "n"))
+    return reduce(DataFrame.union, out)
+
+
+@query(sql.CITY + _STATS)
+def city_stats(spark, sf_dir):
+    return _stats(city_of(spark, sf_dir))
+
+
+@query(sql.CITY_B + _STATS)
+def city_b_stats(spark, sf_dir):
+    return _stats(model.events_city(spark, sf_dir).kept(keep))
+
+
+@query(sql.CITY_B + "select src, dst, len from road")
+def city_b_road(spark, sf_dir):
+    return model.events_city(spark, sf_dir).road
 
 
 # ---------------------------------------------------------------- scoring
@@ -190,24 +206,51 @@ query(AUDIENCE, "audience_batch_no_pseudo")(_batch("none"))
 query(AUDIENCE, "audience_aggressive")(_batch(drop_rare_user_terms=20))
 query(None, "audience_border_paper")(_batch("border_paper"))
 query(None, "audience_strict_paper")(_batch(tie_mode="strict_paper"))
+query(AUDIENCE, "audience_batch_no_climb_stop")(_batch(rules=audience.RULES - {"node"}))
+query(AUDIENCE, "audience_batch_all_users_verified")(_batch(rules=audience.RULES - {"social", "local"}))
+query(AUDIENCE, "audience_batch_postings")(_batch(min_df=100))
+
+
+_B_AUDIENCE = sql.CITY_B + GAIN + FROM_SITES + sql.TOPK.format(k=K) + CAND + "select poi, usr from topk where poi in (select poi from cand)"
+
+
+def _b_batch(**options):
+    def run(spark, sf_dir):
+        c = model.events_city(spark, sf_dir).kept(keep)
+        return audience.batch(c, workloads.drawn_sites(c, N_CAND), K, ALPHA, leaf_cap=LEAF, **options)[0]
+
+    return run
+
+
+# long texts: users of many keywords are looked at one by one, or by single keywords; diagrams for keywords of 10 places or more
+query(_B_AUDIENCE, "city_b_audience_batch")(_b_batch(min_df=10))
+query(_B_AUDIENCE, "city_b_audience_interval")(_b_batch(mode="interval", min_df=10))
 
 
 @query(TOPK + FEW + "select poi, usr from topk where poi in (select poi from cand)")
 def audience_combined(spark, sf_dir):
+    """The baseline, one candidate after the other."""
+    c = _kept_city(spark, sf_dir)
+    return audience.combined(c, workloads.drawn_sites(c, N_FEW), K, ALPHA, LEAF)[0]
+
+
+@query(AUDIENCE)
+def audience_combined_together(spark, sf_dir):
     c = _kept_city(spark, sf_dir)
-    return audience.combined(c, workloads.drawn_sites(c, N_FEW), K, ALPHA, LEAF)
+    return audience.combined(c, workloads.drawn_sites(c, N_CAND), K, ALPHA, LEAF, one_by_one=False)[0]
 
 
 @query()
 def pruning_counters(spark, sf_dir):
-    """Relevant pairs, bound computations and unpruned users of each pruning mode."""
-    c = _kept_city(spark, sf_dir)
-    cand = workloads.drawn_sites(c, N_CAND)
-    c, tree = kvtree.build(c, K, LEAF)
+    """What each pruning mode and the baseline looked at: classes, borders, users bounded, users left to verify."""
+    c, tree = kvtree.build(_kept_city(spark, sf_dir), K, LEAF)
+    cand = keep(workloads.drawn_sites(c, N_CAND), "cand")
     rows = []
     for mode in audience.PRUNE_MODES:
         counters = audience.candidates_of(c, cand, K, ALPHA, tree, mode)[1]
         rows += [(mode, name, int(n)) for name, n in counters.items()]
+    counters = audience.combined(c, cand, K, ALPHA, LEAF, one_by_one=False)[1]
+    rows += [("combined", name, int(n)) for name, n in counters.items()]
     return spark.createDataFrame(rows, "mode string, counter string, n long")
 
 
@@ -277,10 +320,71 @@ def k_nearest_terms(spark, sf_dir):
     return kvtree.k_nearest(_kept_city(spark, sf_dir), 3)
 
 
-@query()
+_KTH = """, near as (select u.usr, s.poi, d.d + s.dis + u.dis as dist, row_number() over (partition by u.usr, ut.term order by d.d + s.dis, s.poi) as nth
+    from users u join user_terms ut on ut.usr = u.usr join site_terms st on st.term = ut.term join sites s on s.poi = st.poi join dist d on d.src = s.v and d.v = u.v),
+    met as (select distinct usr, poi, dist from near where nth <= {k}{rare}),
+    weighed as (select usr, poi, {rest}::DOUBLE * (text_m / 1000000::DOUBLE) / greatest(dist, 1::DOUBLE) as score from met join text_sim using (usr, poi)),
+    placed_ as (select usr, score, row_number() over (partition by usr order by score desc, poi) as nth from weighed)
+    select u.usr, coalesce(max(score), 0::DOUBLE) as s_k from users u left join placed_ p on p.usr = u.usr and p.nth = {k} group by u.usr"""
+_BOUND = sql.CITY + GAIN + FROM_SITES + _KTH
+
+
+@query(_BOUND.format(k=K, rest=1 - ALPHA, rare=""))
 def user_lower_bound(spark, sf_dir):
-    c, tree = kvtree.build(_kept_city(spark, sf_dir), K, LEAF)
-    return audience.user_lower_bounds(c, tree.nearest, c.users, K, ALPHA)
+    c = _kept_city(spark, sf_dir)
+    return audience.user_lower_bounds(c, keep(kvtree.k_nearest(c, K), "nearest"), c.users, K, ALPHA)
+
+
+@query(_BOUND.replace("partition by u.usr, ut.term order by", "partition by u.usr, ut.term order by").format(k=K, rest=1 - ALPHA, rare=" or (usr, poi) in (select usr, poi from user_terms join site_terms using (term) where term in (select term from site_terms group by term having count(*) < 100))"))
+def user_lower_bound_postings(spark, sf_dir):
+    """Diagrams for keywords of 100 places or more, postings for the others."""
+    c = _kept_city(spark, sf_dir)
+    return audience.user_lower_bounds(c, keep(kvtree.k_nearest(c, K, 100), "nearest"), c.users, K, ALPHA, kvtree.split_terms(c.site_terms, 100)[1])
+
+
+@query()
+def user_lower_bound_walked(spark, sf_dir):
+    """The walk over adjacent cells, k rounds; its places differ from the nearest ones, so its bounds do, too."""
+    c = _kept_city(spark, sf_dir)
+    owner = keep(kvtree.owners(c), "owner")
+    some = c.users.join(workloads.drawn_sites(c, N_CAND).join(c.checkins, "poi").select("usr").distinct(), "usr", "left_semi")
+    return audience.user_lower_bounds_walked(c, owner, kvtree.adjacency(c.road, owner, c.sites, c.site_terms), some, K, ALPHA)
+
+
+_CLASSES = sql.CITY + sql.member(DEPTH) + """, keyed as (select usr, list_sort(list(term)) as key from user_terms group by usr),
+    parts as (select usr, key, unnest(range(1, (1 << len(key))::BIGINT)) as mask from keyed where len(key) <= 4),
+    held as (select leaf, usr, array_to_string(list_filter(key, lambda t, i: (mask >> (i - 1)) & 1 = 1), ',') as cls from parts join users using (usr) join member using (v))
+"""
+
+
+@query(_CLASSES + "select substr(leaf, 1, level) as node, cls, count(*)::BIGINT as n_users from held, levels group by 1, 2")
+def tree_classes(spark, sf_dir):
+    """Keyword sets that users of a node hold: what the descent meets instead of users."""
+    c, at, depth = _tree(spark, sf_dir)
+    return kvtree.class_sets(kvtree.holders(c, at), depth).select("node", F.array_join("cls", ",").alias("cls"), "n_users")
+
+
+@query(
+    sql.CITY + sql.member(DEPTH) + """, ends as (select src, a.leaf as f, b.leaf as t from road join member a on a.v = src join member b on b.v = dst where a.leaf <> b.leaf),
+    border as (select distinct substr(f, 1, level) as node, src as b from ends, levels where level > 0 and substr(f, 1, level) <> substr(t, 1, level)), at_ as (select distinct b as v from border)"""
+    + sql.DIST.format(sources="at_")
+    + "select node, b, min(d.d + u.dis)::BIGINT as lo, max(d.d + u.dis)::BIGINT as hi from border join dist d on d.src = b join users u on u.v = d.v join member m on m.v = u.v and starts_with(m.leaf, node) group by node, b"
+)
+def tree_ranges(spark, sf_dir):
+    c, at, depth = _tree(spark, sf_dir)
+    return kvtree.ranges(c, at, keep(kvtree.borders(c.road, at, depth), "border"), depth)
+
+
+@query(
+    sql.CITY + sql.member(DEPTH) + """, ends as (select src, a.leaf as f, b.leaf as t from road join member a on a.v = src join member b on b.v = dst where a.leaf <> b.leaf),
+    border as (select distinct substr(f, 1, level) as node, src as v from ends, levels where level > 0 and substr(f, 1, level) <> substr(t, 1, level))"""
+    + FROM_SITES
+    + """select * from (select node, term, b.v, s.poi, d.d + s.dis as dist, row_number() over (partition by node, term, b.v order by d.d + s.dis, s.poi)::INT as nth
+    from border b join dist d on d.v = b.v join sites s on s.v = d.src join site_terms using (poi)) where nth <= 1"""
+)
+def border_owner(spark, sf_dir):
+    c, at, depth = _tree(spark, sf_dir)
+    return kvtree.border_owner(kvtree.borders(c.road, at, depth), kvtree.owners(c))
 
 
 # ---------------------------------------------------------------- influence and selection
@@ -389,6 +493,128 @@ def greedy_cover_b3(spark, sf_dir):
     return spark.createDataFrame([(i + 1, p) for i, p in enumerate(chosen)], "nth int, poi long")
 
 
+# ---------------------------------------------------------------- graph, estimates, bounds and solvers at a size that SQL can follow
+@query(FEW_AUDIENCE + sql.UNIVERSE + "select src, dst, indeg from social where src in (select usr from act) and dst in (select usr from act)")
+def hetero_graph(spark, sf_dir):
+    c, _, aud = _few_audience(spark, sf_dir)
+    return influence.reached_part(c.social, aud)[0]
+
+
+@query(FEW_AUDIENCE + sql.UNIVERSE + "select usr from act")
+def hetero_users(spark, sf_dir):
+    c, _, aud = _few_audience(spark, sf_dir)
+    return influence.reached_part(c.social, aud)[1]
+
+
+#: Samples in each collection of the queries below.
+EACH = 128
+_ESTIMATES = FEW_AUDIENCE + sql.UNIVERSE + sql.SETS + f", fixed as (select {EACH} as size)" + sql.samples("fixed") + sql.COVERED
+
+
+def _collections(spark, sf_dir):
+    c, cand, aud = _few_audience(spark, sf_dir)
+    pois = sorted(r["poi"] for r in cand.collect())
+    social, users = influence.reached_part(c.social, aud)
+    walker = influence.Walker(keep(social, "social"), aud, users, coins="md5")
+    return c, pois, aud, users.count(), [selection.Collection(walker, pois, first, EACH).found for first in selection.SAMPLE_RANGES]
+
+
+@query(_ESTIMATES + f"select p, q, round(local, 2) as local, round(any_ * n / {EACH}, 2) as plain, round(local + excl * n / {EACH}, 2) as exclusive, round(local + incl * n / {EACH}, 2) as inclusive from known, scale where r = 0")
+def hybrid_estimates(spark, sf_dir):
+    """Plain and hybrid estimates of every candidate and pair, with both remote parts."""
+    c, pois, aud, n, (m, _) = _collections(spark, sf_dir)
+    sets = [[p] for p in pois] + [[p, q] for i, p in enumerate(pois) for q in pois[i + 1 :]]
+    local = selection.local_influence(c.social, aud, sets)
+    rows = [(s[0], s[-1], round(x, 2), round(m.covered(s) * n / EACH, 2), *(round(influence.hybrid_estimate(x, m.covered(s, mode), n, EACH), 2) for mode in ("exclusive", "inclusive"))) for s, x in zip(sets, local, strict=True)]
+    return spark.createDataFrame(rows, "p long, q long, local double, plain double, exclusive double, inclusive double")
+
+
+@query(_ESTIMATES + sql.greedy2("g", f"local + excl * (select n from scale) / {EACH}") + f"select p, q, round(local + excl * n / {EACH}, 2) as estimate from known join g using (p, q), scale where r = 0")
+def greedy_hybrid_b2(spark, sf_dir):
+    c, _, aud, n, (m, _) = _collections(spark, sf_dir)
+    chosen, value = selection.greedy_hybrid(c.social, aud, m, n, 2)
+    return spark.createDataFrame([(*sorted(chosen), round(value, 2))], "p long, q long, estimate double")
+
+
+@query(_ESTIMATES + sql.cap2("far_", "depth > 2") + sql.cap2("met_", "true") + "select 'inclusive' as mode, cap, round(ratio, 6) as ratio from far_ union all select 'any', cap, round(ratio, 6) from met_")
+def coverage_caps(spark, sf_dir):
+    """Bounds on what any two sites cover, by the marginals of a greedy trace and by its ratio."""
+    m, rows = _collections(spark, sf_dir)[4][0], []
+    for mode in ("inclusive", "any"):
+        _, prefixes, gains = selection.greedy_matrix(m, 2, mode)
+        rows.append((mode, float(certificates.coverage_cap(prefixes, gains, 2)), round(certificates.coverage_cap(prefixes, gains, 2, "ratio"), 6)))
+    return spark.createDataFrame(rows, "mode string, cap double, ratio double")
+
+
+@query(
+    _ESTIMATES + sql.greedy2("g", f"local + excl * (select n from scale) / {EACH}") + sql.greedy2("l", "local") + sql.cap2("far_", "depth > 2")
+    + f"""select g.p, g.q, round(k.local + {sql.lower('k.excl', 'n', EACH, 'ln(20)')}, 4) as lower, round(least_.local / (1 - exp(-1)) + {sql.upper('cap', 'n', EACH, 'ln(20)')}, 4) as upper
+    from g join known k on k.set_id = g.set_id and k.r = 1, l join known least_ on least_.set_id = l.set_id and least_.r = 0, far_, scale"""
+)
+def hybrid_bounds(spark, sf_dir):
+    """Lower bound of the hybrid greedy pair on the second collection, upper bound of any pair from the first, each at 0.05."""
+    c, pois, aud, n, (m1, m2) = _collections(spark, sf_dir)
+    chosen, _ = selection.greedy_hybrid(c.social, aud, m1, n, 2)
+    _, prefixes, gains = selection.greedy_matrix(m1, 2, "inclusive")
+    lo = certificates.hybrid_lower(selection.local_influence(c.social, aud, [chosen])[0], m2.covered(chosen, "exclusive"), n, EACH, 0.05)
+    hi = certificates.hybrid_upper(selection.greedy_local(c.social, aud, pois, 2)[1], certificates.coverage_cap(prefixes, gains, 2), n, EACH, 0.05)
+    return spark.createDataFrame([(*sorted(chosen), round(lo, 4), round(hi, 4))], "p long, q long, lower double, upper double")
+
+
+def _told(spark, r: selection.Result) -> DataFrame:
+    return spark.createDataFrame([(*sorted(r.sites), round(float(r.influence), 4), round(r.certified, 6), r.certified_by, r.samples)], "p long, q long, influence double, certified double, certified_by string, samples long")
+
+
+#: An error so large that the first round ends the solvers: SQL can follow one round.
+ONE_ROUND = 0.64
+_FIRST = FEW_AUDIENCE + sql.UNIVERSE + sql.SETS
+
+
+@query(
+    _FIRST + ", fixed as (select 64 as size)" + sql.samples("fixed") + sql.COVERED + sql.greedy2("g", "any_") + sql.cap2("met_", "true")
+    + f"""select g.p, g.q, round(n * k.any_ / 64, 4) as influence, round({sql.lower('k.any_', 'n', 64, 'ln(4 / delta)')} / ({sql.upper('least(cap, 64)', 'n', 64, 'ln(4 / delta)')}), 6) as certified, 'ratio' as certified_by, 128::BIGINT as samples
+    from g join known k on k.set_id = g.set_id and k.r = 1, met_, scale"""
+)
+def select_baseline_b2(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return _told(spark, selection.sampling_baseline(c, workloads.drawn_sites(c, N_FEW), 2, K, ALPHA, eps=ONE_ROUND, coins="md5"))
+
+
+@query(
+    _FIRST + f""", chosen as (select lgamma({N_FEW} + 1) - lgamma(3) - lgamma({N_FEW} - 1) as choose, 1 - exp(-1) as g, max(local) as top from local_),"""
+    + f""" best1 as (select p as one from local_ where p = q order by round(local, 9) desc, p limit 1), psi_ as (select max(local) as psi from local_, best1 where one in (p, q) and p <> q),
+    plan_ as (select n, delta, psi, ceil(2 * pow(g * sqrt(ln(6 / delta)) + sqrt(g * (choose + ln(6 / delta))), 2))::BIGINT as size, greatest(1, ceil(log2(n / ({ONE_ROUND}::DOUBLE * {ONE_ROUND}::DOUBLE * psi)))) as rounds from chosen, psi_, scale)"""
+    + sql.samples("plan_") + sql.COVERED + sql.greedy2("g", "local + excl * (select n / size from plan_)") + sql.cap2("far_", "depth > 2")
+    + f"""select g.p, g.q, round(k.local + k.excl * n / size, 4) as influence, round((k.local + {sql.lower('k.excl', 'n', 'size', 'ln(3 * rounds / delta)')}) / (psi / (1 - exp(-1)) + {sql.upper('least(cap, size)', 'n', 'size', 'ln(3 * rounds / delta)')}), 6) as certified,
+    'ratio' as certified_by, (2 * size)::BIGINT as samples from g join known k on k.set_id = g.set_id and k.r = 1, far_, plan_"""
+)
+def select_hybrid_b2(spark, sf_dir):
+    c = _kept_city(spark, sf_dir)
+    return _told(spark, selection.hybrid_approx(c, workloads.drawn_sites(c, N_FEW), 2, K, ALPHA, eps=ONE_ROUND, coins="md5"))
+
+
+@query(_FIRST + ", known as (select 0 as r, * from local_)" + sql.greedy2("l", "local") + "select l.p, l.q, round(local, 4) as influence from l join local_ using (set_id)")
+def select_heuristic_b2(spark, sf_dir):
+    """Without its early stop, the heuristic ends with the two-hop greedy choice on the exact audiences."""
+    c = _kept_city(spark, sf_dir)
+    r = selection.local_heuristic(c, workloads.drawn_sites(c, N_FEW), 2, K, ALPHA, batches=2, early_stop=False)
+    return spark.createDataFrame([(*sorted(r.sites), round(r.influence, 4))], "p long, q long, influence double")
+
+
+@query(
+    _FIRST + ", fixed as (select 64 as size)" + sql.samples("fixed") + sql.COVERED + sql.greedy2("g", "any_") + sql.greedy2("l", "local")
+    + "select name, round(k.local / (select max(local) from local_), 6) as ratio from (select 'baseline' as name, set_id from g union all select 'two_hop_greedy', set_id from l) join known k using (set_id) where k.r = 0"
+)
+def ratio_to_optimum(spark, sf_dir):
+    """Two-hop influence of what the baseline and the two-hop greedy choose, over that of the best pair."""
+    c, cand, aud = _few_audience(spark, sf_dir)
+    pois = [r["poi"] for r in cand.collect()]
+    local = lambda sets: selection.local_influence(c.social, aud, sets)
+    best = selection.exhaustive(pois, 2, local)[1]
+    chosen = {"baseline": selection.sampling_baseline(c, cand, 2, K, ALPHA, eps=ONE_ROUND, coins="md5", retrieve=lambda: aud).sites, "two_hop_greedy": selection.greedy_local(c.social, aud, pois, 2)[0]}
+    return spark.createDataFrame([(name, round(local([sites])[0] / best, 6)) for name, sites in chosen.items()], "name string, ratio double")
+
+
 # ---------------------------------------------------------------- the same over the whole job, without SQL
 def _whole_audience(spark, sf_dir):
     c = _kept_city(spark, sf_dir)
@@ -415,7 +641,7 @@ def distances_relaxed_whole(spark, sf_dir):
 @query()
 def audience_combined_whole(spark, sf_dir):
     c = _kept_city(spark, sf_dir)
-    return audience.combined(c, workloads.drawn_sites(c, WHOLE["n"]), WHOLE["k"], WHOLE["alpha"], LEAF)
+    return audience.combined(c, workloads.drawn_sites(c, WHOLE["n"]), WHOLE["k"], WHOLE["alpha"], LEAF, one_by_one=False)[0]
 
 
 @query()
@@ -510,7 +736,7 @@ def _result(spark, *results: selection.Result) -> DataFrame:
 @query()
 def select_baseline(spark, sf_dir):
     c = _kept_city(spark, sf_dir)
-    return _result(spark, selection.sampling_baseline(c, workloads.drawn_sites(c, WHOLE["n"]), WHOLE["b"], WHOLE["k"], WHOLE["alpha"], retrieval="batch", eps=WHOLE["eps"]))
+    return _result(spark, selection.sampling_baseline(c, workloads.drawn_sites(c, WHOLE["n"]), WHOLE["b"], WHOLE["k"], WHOLE["alpha"], retrieval="combined", eps=WHOLE["eps"], one_by_one=False))
 
 
 @query()

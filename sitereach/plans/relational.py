@@ -6,7 +6,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .. import model
-from ..sources import table
+from ..operators import workloads
+from ..sources import keep, table
 from ..streaming import checkins
 from . import oracles as sql
 
@@ -142,6 +143,40 @@ def stream_visitors(spark, sf_dir):
     return checkins.drained(spark, sf_dir, checkins.visitors, "update").groupBy("k").agg(F.max("visitors").alias("visitors"))
 
 
+@query(_EVENTS + "select event_id, user_id, k from e")
+def stream_without_repeats(spark, sf_dir):
+    return checkins.drained(spark, sf_dir, lambda s: checkins.without_repeats(s).select("event_id", "user_id", "k"), "append")
+
+
+@query(
+    """with e as (select ts, user_id, event_type, json_extract(props, '$.k')::BIGINT as k from events)
+    select v.user_id as viewer, p.user_id, v.k, epoch_us(v.ts)::BIGINT as seen, epoch_us(p.ts)::BIGINT as ts from e v join e p on v.k = p.k and p.ts >= v.ts and p.ts <= v.ts + interval 1 hour where v.event_type = 'view' and p.event_type = 'purchase'"""
+)
+def stream_view_to_purchase(spark, sf_dir):
+    """Two streams joined by place and interval."""
+    out = checkins.view_to_purchase(checkins.stream_of(spark, sf_dir, "view"), checkins.purchases(spark, sf_dir))
+    return checkins.drain(spark, out, "append").select("viewer", "user_id", "k", F.unix_micros("seen").alias("seen"), F.unix_micros("ts").alias("ts"))
+
+
+_DYNAMIC = sql.CITY.replace("checkins as (select distinct poi, usr from buy where rf = 'R')", "checkins as (select distinct poi, usr from buy where rf = 'R' union select k, user_id from (select json_extract(props, '$.k')::BIGINT as k, user_id from events where event_type = 'purchase') where k in (select poi from sites))")
+
+
+@query(sql.CITY + ", e as (select user_id, json_extract(props, '$.k')::BIGINT as k from events where event_type = 'purchase') select f.usr, k as poi, count(*)::BIGINT as n from e join friends f on f.friend = user_id group by f.usr, k")
+def stream_changed_social(spark, sf_dir):
+    """Pairs whose social relevance the check-ins of the stream touch, and how often."""
+    city = model.parts_city(spark, sf_dir)
+    friends = keep(city.friends, "friends")
+    return checkins.drained(spark, sf_dir, lambda s: checkins.changed_social(s, friends), "append").groupBy("usr", "poi").agg(F.count("*").alias("n"))
+
+
+@query(_DYNAMIC + sql.GAIN.format(a=0.6, b=1 - 0.6) + sql.DIST.format(sources="sites") + sql.TOPK.format(k=10) + sql.CAND.format(n=20) + "select poi, usr from topk where poi in (select poi from cand)")
+def stream_audiences(spark, sf_dir):
+    """Audiences kept up to date while check-ins of the event stream come in."""
+    city = model.parts_city(spark, sf_dir).kept(keep)
+    cand = keep(workloads.drawn_sites(city, 20), "cand")
+    return checkins.kept_up(spark, city, checkins.purchases(spark, sf_dir), cand, 10, 0.6).select("poi", "usr")
+
+
 def queries() -> dict:
     return QUERIES
 

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import json
+import shutil
 import tempfile
 import uuid
 
@@ -29,10 +31,14 @@ def write(df: DataFrame, path: str, kind: str = "parquet", by: list[str] | None
 
 
 def store_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``, which all executors share; a new local folder where it is unset (tests)."""
+    """``spark.checkpoint.dir``, which all executors share. In local mode a new folder, gone at exit, where it is unset; an error on a cluster."""
     at = spark.conf.get("spark.checkpoint.dir", None)
     if not at:
-        at = "file://" + tempfile.mkdtemp(prefix="sitereach-")
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        folder = tempfile.mkdtemp(prefix="sitereach-")
+        atexit.register(shutil.rmtree, folder, ignore_errors=True)
+        at = f"file://{folder}"
         spark.conf.set("spark.checkpoint.dir", at)
     return at.rstrip("/")
 
@@ -44,7 +50,15 @@ def keep(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def stored_bytes(df: DataFrame) -> int:
+    """Bytes of the files of a kept table."""
+    spark, total = df.sparkSession, 0
+    for name in df.inputFiles():
+        path = spark._jvm.org.apache.hadoop.fs.Path(name)
+        total += path.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(path).getLen()
+    return total
+
+
 def manifest(components: dict[str, DataFrame], **params) -> str:
-    """JSON of the rows and bytes (uncompressed estimate) of an index's components."""
-    size = lambda df: int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().longValue())
-    return json.dumps({"params": params, "components": {k: {"rows": v.count(), "bytes": size(v)} for k, v in components.items()}})
+    """JSON of the rows and stored bytes of an index's kept components."""
+    return json.dumps({"params": params, "components": {k: {"rows": v.count(), "bytes": stored_bytes(v)} for k, v in components.items()}})

@@ -1,16 +1,19 @@
-"""Check-ins as a stream: windows, sessions and state over the events."""
+"""Check-ins as a stream: windows, sessions and state over the events, and audiences kept up to date."""
 
 from __future__ import annotations
 
 import uuid
 from collections.abc import Callable, Iterator
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..sources import store_dir
+from ..model import City
+from ..operators.audience import batch, verify
+from ..sources import keep, store_dir
 
 SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 #: How long late events are waited for.
@@ -23,10 +26,15 @@ def parsed(events: DataFrame) -> DataFrame:
     return events.select("event_id", ts.alias("ts"), "user_id", "event_type", F.get_json_object("props", "$.k").cast("long").alias("k"))
 
 
-def purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The stream of check-ins; its source is the folder of the events table."""
+def stream_of(spark: SparkSession, sf_dir: str, event_type: str) -> DataFrame:
+    """The events of a type as a stream; its source is the folder of the events table."""
     events = spark.readStream.schema(SCHEMA).option("pathGlobFilter", "events.parquet").option("maxFilesPerTrigger", 8).parquet(sf_dir)
-    return parsed(events).where("event_type = 'purchase'").withWatermark("ts", LATE)
+    return parsed(events).where(F.col("event_type") == event_type).withWatermark("ts", LATE)
+
+
+def purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The stream of check-ins."""
+    return stream_of(spark, sf_dir, "purchase")
 
 
 def _start(window: str = "window"):
@@ -73,15 +81,52 @@ def view_to_purchase(views: DataFrame, bought: DataFrame) -> DataFrame:
     return v.join(p, F.expr("vk = k and ts >= seen and ts <= seen + interval 1 hour")).select("viewer", "user_id", "k", "seen", "ts")
 
 
-def drained(spark: SparkSession, sf_dir: str, plan: Callable[[DataFrame], DataFrame], mode: str = "complete") -> DataFrame:
-    """Run a streaming plan over what is there and return its table. Batches are written idempotently, by their id."""
+def drain(spark: SparkSession, out: DataFrame, mode: str) -> DataFrame:
+    """Run a streaming query over what is there and return its table. Batches are written idempotently, by their id."""
     folder = f"{store_dir(spark)}/stream-{uuid.uuid4().hex}"
-    out = plan(purchases(spark, sf_dir))
     schema = out.schema
 
-    def write(batch: DataFrame, number: int) -> None:
+    def write(rows: DataFrame, number: int) -> None:
         # in complete mode every batch holds the whole result, so the last one replaces the others
-        batch.write.mode("overwrite").parquet(f"{folder}/table" if mode == "complete" else f"{folder}/table/batch={number}")
+        rows.write.mode("overwrite").parquet(f"{folder}/table" if mode == "complete" else f"{folder}/table/batch={number}")
 
     out.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start().awaitTermination()
     return spark.read.schema(schema).parquet(f"{folder}/table").select(*schema.names)
+
+
+def drained(spark: SparkSession, sf_dir: str, plan: Callable[[DataFrame], DataFrame], mode: str = "complete") -> DataFrame:
+    """The same of a plan over the stream of check-ins."""
+    return drain(spark, plan(purchases(spark, sf_dir)), mode)
+
+
+def refreshed(city: City, audience: DataFrame, new: DataFrame, candidates: DataFrame, k: int, alpha: float) -> tuple[City, DataFrame]:
+    """The city with further check-ins (poi, usr), and its audiences, from those before.
+
+    A check-in changes the social relevance of its place to the friends of the visitor, and nothing else: the lists of
+    these users alone are made again, by the verification of batch retrieval.
+    """
+    added = new.select("poi", "usr").join(city.sites.select("poi"), "poi", "left_semi").distinct().join(city.checkins, ["poi", "usr"], "left_anti")
+    added = keep(added, "new_checkins")
+    if added.isEmpty():
+        return city, audience
+    touched = keep(added.join(city.friends, added["usr"] == city.friends["friend"]).select(city.friends["usr"]).distinct(), "touched_users")
+    city = replace(city, checkins=keep(city.checkins.union(added), "checkins"))
+    pairs = touched.crossJoin(F.broadcast(candidates.select("poi").distinct()))  # candidates are a bounded query set
+    again = verify(city, pairs, k, alpha)
+    return city, keep(audience.select("poi", "usr").join(touched, "usr", "left_anti").select("poi", "usr").union(again), "audience")
+
+
+def kept_up(spark: SparkSession, city: City, stream: DataFrame, candidates: DataFrame, k: int, alpha: float) -> DataFrame:
+    """Audiences after a stream of check-ins (k: the place, user_id: the visitor), brought up to date batch by batch.
+
+    A batch that is run again finds its check-ins in the city already and changes nothing.
+    """
+    state = {"city": city, "audience": keep(batch(city, candidates, k, alpha)[0], "audience")}
+
+    def update(rows: DataFrame, _: int) -> None:
+        new = rows.select(F.col("k").alias("poi"), F.col("user_id").alias("usr"))
+        state["city"], state["audience"] = refreshed(state["city"], state["audience"], new, candidates, k, alpha)
+
+    folder = f"{store_dir(spark)}/stream-{uuid.uuid4().hex}"
+    stream.writeStream.foreachBatch(update).option("checkpointLocation", folder).trigger(availableNow=True).start().awaitTermination()
+    return state["audience"]

@@ -19,7 +19,7 @@ def test_core_without_corpus_operators():
         "import sys\n"
         "class No:\n"
         "    def find_spec(self, name, path=None, target=None):\n"
-        "        if name.startswith('sitereach.llm') or name == 'corpus_pipeline': raise ModuleNotFoundError(name)\n"
+        "        if name.startswith('sitereach.llm') or name == 'corpus_pipeline': raise ModuleNotFoundError(name, name=name)\n"
         "sys.meta_path.insert(0, No())\n"
         "import __spark_entry__ as e\n"
         "assert e.queries() and not [n for n in e.queries() if n.startswith('op') and n[2].isdigit()] and 'pipeline' not in e.queries()\n"

@@ -186,9 +186,16 @@ def test_whole_audience_equals_brute(spark, city, monkeypatch):
 
 
 def test_baseline_goes_on_until_certified(monkeypatch):
+    drawn = []
+
     class All:
         def __init__(self, samples, candidates, first, count):
-            self.candidates, self.count = candidates, count
+            self.candidates, self.count = candidates, 0
+            self.extend(samples, first, count)
+
+        def extend(self, samples, first, count):
+            drawn.append((first, count))
+            self.count += count
 
         def covered(self, sites, mode="any"):
             return self.count if sites else 0
@@ -196,13 +203,43 @@ def test_baseline_goes_on_until_certified(monkeypatch):
         def gains(self, sites, mode):
             return [0.0 if sites else float(self.count) for p in self.candidates if p not in sites]
 
+    class Nobody:
+        def __init__(self, *_, **__):
+            pass
+
+        def draw(self, first, count):
+            return None
+
     monkeypatch.setattr(selection, "_pois", lambda c: [1, 2])
     monkeypatch.setattr(selection, "_setup", lambda *_: (None, None, None, 10))
-    monkeypatch.setattr(selection.influence, "reverse_samples", lambda *_: None)
+    monkeypatch.setattr(selection.influence, "Walker", Nobody)
     monkeypatch.setattr(selection, "Matrix", All)
     monkeypatch.setattr(selection.cert, "lower", lambda c, n, size, d: 10.0 if size >= 1 << 22 else 0.0)
     got = selection.sampling_baseline(None, None, 1)
     assert got.certified_by == "ratio" and got.samples == 1 << 23
+    # every sample is drawn once
+    mine = sorted(x for x in drawn if x[0] < selection.SAMPLE_RANGES[1])
+    assert all(a + n == b for (a, n), (b, _) in zip(mine, mine[1:], strict=False)) and sum(n for _, n in mine) == 1 << 22
+
+
+def test_collections_grow(spark, monkeypatch):
+    social = pairs(spark, [(i, (3 * i + j) % 40, 4) for i in range(40) for j in range(4)], "src long, dst long, indeg long")
+    aud = pairs(spark, [(p, u) for p in range(5) for u in range(p, 40, 7)], "poi long, usr long")
+    users = pairs(spark, [(i,) for i in range(40)], "usr long")
+    walker = influence.Walker(social, aud, users, coins="md5")
+    a = selection.Collection(walker, list(range(5)), 0, 13)
+    a.double()
+    monkeypatch.setattr(influence, "EDGE_LIMIT", 1)
+    monkeypatch.setattr(influence, "NUMBER_LIMIT", 1)
+    joined = influence.Walker(social, aud, users, coins="md5")
+    assert not joined.small
+    monkeypatch.setattr(selection, "MATRIX_BYTES", 1)
+    b = selection.Collection(joined, list(range(5)), 0, 26)
+    assert isinstance(b.found, selection.Counted) and a.found.count == b.found.count == 26
+    for sites in ([], [1], [0, 3], [2, 4, 1]):
+        for mode in ("any", "exclusive", "inclusive"):
+            assert a.found.covered(sites, mode) == b.found.covered(sites, mode)
+            assert a.found.gains(sites, mode) == b.found.gains(sites, mode)
 
 
 def test_counts_answer_as_bitmaps_do(spark):
