@@ -88,10 +88,10 @@ def user_lower_bounds_walked(city: City, owner: DataFrame, adjacency: DataFrame,
         best = keep(best, "taken")
         if best.isEmpty():
             break
-        taken = best if taken is None else taken.union(best)
+        taken = best if taken is None else taken.unionByName(best)
         new = open_.join(best.select("usr", "poi"), ["usr", "poi"], "left_semi").select("usr", "term", "poi").join(touch, ["term", "poi"]).select("usr", "term", F.col("next").alias("poi")).distinct()
         new = new.join(taken.select("usr", "poi"), ["usr", "poi"], "left_anti").join(open_.select("usr", "term", "poi"), ["usr", "term", "poi"], "left_anti")
-        open_ = keep(open_.join(best.select("usr", "poi"), ["usr", "poi"], "left_anti").union(scored(new.select("usr", "term", "poi"))), "open")
+        open_ = keep(open_.join(best.select("usr", "poi"), ["usr", "poi"], "left_anti").unionByName(scored(new.select("usr", "term", "poi"))), "open")
     if taken is None:
         return asked.select("usr", F.lit(0.0).alias("s_k"))
     return _kth(taken, asked, k)
@@ -109,6 +109,7 @@ class Search:
     own: DataFrame
     keys: DataFrame
     to_site: DataFrame
+    seen: DataFrame
     counters: dict = field(default_factory=lambda: {"tested_classes": 0, "tested_borders": 0})
 
     def weight(self, terms: str):
@@ -123,7 +124,12 @@ def open_search(city: City, tree: kvtree.Tree, candidates: DataFrame, k: int, mo
     own = keep(at.join(keys, "poi").withColumn("terms", F.map_keys("keys")), "candidates")
     reach = roads.from_sources(city.road, own.select("v")).select(F.col("src").alias("from"), "v", "dist")
     to_site = keep(own.select("poi", F.col("v").alias("from"), "dis").join(reach, "from").select("poi", "v", (F.col("dist") + F.col("dis")).alias("d_p")), "to_site")
-    return Search(city, tree, k, mode, own, keys, to_site)
+    # the borders of all nodes as the candidates see them, nearest first: no more than candidates times borders
+    least = city.users.agg(F.min("dis").alias("least"))
+    nth = F.row_number().over(Window.partitionBy("poi", "node").orderBy("d_p", "b"))
+    border = tree.border.withColumnRenamed("v", "b").join(tree.ranges, ["node", "b"], "left").crossJoin(F.broadcast(least))
+    seen = border.join(to_site.withColumnRenamed("v", "b"), "b").select("poi", "node", "b", "d_p", F.coalesce("lo", "least").alias("lo"), "hi", "least", nth.alias("nth"))
+    return Search(city, tree, k, mode, own, keys, to_site, keep(seen, "seen"))
 
 
 def _beaten_at(s: Search, rows: DataFrame) -> DataFrame:
@@ -150,24 +156,24 @@ def beaten(s: Search, rows: DataFrame, outside: bool = False) -> DataFrame:
     The border next to the candidate is tested first, the others only for classes that are beaten there.
     ``outside``: the users meant are those beyond the node, at any distance from its borders.
     """
-    least = s.city.users.agg(F.min("dis").alias("least"))
-    ranges = s.tree.ranges.select("node", F.col("b"), "lo", "hi")
-    border = s.tree.border.join(rows.select("node").distinct(), "node", "left_semi").withColumnRenamed("v", "b")
-    seen = rows.select("poi", "node").distinct().join(border, "node").join(s.to_site.withColumnRenamed("v", "b"), ["poi", "b"])
-    seen = seen.select("poi", "node", "b", "d_p", F.lit(None).cast("long").alias("lo"), F.lit(None).cast("long").alias("hi")) if outside else seen.join(ranges, ["node", "b"], "left").select("poi", "node", "b", "d_p", "lo", "hi")
-    nearest = F.row_number().over(Window.partitionBy("poi", "node").orderBy("d_p", "b"))
-    seen = keep(seen.crossJoin(F.broadcast(least)).withColumn("lo", F.coalesce("lo", "least")).drop("least").withColumn("nth", nearest), "seen")
+    seen = s.seen.withColumn("lo", F.col("least")).withColumn("hi", F.lit(None).cast("long")) if outside else s.seen
     first = rows.join(seen.where("nth = 1"), ["poi", "node"])
     one = keep(_beaten_at(s, first), "beaten")
     some = rows.join(one, ["poi", "node", "cls"], "left_semi")
     more = keep(some.join(seen.where("nth > 1"), ["poi", "node"]), "classes")
     again = _beaten_at(s, more)
+    s.counters["tested_borders"] += more.count()
     # a class is beaten if no border is left at which it is not
-    whole = some.select("poi", "node", "cls").join(more.join(again, ["poi", "node", "cls", "b"], "left_anti").select("poi", "node", "cls"), ["poi", "node", "cls"], "left_anti")
-    whole = keep(whole, "whole")
-    s.counters["tested_classes"] += rows.count()
-    s.counters["tested_borders"] += rows.count() + more.count()
-    return whole
+    return some.select("poi", "node", "cls").join(more.join(again, ["poi", "node", "cls", "b"], "left_anti").select("poi", "node", "cls"), ["poi", "node", "cls"], "left_anti")
+
+
+def _counted(s: Search, rows: DataFrame, name: str) -> DataFrame:
+    """``rows``, a kept frontier, after its size has gone into the counters."""
+    n = rows.agg(F.count("*").alias("classes"), F.count_distinct("poi", "node").alias("nodes")).first()
+    s.counters[name] = n["nodes"]
+    s.counters["tested_classes"] += n["classes"]
+    s.counters["tested_borders"] += n["classes"]
+    return rows
 
 
 def _weighed(s: Search, rows: DataFrame) -> DataFrame:
@@ -198,7 +204,7 @@ def surviving(s: Search, climb: bool = True) -> DataFrame:
         all_ = met(s.own.select("poi", "leaf", "terms", F.lit("").alias("node"))).select("poi", "cls", F.col("n_users").alias("everywhere"))
         inside = met(path).select("poi", "level", "node", "cls", "n_users")
         beyond = path.select("poi", "level", "node").join(all_, "poi").join(inside, ["poi", "level", "node", "cls"], "left").where(F.col("everywhere") > F.coalesce("n_users", F.lit(0)))
-        rows = _weighed(s, beyond.select("poi", "node", "cls"))
+        rows = _counted(s, _weighed(s, beyond.select("poi", "node", "cls")), "climb_nodes")
         gone = beaten(s, rows, outside=True)
         left = rows.join(gone, ["poi", "node", "cls"], "left_anti").select("poi", "node").distinct()
         # with class_dominance, users of many keywords are looked at one by one and do not hold up the climb
@@ -214,9 +220,8 @@ def surviving(s: Search, climb: bool = True) -> DataFrame:
         rows = start.where(F.col("level") == level).select("poi", "node", "cls")
         if alive is not None:
             rows = rows.union(alive.select("poi", F.col("node").alias("parent"), "cls").join(index.select("node", "parent", "cls"), ["parent", "cls"]).select("poi", "node", "cls"))
-        rows = _weighed(s, rows)
+        rows = _counted(s, _weighed(s, rows), f"frontier_{level}")
         alive = keep(rows.select("poi", "node", "cls").join(beaten(s, rows), ["poi", "node", "cls"], "left_anti"), "alive")
-        s.counters[f"frontier_{level}"] = rows.select("poi", "node").distinct().count()
     return alive.select("poi", F.col("node").alias("leaf"), "cls")
 
 

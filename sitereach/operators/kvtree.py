@@ -183,11 +183,14 @@ def ranges(city: City, member: DataFrame, border: DataFrame, depth: int, levels:
 
 
 def build(city: City, k: int, leaf_cap: int = 100, min_df: int = 0) -> tuple[City, Tree]:
-    """The city and its index, each relation kept as a table; keywords of fewer than ``min_df`` places get postings only."""
+    """The city and its index, each relation kept as a table; keywords of fewer than ``min_df`` places get postings only.
+
+    ``nearest`` holds k + 1 places, as one of them may be the candidate itself.
+    """
     city = city.kept(keep)
     member, depth = partition(city.road, leaf_cap)
     member = keep(member, "member")
     border = keep(borders(city.road, member, depth), "border")
     held = keep(holders(city, member), "holders")
-    parts = {"terms": node_terms(city, member, depth), "nearest": k_nearest(city, k, min_df), "postings": split_terms(city.site_terms, min_df)[1], "sets": class_sets(held, depth), "ranges": ranges(city, member, border, depth)}
+    parts = {"terms": node_terms(city, member, depth), "nearest": k_nearest(city, k + 1, min_df), "postings": split_terms(city.site_terms, min_df)[1], "sets": class_sets(held, depth), "ranges": ranges(city, member, border, depth)}
     return city, Tree(depth=depth, member=member, border=border, holders=held, **{name: keep(df, name) for name, df in parts.items()})

@@ -44,10 +44,14 @@ def store_dir(spark: SparkSession) -> str:
 
 
 def keep(df: DataFrame, name: str) -> DataFrame:
-    """Write to the shared folder and read back: cuts lineage, survives lost executors, is computed once."""
+    """Write to the shared folder and read back: cuts lineage, survives lost executors, is computed once. What is kept already is given back."""
+    if getattr(df, "_kept", False):
+        return df
     spark, path = df.sparkSession, f"{store_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._kept = True
+    return out
 
 
 def stored_bytes(df: DataFrame) -> int:

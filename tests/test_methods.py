@@ -125,6 +125,55 @@ def test_batch_equals_brute(spark, city, mode):
     assert set(map(tuple, got.select("poi", "usr").collect())) == want
 
 
+def _line(spark, sites, terms, keys):
+    """Sixteen vertices in a row, a user at each (usr = 100 + v)."""
+    return tiny(spark, [(v, v + 1, 2) for v in range(15)], sites, terms, [(100 + v, v, 1) for v in range(16)], keys)
+
+
+def test_the_climb_ends_where_nobody_beyond_can_be_won(spark):
+    # a weak place at vertex 0, strong ones at all others
+    c = _line(spark, [(1, 0, 1)] + [(10 + v, v, 1) for v in range(1, 16)], [(1, "tea", 100_000)] + [(10 + v, "tea", 1_000_000) for v in range(1, 16)], [(100 + v, "tea") for v in range(16)])
+    cand = pairs(spark, [(1,)], "poi long")
+    want = set(map(tuple, audience.brute(c, cand, 2, 0.5).select("poi", "usr").collect()))
+    got, counters = audience.batch(c, cand, 2, 0.5, leaf_cap=4)
+    assert set(map(tuple, got.collect())) == want and counters["climbs_ended"] == 1 and counters["user_bounds"] < 16
+    same, more = audience.batch(c, cand, 2, 0.5, leaf_cap=4, rules=audience.RULES - {"node"})
+    assert set(map(tuple, same.collect())) == want and "climbs_ended" not in more and more["tested_classes"] >= 1
+
+
+def test_the_climb_goes_on_for_keywords_held_only_beyond(spark):
+    # nobody in the candidate's leaf wants tea, the users farthest away do
+    c = _line(spark, [(1, 0, 1), (2, 0, 1)], [(1, "tea", 100_000), (2, "milk", 1_000_000)], [(100 + v, "milk") for v in range(4)] + [(115, "tea"), (114, "tea")])
+    cand = pairs(spark, [(1,)], "poi long")
+    got, counters = audience.batch(c, cand, 1, 0.5, leaf_cap=4)
+    assert set(map(tuple, got.collect())) == {(1, 115), (1, 114)} and counters["climbs_ended"] == 0
+
+
+def test_literal_border_test_loses_a_user(spark):
+    # at the border the weak place near it wins, for the user far behind the border the strong place does
+    c = tiny(spark, [(0, 1, 1), (1, 2, 1), (2, 3, 10), (3, 4, 10)], [(1, 0, 1), (2, 0, 9)], [(1, "tea", 100_000), (2, "tea", 300_000)], [(7, 4, 1)], [(7, "tea")])
+    cand = pairs(spark, [(2,)], "poi long")
+    sound = audience.batch(c, cand, 1, 0.0, leaf_cap=1)[0]
+    literal = audience.batch(c, cand, 1, 0.0, leaf_cap=1, mode="border_paper")[0]
+    assert [tuple(r) for r in sound.collect()] == [(2, 7)] and literal.count() == 0
+
+
+def test_baseline_equals_brute_and_counts_alike(spark, city):
+    cand = workloads.drawn_sites(city, 4)
+    want = set(map(tuple, audience.brute(city, cand, 5, 0.6).select("poi", "usr").collect()))
+    one, a = audience.combined(city, cand, 5, 0.6, 12)
+    all_, b = audience.combined(city, cand, 5, 0.6, 12, one_by_one=False)
+    assert set(map(tuple, one.collect())) == set(map(tuple, all_.collect())) == want and a == b and a["node_bounds"] > 4
+
+
+def test_walked_bounds_are_bounds(spark, city):
+    users = city.users.where("usr % 9 = 0")
+    owner = kvtree.owners(city)
+    lists = {r["usr"]: r["score"] for r in relevance.top_k(city, 3, 0.6).where("rnk = 3").collect()}
+    got = audience.user_lower_bounds_walked(city, owner, kvtree.adjacency(city.road, owner, city.sites, city.site_terms), users, 3, 0.6).collect()
+    assert len(got) == users.count() and all(r["s_k"] <= lists.get(r["usr"], 0.0) + 1e-12 for r in got) and any(r["s_k"] > 0 for r in got)
+
+
 def test_lower_bounds_are_below(spark, city):
     lists = {r["usr"]: r["score"] for r in relevance.top_k(city, 5, 0.6).where("rnk = 5").collect()}
     for r in audience.user_lower_bounds(city, kvtree.k_nearest(city, 5), city.users, 5, 0.6).collect():
