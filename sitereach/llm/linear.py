@@ -16,6 +16,8 @@ kept by ``kept``.
 
 from __future__ import annotations
 
+import ctypes
+import gc
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -100,6 +102,15 @@ class Model:
         return out
 
 
+def _give_back() -> None:
+    """Return freed memory to the system: the driver goes on for long after the fit."""
+    gc.collect()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library looks after itself
+
+
 def train(texts: list[str], labels: np.ndarray, features: Callable, alpha: float, beta: float, l1: float, l2: float, passes: int) -> Model:
     """FTRL-proximal with a rate for each coordinate; rows in the given order, ``passes`` times."""
     z, n = np.zeros((1 << BITS) + 1), np.zeros((1 << BITS) + 1)
@@ -108,7 +119,7 @@ def train(texts: list[str], labels: np.ndarray, features: Callable, alpha: float
         raw = np.frombuffer((text or "").encode("utf-8", "surrogatepass"), np.uint8)
         bucket, _, value = features(raw, np.array([0, len(raw)], np.int64))
         at, where = np.unique(bucket, return_inverse=True)
-        rows.append((np.append(at, 1 << BITS), np.append(np.bincount(where, value, len(at)), 1.0)))
+        rows.append((np.append(at, 1 << BITS).astype(np.int32), np.append(np.bincount(where, value, len(at)), 1.0)))
 
     def weights(at: np.ndarray) -> np.ndarray:
         zi = z[at]
@@ -125,6 +136,8 @@ def train(texts: list[str], labels: np.ndarray, features: Callable, alpha: float
             n[at] += g * g
     w = weights(np.arange((1 << BITS) + 1))
     index = np.flatnonzero(w[:-1])
+    del rows
+    _give_back()
     return Model(index, w[index], float(w[-1]), features)
 
 
