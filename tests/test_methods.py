@@ -324,3 +324,8 @@ def _as_its_sql(spark, name, at):
 def test_tree_queries_follow_their_sql_at_any_size(spark, name):
     # leaves of 100 vertices would need one level here, the SQL builds two
     _as_its_sql(spark, name, SF)
+
+
+@pytest.mark.parametrize("name", ["bounds_plan", "bounds_values"])
+def test_bounds_follow_the_given_tables(spark, name):
+    assert _as_its_sql(spark, name, SF) != _as_its_sql(spark, name, SF.replace("0.001", "0.01"))
