@@ -329,3 +329,36 @@ def test_tree_queries_follow_their_sql_at_any_size(spark, name):
 @pytest.mark.parametrize("name", ["bounds_plan", "bounds_values"])
 def test_bounds_follow_the_given_tables(spark, name):
     assert _as_its_sql(spark, name, SF) != _as_its_sql(spark, name, SF.replace("0.001", "0.01"))
+
+
+def _street(spark, n=400, side=20):
+    rows = [(v, t, 1 + (v * 7 + t) % 5) for v in range(n) for t in ([v + 1] if v % side < side - 1 else []) + ([v + side] if v + side < n else [])]
+    return pairs(spark, rows + [(b, a, d) for a, b, d in rows], "src long, dst long, len long")
+
+
+def test_searches_by_buckets_equal_searches_by_heap(spark):
+    road, far = _street(spark), pairs(spark, [(0, 999, 100_000), (999, 0, 100_000)], "src long, dst long, len long")
+    starts = pairs(spark, [(0,), (57,), (399,)], "v long")
+    ends = starts.select(F.col("v").alias("a")).crossJoin(pairs(spark, [(3,), (58,), (398,)], "b long"))
+    # one long street makes the lengths unfit for buckets, and shortens no way
+    for f in (lambda r: roads.from_sources(r, starts).where("v <> 999"), lambda r: roads.between(r, ends)):
+        assert sorted(map(tuple, f(road).collect())) == sorted(map(tuple, f(road.union(far)).collect()))
+    sites = [(p, (p * 37) % 400, p % 3) for p in range(60)]
+    near = []
+    for r in (road, road.union(far)):
+        c = tiny(spark, [], sites, [(p, "tea" if p % 2 else "ale", 1) for p, _, _ in sites], [], [])
+        c = model.City(r, c.sites, c.site_terms, c.users, c.user_terms, c.checkins, c.friends, c.social)
+        near.append(sorted(map(tuple, kvtree.k_nearest(c, 4).where("v <> 999").collect())))
+        some = kvtree.k_nearest(c, 4, at=pairs(spark, [("tea", 5), ("ale", 399)], "term string, v long"))
+        assert sorted(map(tuple, some.collect())) == [x for x in near[-1] if x[:2] in (("tea", 5), ("ale", 399))]
+    assert near[0] == near[1] and len(near[0]) == 2 * 4 * 400
+
+
+def test_what_a_search_finds_is_not_broadcast(spark):
+    road, starts = _street(spark), pairs(spark, [(0,), (57,)], "v long")
+    c = tiny(spark, [], [(1, 0, 1)], [(1, "tea", 1)], [], [])
+    c = model.City(road, c.sites, c.site_terms, c.users, c.user_terms, c.checkins, c.friends, c.social)
+    at = pairs(spark, [(v,) for v in range(400)], "v long")
+    for found in (roads.from_sources(road, starts), kvtree.k_nearest(c, 2)):
+        plan = found.join(at, "v")._jdf.queryExecution().executedPlan().toString()
+        assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
