@@ -362,3 +362,13 @@ def test_what_a_search_finds_is_not_broadcast(spark):
     for found in (roads.from_sources(road, starts), kvtree.k_nearest(c, 2)):
         plan = found.join(at, "v")._jdf.queryExecution().executedPlan().toString()
         assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
+
+
+def test_large_relations_are_not_broadcast(spark, monkeypatch):
+    from sitereach.sources import keep
+
+    monkeypatch.setattr(model, "MERGE_ROWS", 2)
+    c = tiny(spark, [(1, 2, 3)], [(p, 1, 1) for p in range(9)], [(p, "tea", 1) for p in range(9)], [(7, 1, 1)], [(7, "tea")]).kept(keep, "sites", "users")
+    plan = lambda df: df.join(c.site_terms, "poi")._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" not in plan(c.sites) and keep(c.sites, "again") is c.sites
+    assert not c.users._jdf.queryExecution().analyzed().toString().startswith("ResolvedHint")
