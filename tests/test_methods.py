@@ -166,6 +166,20 @@ def test_baseline_equals_brute_and_counts_alike(spark, city):
     assert set(map(tuple, one.collect())) == set(map(tuple, all_.collect())) == want and a == b and a["node_bounds"] > 4
 
 
+def test_lists_list_no_pairs(spark, city, monkeypatch):
+    pairs_of = relevance.relevant_pairs
+    want = {(a, k): sorted(map(tuple, relevance.ranked(city, pairs_of(city, a), k).collect())) for a, k in ((0.6, 4), (1.0, 300))}
+
+    def none(*_):
+        raise AssertionError("pairs of users and places are listed")
+
+    monkeypatch.setattr(relevance, "relevant_pairs", none)
+    for (a, k), rows in want.items():
+        assert sorted(map(tuple, relevance.top_k(city, k, a).collect())) == rows
+    few = city.users.where("usr % 7 = 0")
+    assert sorted(map(tuple, relevance.top_k(city, 4, 0.6, users=few).collect())) == [r for r in want[0.6, 4] if r[0] % 7 == 0]
+
+
 def test_walked_bounds_are_bounds(spark, city):
     users = city.users.where("usr % 9 = 0")
     owner = kvtree.owners(city)
