@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import City
+from ..sources import keep
 from . import audience, influence, relevance, roads, selection
 
 
@@ -26,10 +27,11 @@ def cardinality_plain(aud: DataFrame, b: int) -> list[int]:
 
 def near_relevant(city: City, candidates: DataFrame, radius: float) -> DataFrame:
     """poi, usr: users within the radius who share a keyword with the place or have a friend who visited it."""
-    few = candidates.select("poi").distinct()
-    text = city.user_terms.join(city.site_terms.join(few, "poi", "left_semi").select("poi", "term"), "term").select("poi", "usr")
-    social = relevance.friend_visits(city.friends, city.checkins.join(few, "poi", "left_semi")).select("poi", "usr")
-    return roads.site_distances(city, few).where(F.col("dist") <= radius).join(text.union(social).distinct(), ["poi", "usr"]).select("poi", "usr")
+    close = keep(roads.site_distances(city, candidates.select("poi").distinct(), radius).select("poi", "usr"), "close")
+    text = close.join(city.user_terms, "usr").join(city.site_terms.select("poi", "term"), ["poi", "term"]).select("poi", "usr")
+    visited = city.checkins.select("poi", F.col("usr").alias("friend"))
+    social = close.join(city.friends, "usr").join(visited, ["poi", "friend"]).select("poi", "usr")
+    return text.union(social).distinct()
 
 
 def most_relevant(city: City, candidates: DataFrame, b: int, radius: float = 40.0) -> list[int]:

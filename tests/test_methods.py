@@ -1,5 +1,6 @@
 """Worked examples, counterexamples and invariants of the methods."""
 
+from dataclasses import replace
 from itertools import combinations
 from math import exp
 
@@ -386,3 +387,15 @@ def test_large_relations_are_not_broadcast(spark, monkeypatch):
     plan = lambda df: df.join(c.site_terms, "poi")._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastHashJoin" not in plan(c.sites) and keep(c.sites, "again") is c.sites
     assert not c.users._jdf.queryExecution().analyzed().toString().startswith("ResolvedHint")
+
+
+@pytest.mark.parametrize("length", ["long", "double"])
+def test_searches_end_at_a_radius(spark, city, length, monkeypatch):
+    c = replace(city, road=city.road.withColumn("len", F.col("len").cast(length)))
+    cand = workloads.drawn_sites(c, 5)
+    every = {tuple(r) for r in roads.site_distances(c, cand).where("dist <= 40").collect()}
+    assert every and {tuple(r) for r in roads.site_distances(c, cand, 40).collect()} == every
+    found = roads.from_sources(c.road, c.sites.join(cand, "poi"), 30)
+    assert found.agg(F.max("dist")).first()[0] <= 30
+    monkeypatch.setattr(roads, "ROAD_LIMIT", 10)
+    assert {tuple(r) for r in roads.site_distances(c, cand, 40).collect()} == every
