@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from ..functions import coin
 from ..sources import keep
+from . import roads
 
 #: Social edges, users and audience pairs together that may be broadcast to the walkers; beyond it, walks go by joins.
 EDGE_LIMIT = 20_000_000
@@ -144,13 +145,14 @@ class Walker:
     def __init__(self, social: DataFrame, audience: DataFrame, universe: DataFrame, seed: int = 1, hops: int = 2, coins: str = "mix"):
         self.social, self.audience, self.universe = social, audience, universe.select("usr").distinct()
         self.seed, self.hops, self.coins = seed, hops, coins
-        self.small = social.count() + self.universe.count() + audience.count() <= EDGE_LIMIT
+        users = self.universe.count()
+        self.empty, self.small = not users, social.count() + users + audience.count() <= EDGE_LIMIT
         self.shared = _broadcast_graph(social, audience, self.universe) if self.small else None
 
     def draw(self, first: int, count: int) -> DataFrame:
         """rid, target, near, far of the samples first, ..., first + count - 1."""
         if self.small:
-            return _walk(self.social.sparkSession, self.shared, first, count, self.seed, self.hops, self.coins)
+            return _walk(self.social.sparkSession, self.shared, self.empty, first, count, self.seed, self.hops, self.coins)
         return reverse_samples_shuffled(self.social, self.audience, self.universe, first, count, self.seed, self.hops)
 
 
@@ -165,32 +167,57 @@ def reverse_samples(social: DataFrame, audience: DataFrame, universe: DataFrame,
     return Walker(social, audience, universe, seed, hops, coins).draw(first, count)
 
 
+class _Graph:
+    """In-edges by head, users and audience in compressed rows, from rows (kind, a, b, c): edges dst, src, indeg (0), users (1), audience usr, poi (2)."""
+
+    def __init__(self, kind: np.ndarray, a: np.ndarray, b: np.ndarray, c: np.ndarray):
+        edge, fan = kind == 0, kind == 2
+        self.ids = np.sort(a[kind == 1])
+        order = np.lexsort((b[edge], a[edge]))
+        self.heads, self.cut = np.unique(a[edge][order], return_index=True)
+        self.cut = np.append(self.cut, len(order))
+        self.src, self.indeg = b[edge][order], c[edge][order]
+        order = np.lexsort((b[fan], a[fan]))
+        self.users, self.of = np.unique(a[fan][order], return_index=True)
+        self.of = np.append(self.of, len(order))
+        self.pois = b[fan][order]
+
+    def back(self, v: int) -> tuple[int, int]:
+        """Where the in-edges of a user begin and end."""
+        return self._span(self.heads, self.cut, v)
+
+    def fans(self, u: int) -> list[int]:
+        lo, hi = self._span(self.users, self.of, u)
+        return self.pois[lo:hi].tolist()
+
+    @staticmethod
+    def _span(keys: np.ndarray, cut: np.ndarray, key: int) -> tuple[int, int]:
+        i = int(np.searchsorted(keys, key))
+        return (int(cut[i]), int(cut[i + 1])) if i < len(keys) and keys[i] == key else (0, 0)
+
+
 def _broadcast_graph(social: DataFrame, audience: DataFrame, universe: DataFrame):
-    spark = social.sparkSession
-    e = social.select("src", "dst", "indeg").toPandas()
-    ids = np.sort(universe.toPandas()["usr"].to_numpy(np.int64))
-    aud = audience.select("poi", "usr").distinct().toPandas()
-    order = np.lexsort((e["src"], e["dst"]))
-    dst = e["dst"].to_numpy(np.int64)[order]
-    heads, cut = np.unique(dst, return_index=True)
-    back = dict(zip(heads.tolist(), zip(cut.tolist(), [*cut[1:].tolist(), len(dst)], strict=True), strict=True))
-    fans: dict[int, list[int]] = {}
-    for p, u in zip(aud["poi"].tolist(), aud["usr"].tolist(), strict=True):
-        fans.setdefault(u, []).append(p)
-    return spark.sparkContext.broadcast((back, e["src"].to_numpy(np.int64)[order], e["indeg"].to_numpy(np.int64)[order], ids, fans))
-
-
-def _walk(spark, shared, first: int, count: int, seed: int, hops: int, coins: str) -> DataFrame:
-    def hits(rid: int, target: int, back, src, indeg, fans) -> tuple[list[int], list[int]]:
+    """The graph, packed in Spark's tasks: only compressed bytes pass through the driver."""
+    row = lambda kind, *c: [F.lit(kind).cast("long").alias("kind"), *(x.cast("long").alias(n) for n, x in zip("abc", c, strict=True))]
+    none = F.lit(0)
+    edges = social.select(*row(0, F.col("dst"), F.col("src"), F.col("indeg")))
+    users = universe.select(*row(1, F.col("usr"), none, none))
+    aud = audience.select("poi", "usr").distinct().select(*row(2, F.col("usr"), F.col("poi"), none))
+    return roads.share(edges.union(users).union(aud), _Graph)
+
+
+def _walk(spark, shared, empty: bool, first: int, count: int, seed: int, hops: int, coins: str) -> DataFrame:
+    def hits(rid: int, target: int, graph: _Graph) -> tuple[list[int], list[int]]:
+        src, indeg = graph.src, graph.indeg
         seen, layer, depth, at = {target}, [target], 0, {}
         rng = np.random.default_rng((seed, rid)) if coins == "mix" else None
         while layer:
             for u in layer:
-                for p in fans.get(u, ()):
+                for p in graph.fans(u):
                     at.setdefault(p, depth)
             following = []
             for v in layer:
-                lo, hi = back.get(v, (0, 0))
+                lo, hi = graph.back(v)
                 if lo == hi:
                     continue
                 if rng is not None:
@@ -205,15 +232,16 @@ def _walk(spark, shared, first: int, count: int, seed: int, hops: int, coins: st
         return sorted(p for p, d in at.items() if d <= hops), sorted(p for p, d in at.items() if d > hops)
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        back, src, indeg, ids, fans = shared.value
+        graph = shared.value
+        ids = graph.ids
         for frame in frames:
             out = []
             for rid in frame["id"].tolist():
                 target = int(ids[_draw(rid, "t", seed) % len(ids)])
-                out.append((rid, target, *hits(rid, target, back, src, indeg, fans)))
+                out.append((rid, target, *hits(rid, target, graph)))
             yield pd.DataFrame(out, columns=["rid", "target", "near", "far"])
 
-    if not len(shared.value[3]):
+    if empty:
         return spark.createDataFrame([], "rid long, target long, near array<long>, far array<long>")
     return spark.range(first, first + count).mapInPandas(work, "rid long, target long, near array<long>, far array<long>")
 

@@ -41,9 +41,11 @@ def most_relevant(city: City, candidates: DataFrame, b: int, radius: float = 40.
 def influencers(city: City, candidates: DataFrame, b: int, k: int, alpha: float, x: int = 200, samples: int = 4096, seed: int = 1) -> list[int]:
     """Sites by how many of the x most influential relevant users have them in their lists."""
     few = candidates.select("poi").distinct()
-    text = city.user_terms.join(city.site_terms.join(few, "poi", "left_semi").select("poi", "term"), "term").select("usr")
-    social = relevance.friend_visits(city.friends, city.checkins.join(few, "poi", "left_semi")).select("usr")
-    users = text.union(social).distinct()
+    words = city.site_terms.join(few, "poi", "left_semi").select("term").distinct()
+    text = city.user_terms.join(F.broadcast(words), "term", "left_semi").select("usr")  # one row a word
+    visitors = city.checkins.join(F.broadcast(few), "poi", "left_semi").select(F.col("usr").alias("friend")).distinct()
+    social = city.friends.join(visitors, "friend", "left_semi").select("usr")
+    users = keep(text.union(social).distinct(), "relevant")
     # every relevant user is a candidate of its own
     walks = influence.reverse_samples(city.social, users.select(F.col("usr").alias("poi"), "usr"), city.users.select("usr"), 0, samples, seed)
     hits = influence.hit_rows(walks).select("rid", "poi")

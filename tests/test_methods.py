@@ -399,3 +399,15 @@ def test_searches_end_at_a_radius(spark, city, length, monkeypatch):
     assert found.agg(F.max("dist")).first()[0] <= 30
     monkeypatch.setattr(roads, "ROAD_LIMIT", 10)
     assert {tuple(r) for r in roads.site_distances(c, cand, 40).collect()} == every
+
+
+def test_the_walkers_graph_does_not_pass_through_the_driver(spark, city, monkeypatch):
+    aud = audience.brute(city, workloads.drawn_sites(city, 5), 10, 0.6)
+    want = influence.reverse_samples_shuffled(city.social, aud, city.users.select("usr"), 0, 20).orderBy("rid").collect()
+    from pyspark.sql.classic.dataframe import DataFrame
+
+    def never(self):
+        raise AssertionError("the graph is collected")
+
+    monkeypatch.setattr(DataFrame, "toPandas", never)
+    assert influence.reverse_samples(city.social, aud, city.users.select("usr"), 0, 20, coins="md5").orderBy("rid").collect() == want
