@@ -401,6 +401,19 @@ def test_searches_end_at_a_radius(spark, city, length, monkeypatch):
     assert {tuple(r) for r in roads.site_distances(c, cand, 40).collect()} == every
 
 
+def test_ranges_list_no_pairs(spark, city, monkeypatch):
+    at, depth = kvtree.partition(city.road, depth=2)
+    border = kvtree.borders(city.road, at, depth)
+    got = {tuple(r) for r in kvtree.ranges(city, at, border, depth).collect()}
+    plain = replace(city, road=city.road.withColumn("len", F.col("len").cast("double")))
+    assert {tuple(r) for r in kvtree.ranges(plain, at, border, depth).collect()} == got
+    listed, between = [], roads.between
+    monkeypatch.setattr(roads, "between", lambda road, pairs: listed.append(1) or between(road, pairs))
+    assert {tuple(r) for r in kvtree.ranges(city, at, border, depth).collect()} == got and not listed
+    monkeypatch.setattr(roads, "ROAD_LIMIT", 10)
+    assert {tuple(r) for r in kvtree.ranges(city, at, border, depth).collect()} == got and listed
+
+
 def test_the_walkers_graph_does_not_pass_through_the_driver(spark, city, monkeypatch):
     aud = audience.brute(city, workloads.drawn_sites(city, 5), 10, 0.6)
     want = influence.reverse_samples_shuffled(city.social, aud, city.users.select("usr"), 0, 20).orderBy("rid").collect()
