@@ -424,3 +424,14 @@ def test_the_walkers_graph_does_not_pass_through_the_driver(spark, city, monkeyp
 
     monkeypatch.setattr(DataFrame, "toPandas", never)
     assert influence.reverse_samples(city.social, aud, city.users.select("usr"), 0, 20, coins="md5").orderBy("rid").collect() == want
+
+
+@pytest.mark.parametrize("min_df", [0, 5])
+def test_bounds_around_users_need_no_diagrams(spark, city, monkeypatch, min_df):
+    rare = kvtree.split_terms(city.site_terms, min_df)[1] if min_df else None
+    want = {tuple(r) for r in audience.user_lower_bounds(city, kvtree.k_nearest(city, 4, min_df), city.users, 5, 0.6, rare).collect()}
+    with monkeypatch.context() as m:
+        m.setattr(kvtree, "k_nearest", lambda *a: pytest.fail("diagrams are built"))
+        assert {tuple(r) for r in audience.bounds_around(city, city.users, 5, 0.6, 4, min_df).collect()} == want
+    monkeypatch.setattr(relevance, "PLACE_LIMIT", 10)
+    assert {tuple(r) for r in audience.bounds_around(city, city.users, 5, 0.6, 4, min_df).collect()} == want
