@@ -435,3 +435,19 @@ def test_bounds_around_users_need_no_diagrams(spark, city, monkeypatch, min_df):
         assert {tuple(r) for r in audience.bounds_around(city, city.users, 5, 0.6, 4, min_df).collect()} == want
     monkeypatch.setattr(relevance, "PLACE_LIMIT", 10)
     assert {tuple(r) for r in audience.bounds_around(city, city.users, 5, 0.6, 4, min_df).collect()} == want
+
+
+def test_the_index_holds_nearest_places_of_borders_only(spark, city):
+    c, tree = kvtree.build(city, 3)
+    border = tree.border.select("v").distinct()
+    assert tree.nearest.join(border, "v", "left_anti").isEmpty()
+    want = kvtree.k_nearest(c, 4).join(border, "v", "left_semi")
+    assert {tuple(r) for r in tree.nearest.select("term", "v", "poi", "dist").collect()} == {tuple(r) for r in want.select("term", "v", "poi", "dist").collect()}
+
+
+def test_what_a_batch_shares_is_not_broadcast(spark, city):
+    c, tree = kvtree.build(city, 3)
+    search = audience.open_search(c, tree, workloads.drawn_sites(c, 5), 3, "class_dominance")
+    for df, key in ((search.to_site, "poi"), (search.keys, "poi")):
+        plan = c.sites.select("poi").join(df, key)._jdf.queryExecution().executedPlan().toString()
+        assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
