@@ -8,6 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 from sitereach import model
 from sitereach.operators import audience, certificates, influence, kvtree, policies, relevance, roads, selection, workloads
+from sitereach.sources import keep
 
 SF = "/root/testdata/sf0.001"
 
@@ -451,3 +452,37 @@ def test_what_a_batch_shares_is_not_broadcast(spark, city):
     for df, key in ((search.to_site, "poi"), (search.keys, "poi")):
         plan = c.sites.select("poi").join(df, key)._jdf.queryExecution().executedPlan().toString()
         assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
+
+
+def test_the_baseline_builds_what_it_reads_only(spark, city, monkeypatch):
+    def no(*_, **__):
+        raise AssertionError("not read by the baseline")
+
+    monkeypatch.setattr(kvtree, "k_nearest", no)
+    monkeypatch.setattr(kvtree, "ranges", no)
+    monkeypatch.setattr(kvtree, "class_sets", no)
+    cand = workloads.drawn_sites(city, 6)
+    got, counters = audience.combined(city, cand, 5, 0.6, 12, one_by_one=False)
+    assert set(map(tuple, got.collect())) == set(map(tuple, audience.brute(city, cand, 5, 0.6).collect()))
+    few, index = audience.build_combined(city, 5, 0.6, 12, cand)
+    assert {r["poi"] for r in index.matrix.select("poi").distinct().collect()} <= {r["poi"] for r in cand.collect()}
+    assert counters["node_bounds"] > 0 and counters["unpruned_pairs"] <= counters["user_bounds"]
+
+
+def test_a_list_is_done_once_k_places_beat_the_floor():
+    import numpy as np
+
+    # two places of one keyword, at vertices 0 and 1 of a road of two
+    places = relevance.Places(np.array([1, 2, 1, 2]), np.array([-1, -1, 0, 0]), np.array([0, 1, 1000000, 1000000]), np.array([1, 1, 0, 0]))
+    places.on(roads.Rows(np.array([0, 1]), np.array([1, 0]), np.array([500, 500])))
+    hit, made = np.zeros(1, bool), []
+    for floor in (None, 0.5, 0.2):
+        made.append(relevance._List(places, hit, np.array([0]), np.zeros(0, np.int64), np.zeros(0), 2, 1, (0.0, 1.0), floor))
+        made[-1].meet(np.array([0]), np.array([0.0]), hit)
+    # its place scores 1/3, as another one beyond might: only a place of score 0.2 is known to be beaten
+    assert [m.done(0.0) for m in made] == [False, False, True]
+
+
+def test_packed_tables_are_passed_on_once(spark, city):
+    c = city.kept(keep)
+    assert roads.broadcast_rows(c.road) is roads.broadcast_rows(c.road) and relevance._placed(c)[1] is relevance._placed(c)[1]
