@@ -486,3 +486,31 @@ def test_a_list_is_done_once_k_places_beat_the_floor():
 def test_packed_tables_are_passed_on_once(spark, city):
     c = city.kept(keep)
     assert roads.broadcast_rows(c.road) is roads.broadcast_rows(c.road) and relevance._placed(c)[1] is relevance._placed(c)[1]
+
+
+def test_a_far_class_is_settled_at_one_border(spark):
+    from types import SimpleNamespace
+
+    nearest = pairs(spark, [("tea", 10, 2, 1)], "term string, v long, poi long, dist long")
+    keys = pairs(spark, [(2, {"tea": 100})], "poi long, keys map<string,long>")
+    # users are within 5 of border 10 and the candidate is 1000 beyond it: its way over border 11 is no shorter
+    seen = pairs(spark, [(1, "0", 10, 1000, 1, 5, 1, 1), (1, "0", 11, 2000, 1, 5, 1, 2), (3, "0", 10, 3, 1, 5, 1, 1), (3, "0", 11, 4, 1, 5, 1, 2)], "poi long, node string, b long, d_p long, lo long, hi long, least long, nth int")
+    rows = pairs(spark, [(p, "0", "tea", ["tea"], 100) for p in (1, 3)], "poi long, node string, cls string, terms array<string>, a long")
+    for mode, want, tested in (("class_dominance", {1}, 1), ("border_paper", set(), 2)):
+        s = audience.Search(None, SimpleNamespace(nearest=nearest), 1, mode, None, keys, None, seen)
+        assert {r["poi"] for r in audience.beaten(s, rows).collect()} == want and s.counters["tested_borders"] == tested
+
+
+def test_the_batch_builds_what_its_rules_read(spark, city, monkeypatch):
+    cand, bounds = workloads.drawn_sites(city, 5), audience.bounds_around
+    want = set(map(tuple, audience.brute(city, cand, 5, 0.6).collect()))
+
+    def no(*_, **__):
+        raise AssertionError("not read")
+
+    monkeypatch.setattr(audience, "bounds_around", no)
+    assert set(map(tuple, audience.batch(city, cand, 5, 0.6, rules=frozenset({"pseudo", "node"}), leaf_cap=12)[0].collect())) == want
+    monkeypatch.setattr(audience, "bounds_around", bounds)
+    for name in ("k_nearest", "ranges", "holders", "borders"):
+        monkeypatch.setattr(kvtree, name, no)
+    assert set(map(tuple, audience.batch(city, cand, 5, 0.6, mode="none", leaf_cap=12)[0].collect())) == want
