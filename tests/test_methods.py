@@ -514,3 +514,35 @@ def test_the_batch_builds_what_its_rules_read(spark, city, monkeypatch):
     for name in ("k_nearest", "ranges", "holders", "borders"):
         monkeypatch.setattr(kvtree, name, no)
     assert set(map(tuple, audience.batch(city, cand, 5, 0.6, mode="none", leaf_cap=12)[0].collect())) == want
+
+
+def test_ranges_of_large_nodes_are_put_together_from_cells(spark, city, monkeypatch):
+    # with vertices that nothing leads to, two of them without users
+    far = pairs(spark, [(900, 901, 3), (901, 900, 3), (901, 902, 2), (902, 901, 2)], "src long, dst long, len long")
+    c = replace(city, road=city.road.union(far), users=city.users.union(pairs(spark, [(900, 900, 2), (901, 900, 7)], "usr long, v long, dis long"))).kept(keep, "road", "users")
+    at, depth = kvtree.partition(c.road, depth=2)
+    border = keep(kvtree.borders(c.road, at, depth), "border")
+    want = {tuple(r) for r in kvtree.ranges(c, at, border, depth).collect()}
+    made, gathered = [], roads.gathered
+    monkeypatch.setattr(roads, "gathered", lambda df, kind, *x: made.append(kind) or gathered(df, kind, *x))
+    monkeypatch.setattr(kvtree, "TOGETHER", 7)
+    for cap, cells in ((4, True), (1, True), (900, False)):
+        monkeypatch.setattr(kvtree, "CELL", cap)
+        assert {tuple(r) for r in kvtree.ranges(c, at, border, depth).collect()} == want and (kvtree._Tables in made) == cells
+        made.clear()
+
+
+def test_ways_over_cells_are_the_shortest():
+    import numpy as np
+
+    draw = np.random.default_rng(3)
+    a, b = draw.integers(0, 60, (2, 90))
+    length = draw.integers(1, 9, 90)
+    rows = roads.Rows(np.r_[a, b, 60], np.r_[b, a, 61], np.r_[length, length, 4])
+    cells = roads.Cells(rows, rows.ids // 30, 5)
+    tables = [cells.inside(c)[:, np.searchsorted(cells.own(c), cells.border[cells.first[c] : cells.first[c + 1]])] for c in range(cells.count)]
+    want = rows.distances(cells.border)
+    for lo, hi in ((0, cells.count), (2, 3)):
+        got = cells.between(tables, cells.border, lo, hi)[cells.first[lo] : cells.first[hi]]
+        want_ = want[:, cells.border[cells.first[lo] : cells.first[hi]]].T
+        assert (np.where(got == cells.NONE, -1, got) == want_).all()
