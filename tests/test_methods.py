@@ -526,7 +526,7 @@ def test_ranges_of_large_nodes_are_put_together_from_cells(spark, city, monkeypa
     made, gathered = [], roads.gathered
     monkeypatch.setattr(roads, "gathered", lambda df, kind, *x: made.append(kind) or gathered(df, kind, *x))
     monkeypatch.setattr(kvtree, "TOGETHER", 7)
-    for cap, cells in ((4, True), (1, True), (900, False)):
+    for cap, cells in ((4, True), (2, True), (900, False)):
         monkeypatch.setattr(kvtree, "CELL", cap)
         assert {tuple(r) for r in kvtree.ranges(c, at, border, depth).collect()} == want and (kvtree._Tables in made) == cells
         made.clear()
@@ -546,3 +546,37 @@ def test_ways_over_cells_are_the_shortest():
         got = cells.between(tables, cells.border, lo, hi)[cells.first[lo] : cells.first[hi]]
         want_ = want[:, cells.border[cells.first[lo] : cells.first[hi]]].T
         assert (np.where(got == cells.NONE, -1, got) == want_).all()
+
+
+def test_a_class_is_not_settled_at_one_border_without_a_range(spark):
+    from types import SimpleNamespace
+
+    # the place next to border 10 is far from users next to border 11, from where the candidate is the nearer one
+    nearest = pairs(spark, [("tea", 10, 2, 1), ("tea", 11, 2, 5000)], "term string, v long, poi long, dist long")
+    keys = pairs(spark, [(2, {"tea": 100})], "poi long, keys map<string,long>")
+    seen = pairs(spark, [(1, "0", 10, 1000, 1, None, 1, 1), (1, "0", 11, 2000, 1, None, 1, 2)], "poi long, node string, b long, d_p long, lo long, hi long, least long, nth int")
+    rows = pairs(spark, [(1, "0", "tea", ["tea"], 100)], "poi long, node string, cls string, terms array<string>, a long")
+    s = audience.Search(None, SimpleNamespace(nearest=nearest), 1, "class_dominance", None, keys, None, seen)
+    assert audience.beaten(s, rows).isEmpty() and s.counters["tested_borders"] == 1
+
+
+def test_a_batch_looks_up_what_lies_around_the_borders_it_tests(spark, city, monkeypatch):
+    cand = keep(workloads.drawn_sites(city, 5), "cand")
+    c, tree = kvtree.build(city, 3, 12)
+    for mode, outside in (("border_paper", False), ("class_dominance", True)):
+        listed, looked = (audience.open_search(c, t, cand, 3, mode) for t in (tree, replace(tree, nearest=None, ranges=None)))
+        index = audience._class_index(listed).where("node <> ''").select("node", "cls", F.col("terms").alias("set"))
+        some = listed.own.select("poi", "terms").crossJoin(F.broadcast(index)).where(F.size(F.array_except("set", "terms")) == 0)
+        rows = audience._weighed(listed, some.select("poi", "node", "cls"))
+        want = {tuple(r) for r in audience.beaten(listed, rows, outside).collect()}
+        assert want and {tuple(r) for r in audience.beaten(looked, rows, outside).collect()} == want
+
+    def no(*_, **__):
+        raise AssertionError("places nearest to all borders are listed")
+
+    asked, ranges = [], kvtree.ranges
+    monkeypatch.setattr(kvtree, "k_nearest", no)
+    monkeypatch.setattr(kvtree, "ranges", lambda city, member, border, *x: asked.append(border.count()) or ranges(city, member, border, *x))
+    got = audience.batch(city, cand, 3, 0.6, leaf_cap=12, rules=audience.RULES - {"node"})[0]
+    assert set(map(tuple, got.collect())) == set(map(tuple, audience.brute(city, cand, 3, 0.6).collect()))
+    assert asked and max(asked) < tree.border.count()
